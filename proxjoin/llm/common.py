@@ -36,13 +36,13 @@ def shared_folder(spark: SparkSession) -> str:
     return _own_folder[app]
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
+def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
     """df as a table in the shared folder: lineage ends here, lost executors cost
     only the rows after it, and its size is known to the planner. The table goes
     when the application ends."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/proxjoin/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", codec).parquet(path)
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, mixing, quality
+from . import exact_dedup, lengths, mixing, packing, quality, wavelet
 from .common import load
 
 
@@ -13,13 +13,31 @@ def op1_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_plan(load(spark, sf_dir, "documents"))
 
 
+def tokenizer(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(load(spark, sf_dir, "documents"), tokenizer("word_bpe_49k.json"))
+
+
+def op4_wavelet_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wavelet.read_documents(wavelet.write_shards(load(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json")))
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judged(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lengths.answers(lengths.length_histogram(load(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json")))
+
+
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(load(spark, sf_dir, "documents")).select("doc_id", "keep_id", "group_size", "kept", F.col("digest").alias("text_sha256"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_source_mixing, op7_quality_rules, op10_exact_dedup)}
+    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op4_wavelet_shards, op7_quality_rules, op8_token_counts, op10_exact_dedup)}
