@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, lengths, mixing, packing, quality, wavelet
+from . import exact_dedup, lengths, mixing, packing, pseudonyms, quality, simhash, wavelet
 from .common import load
 
 
@@ -27,6 +27,15 @@ def op4_wavelet_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return wavelet.read_documents(wavelet.write_shards(load(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json")))
 
 
+def op5_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    groups = simhash.near_groups(load(spark, sf_dir, "documents"))
+    return groups.select("doc_id", F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def op6_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pseudonyms.report(load(spark, sf_dir, "documents"))
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judged(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
@@ -40,4 +49,4 @@ def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op4_wavelet_shards, op7_quality_rules, op8_token_counts, op10_exact_dedup)}
+    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op4_wavelet_shards, op5_simhash_near_dedup, op6_pii_pseudonyms, op7_quality_rules, op8_token_counts, op10_exact_dedup)}
