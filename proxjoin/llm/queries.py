@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, lengths, mixing, packing, pseudonyms, quality, simhash, wavelet
+from . import exact_dedup, lengths, mixing, packing, pseudonyms, quality, repeats, simhash, wavelet
 from .common import load
 
 
@@ -44,9 +44,14 @@ def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lengths.answers(lengths.length_histogram(load(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json")))
 
 
+def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = repeats.substring_dedup(load(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(load(spark, sf_dir, "documents")).select("doc_id", "keep_id", "group_size", "kept", F.col("digest").alias("text_sha256"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op4_wavelet_shards, op5_simhash_near_dedup, op6_pii_pseudonyms, op7_quality_rules, op8_token_counts, op10_exact_dedup)}
+    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op4_wavelet_shards, op5_simhash_near_dedup, op6_pii_pseudonyms, op7_quality_rules, op8_token_counts, op9_substring_dedup, op10_exact_dedup)}
