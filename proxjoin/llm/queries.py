@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, lengths, mixing, packing, pseudonyms, quality, repeats, simhash, wavelet
+from . import exact_dedup, lengths, mixing, packing, pseudonyms, quality, repeats, simhash, suffix_tree, wavelet
 from .common import load
 
 
@@ -23,6 +23,10 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(load(spark, sf_dir, "documents"), tokenizer("word_bpe_49k.json"))
 
 
+def op3_suffix_tree_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_tree.score(load(spark, sf_dir, "documents"))
+
+
 def op4_wavelet_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return wavelet.read_documents(wavelet.write_shards(load(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json")))
 
@@ -54,4 +58,4 @@ def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op4_wavelet_shards, op5_simhash_near_dedup, op6_pii_pseudonyms, op7_quality_rules, op8_token_counts, op9_substring_dedup, op10_exact_dedup)}
+    return {f.__name__: f for f in (op1_source_mixing, op2_best_fit_packing, op3_suffix_tree_scores, op4_wavelet_shards, op5_simhash_near_dedup, op6_pii_pseudonyms, op7_quality_rules, op8_token_counts, op9_substring_dedup, op10_exact_dedup)}
