@@ -22,6 +22,8 @@ NULL = np.iinfo(np.int64).max
 #: The hash of bytes is a polynomial in random values of them, modulo 2**64.
 VALUES = np.random.default_rng(11).integers(0, 1 << 64, 256, np.uint64)
 BASES = (0x9E3779B97F4A7C15, 0xD1342543DE82EF95, 0xAF251AF3B0F025B5)
+#: Bytes taken together by array operations.
+CHUNK = 1 << 20
 _powers: dict[tuple[int, bool], np.ndarray] = {}
 
 
@@ -29,7 +31,7 @@ def powers(base: int, n: int, back: bool = False) -> np.ndarray:
     """base**1 .. base**n modulo 2**64, or their inverses."""
     known = _powers.get((base, back))
     if known is None or len(known) < n:
-        known = np.cumprod(np.full(max(n, 1 << 20), pow(base, -1, 1 << 64) if back else base, np.uint64), dtype=np.uint64)
+        known = np.cumprod(np.full(max(n, CHUNK + (CHUNK >> 3)), pow(base, -1, 1 << 64) if back else base, np.uint64), dtype=np.uint64)
         if n <= 1 << 24:
             _powers[base, back] = known
     return known[:n]
@@ -52,15 +54,33 @@ def spans_hashed(values: np.ndarray, at: np.ndarray, stop: np.ndarray, base: int
     return mixed((total[stop] - total[at]) * powers(base, len(values) + 1, True)[at] + (stop - at).astype(np.uint64))
 
 
+def located(raws: list[bytes]) -> tuple[bytes, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """All texts joined by line ends; where each word starts and stops in them, its hash, and how many words each text has.
+
+    Bytes are taken CHUNK at a time, so that arrays of words are the largest.
+    """
+    found: list[tuple[np.ndarray, ...]] = []
+    first, size, begin = 0, 0, 0
+    for k, raw in enumerate(raws):
+        size += len(raw) + 1
+        if size < CHUNK and k < len(raws) - 1:
+            continue
+        some = raws[first : k + 1]
+        b = np.frombuffer(b"\n".join(some) + b"\n", np.uint8)
+        white = (b == 32) | ((b >= 9) & (b <= 13))
+        edge = np.flatnonzero(np.diff(white, prepend=True))
+        at, stop = edge[::2], edge[1::2]
+        counts = np.diff(np.searchsorted(at, np.cumsum([len(r) + 1 for r in some])), prepend=0)
+        found.append((at + begin, stop + begin, spans_hashed(VALUES[b], at, stop, BASES[0]), counts))
+        first, begin, size = k + 1, begin + len(b), 0
+    none = np.zeros(0, np.int64)
+    at, stop, key, counts = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (none, none, none.astype(np.uint64), none)
+    return b"\n".join(raws) + b"\n", at, stop, key, counts
+
+
 def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     """The hash of every word of all texts in a row, and how many words each text has."""
-    raws = [(t or "").encode() for t in texts]
-    b = np.frombuffer(b"\n".join(raws) + b"\n", np.uint8)
-    white = (b == 32) | ((b >= 9) & (b <= 13))
-    edge = np.flatnonzero(np.diff(white, prepend=True))
-    at, stop = edge[::2], edge[1::2]
-    ends = np.cumsum([len(r) + 1 for r in raws])
-    return spans_hashed(VALUES[b], at, stop, BASES[0]), np.diff(np.searchsorted(at, ends), prepend=0)
+    return located([(t or "").encode() for t in texts])[3:]
 
 
 def bucket_of(ids: np.ndarray, buckets: int) -> np.ndarray:

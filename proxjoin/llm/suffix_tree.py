@@ -39,7 +39,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blobs import BASES, NULL, VALUES, buckets_for, opened, rows, spans_hashed, squeezed, sub_batches
+from .blobs import NULL, buckets_for, located, opened, rows, squeezed, sub_batches
 from .common import written
 
 DEPTH, RAREST, GAIN = 3, 1e-5, 1e-6
@@ -56,13 +56,6 @@ def held_out(doc_id: int) -> bool:
     return zlib.crc32(b"" if doc_id == NULL else str(doc_id).encode()) % FOLDS == HELD_OUT
 
 
-def listed(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """Where the words of joined texts start and stop."""
-    b = np.frombuffer(raw, np.uint8)
-    edge = np.flatnonzero(np.diff((b == 32) | ((b >= 9) & (b <= 13)), prepend=True))
-    return edge[::2], edge[1::2]
-
-
 def word_lists(docs: DataFrame, buckets: int) -> DataFrame:
     """Written once: for each batch its texts as places in its list of words, and that list by buckets with training counts."""
 
@@ -71,10 +64,7 @@ def word_lists(docs: DataFrame, buckets: int) -> DataFrame:
         for batch in batches:
             for ids, texts in sub_batches(batch, STEP):
                 raws = [(t or "").encode().lower() for t in texts]
-                raw = b"\n".join(raws) + b"\n"
-                at, stop = listed(raw)
-                sizes = np.diff(np.searchsorted(at, np.cumsum([len(r) + 1 for r in raws])), prepend=0)
-                key = spans_hashed(VALUES[np.frombuffer(raw, np.uint8)], at, stop, BASES[0])
+                raw, at, stop, key, sizes = located(raws)
                 held = np.array([held_out(i) for i in ids.tolist()], bool)
                 distinct, sample, which = np.unique(key, return_index=True, return_inverse=True)
                 counts = np.bincount(which, weights=np.repeat(~held, sizes), minlength=len(distinct)).astype("<u4")
