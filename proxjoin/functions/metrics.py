@@ -84,4 +84,4 @@ class Thresholds:
 
     def distance(self, value: Column) -> Column:
         """What results report: 1 less the similarity, or the distance, to six digits."""
-        return F.round(1.0 - value if self.similar else value, 6)
+        return F.round(1.0 - value if self.similar else value, 6) + 0.0  # no negative zero

@@ -40,7 +40,7 @@ def load_points(spark: SparkSession, sf_dir: str, fixture: str) -> DataFrame:
     docs = lambda: spread(documents(spark, sf_dir))
     build = {
         "doc_words": lambda: docs().select("id", f.word_set(F.col("text")).alias("feat")),
-        "doc_shingles": lambda: docs().select("id", f.shingle_set(F.col("text")).alias("feat")),
+        "doc_shingles": lambda: docs().select("id", f.shingle_set(F.col("text")).alias("feat")).where(F.size("feat") > 0),
         "doc_signed256": lambda: f.signed_vectors(docs().select("id", f.word_set(F.col("text")).alias("feat"))),
         "doc_counts64": lambda: f.count_vectors(docs()),
         "doc_finger64": lambda: f.fingerprints64(docs()),
