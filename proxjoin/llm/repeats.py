@@ -34,7 +34,7 @@ from .common import words
 
 WINDOW, HASH_BYTES = 20, 7
 #: Bytes of text taken together in one step of a task, and in one bucket.
-STEP, EACH = 8 << 20, 16 << 20
+STEP, EACH = 8 << 20, 8 << 20
 KINDS = [("bucket", pa.int64()), ("kind", pa.int64()), ("data", pa.binary())]
 SPAN = pa.struct([("start", pa.int64()), ("words", pa.int64()), ("source_doc", pa.int64()), ("source_start", pa.int64())])
 CUT = [("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.string()), ("spans", pa.list_(SPAN))]
