@@ -61,11 +61,18 @@ def expected_frame(trace: Trace, near: float, grey: float, far: float) -> DataFr
 
 
 def oblivious_cost(trace: Trace, left: DataFrame, right: DataFrame | None, at: Thresholds, memories: list[int], block: float = 1) -> list[tuple[int, float]]:
-    """Transfers for many memories from one run, since the run doesn't depend on memory."""
-    by_level = {r.level: float(r.near + r.grey) for r in collisions_by_level(trace, left, right, at).collect()}
+    """Transfers for many memories from one run, since the run doesn't depend on memory: pairs are
+    classed once and counted by level and power of two of the smaller side, at most 64 of them."""
+    sizes = level_sizes(trace).select(*PROBLEM, "level", F.floor(F.log2(F.least("n_l", "n_r").cast("double"))).cast("int").alias("band"))
+    seen = collisions(trace.meetings.join(sizes, [*PROBLEM, "level"]), left, right, at, "level", "band").collect()
     out = []
     for memory in memories:
-        by_band = {(r.level, r.band): float(r.far) for r in collisions_by_band(trace, left, right, at, memory).collect()}
+        by_level: dict[int, float] = {}
+        by_band: dict[tuple[int, int], float] = {}
+        for r in seen:
+            by_level[r.level] = by_level.get(r.level, 0.0) + r.near + r.grey
+            band = (r.level, min(r.band, memory.bit_length() - 1))
+            by_band[band] = by_band.get(band, 0.0) + r.far
         out.append((memory, costs.io_memory_oblivious(trace.plan.n, memory, block, trace.plan.p1, trace.plan.p2, by_level, by_band)))
     return out
 

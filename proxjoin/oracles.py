@@ -131,7 +131,7 @@ def surface() -> dict[str, str]:
         "scan_pruned_lineitem": "SELECT l_quantity, count(*) AS n, max(l_orderkey) AS last_order FROM lineitem WHERE l_quantity >= 45 AND l_discount <= 0.02 GROUP BY 1",
         "roundtrip_csv_region": "SELECT r_regionkey, r_name FROM region",
         "load_points_emb": "SELECT vec_id AS id, CAST(64 AS INTEGER) AS dim, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE))), 4) AS norm2 FROM embeddings",
-        "hash_index": None,
+        "hash_index": HAM,
         "project_features": f"SELECT doc_id, len({TOKENS.format('text')}) AS n_tokens, length(text) AS chars, lower(substr(text, 1, 3)) AS head, lang FROM documents",
         "filter_ring_l2": f"{EMB_PAIRS} SELECT id_l, id_r, round(d, 6) AS dist FROM p WHERE d > 1.1 AND d <= 1.2",
         "filter_docs_predicates": "SELECT doc_id, lang, source FROM documents WHERE text IS NOT NULL AND lang IN ('en', 'de') AND source LIKE 'src1%' AND regexp_matches(text, '^[A-Z]') AND n_chars BETWEEN 100 AND 5000",

@@ -116,7 +116,7 @@ def cost_simulation(spark: SparkSession, sf_dir: str) -> DataFrame:
         p1, p2 = work.family.p1p2(work.at.r, work.at.cr)
         rho = params.rho(p1, p2)
         near, close = 2 * sizes[0], 2 * (sizes[0] + sizes[1])
-        rows.append((name, work.at.metric, work.at.r, work.at.cr, round(rho, 6), near / n, close / n, costs.io_single_level(n, rho), costs.io_nested(n, memory), costs.io_t1(n, memory, 1, rho, near), costs.io_t2(memory, 1, close)))
+        rows.append((name, work.at.metric, float(work.at.r), float(work.at.cr), round(rho, 6), near / n, close / n, costs.io_single_level(n, rho), costs.io_nested(n, memory), costs.io_t1(n, memory, 1, rho, near), costs.io_t2(memory, 1, close)))
     return spark.createDataFrame(rows, "data string, metric string, r double, cr double, rho double, near_per_point double, close_per_point double, io_single_level double, io_nested double, t1 double, t2 double")
 
 

@@ -99,23 +99,26 @@ def late_rows(events: DataFrame, delay: str = "10 minutes") -> DataFrame:
 
 
 def remembered(stream: DataFrame, keep_ms: int = 3_600_000, most: int = 1000) -> DataFrame:
-    """key, id, earlier: for each arriving (key, id) how many ids its bucket has seen lately; a bucket forgets after a while."""
+    """key, id, earlier: for each arriving (key, id, ts) how many ids its bucket has seen lately; a bucket
+    that the watermark has left behind by keep_ms is forgotten."""
 
     def update(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
-        ids = list(state.get[0]) if state.exists else []
+        ids, latest = (list(state.get[0]) if state.exists else []), state.getCurrentWatermarkMs()
         for part in parts:
             out = []
             for i in part["id"].tolist():
                 out.append((key[0], i, len(ids)))
                 ids.append(i)
+            latest = max(latest, int(part["ts"].max().timestamp() * 1000))
             yield pd.DataFrame(out, columns=["key", "id", "earlier"])
         state.update((ids[-most:],))
-        state.setTimeoutDuration(keep_ms)
+        state.setTimeoutTimestamp(latest + keep_ms)
 
-    return stream.groupBy("key").applyInPandasWithState(update, "key long, id long, earlier long", "ids array<long>", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    rows = stream.select("key", "id", "ts").withWatermark("ts", "10 minutes")
+    return rows.groupBy("key").applyInPandasWithState(update, "key long, id long, earlier long", "ids array<long>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def upserted_index(stream: DataFrame, path: str, family: HashFamily, reps: int, k: int, seed: int = 0) -> None:

@@ -13,10 +13,6 @@ from ..workloads import WORKLOADS
 from . import joins
 
 
-def _sealed(found: DataFrame) -> DataFrame:
-    return found
-
-
 def stream_tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
     return joins.drained(joins.tumbling(joins.event_stream(spark, sf_dir)), "complete")
 
@@ -53,7 +49,7 @@ def stream_dedup_watermark(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stream_state_ttl(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = joins.event_stream(spark, sf_dir).select(F.col("user_id").alias("key"), F.col("event_id").alias("id"))
+    rows = joins.event_stream(spark, sf_dir).select(F.col("user_id").alias("key"), F.col("event_id").alias("id"), "ts")
     return joins.drained(joins.remembered(rows)).groupBy("key").agg(F.count(F.lit(1)).alias("rows"), F.max("earlier").alias("most_before"))
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -75,8 +75,8 @@ def hash_index(spark, sf_dir):
 
     work = WORKLOADS["W6"]
     points = load_points(spark, sf_dir, "doc_finger64")
-    name = "proxjoin_hash_index"
-    save_hash_index(exploded(hashed(points, work.family, 7, [(0, j) for j in range(8)], 8)), name)
+    name = f"proxjoin_hash_index_{uuid.uuid4().hex}"
+    save_hash_index(exploded(hashed(points, work.family, 7, [(0, j) for j in range(32)], 6)), name)
     a, b = spark.table(name), spark.table(name)
     met = a.alias("a").join(b.alias("b"), ["tag", "key"]).where("a.id < b.id").select(F.col("a.id").alias("id_l"), F.col("b.id").alias("id_r")).distinct()
     feat = written(points, "points")
@@ -339,7 +339,11 @@ def udaf_centroid(spark, sf_dir):
         m = np.stack(v).astype(float)
         return float(np.round(np.linalg.norm(m.mean(axis=0)), 5))
 
-    return table(spark, sf_dir, "embeddings").groupBy("label").agg(spread("embedding").alias("centroid_norm"), F.count(F.lit(1)).alias("n"))
+    @F.pandas_udf("long")
+    def size(v: pd.Series) -> int:
+        return len(v)
+
+    return table(spark, sf_dir, "embeddings").groupBy("label").agg(spread("embedding").alias("centroid_norm"), size("embedding").alias("n"))
 
 
 def udtf_shingles(spark, sf_dir):
