@@ -46,8 +46,11 @@ def random_words(spark: SparkSession, n: int, seed: int = 0, first: int = 0) ->
 
 
 def flipped(points: DataFrame, bits: int, shift: int) -> DataFrame:
-    """A partner at Hamming distance exactly ``bits`` for each point, with its id shifted."""
-    return points.select((F.col("id") + shift).alias("id"), F.col("feat").bitwiseXOR(F.lit((1 << bits) - 1)).alias("feat"))
+    """A partner at Hamming distance exactly ``bits`` for each point, with its id shifted; which bits differ turns with the id."""
+    mask, by = F.lit((1 << bits) - 1).cast("long"), (F.col("id") * 11 % 64).cast("int")
+    turned = F.call_function("shiftleft", mask, by).bitwiseOR(F.call_function("shiftrightunsigned", mask, 64 - by))
+    # a shift by 64 is none in Java, so an unturned mask stays what it is
+    return points.select((F.col("id") + shift).alias("id"), F.col("feat").bitwiseXOR(turned).alias("feat"))
 
 
 def two_cluster_points(spark: SparkSession, n: int) -> DataFrame:

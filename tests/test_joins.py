@@ -112,8 +112,9 @@ def test_recall_at_the_critical_distance(spark):
     at = Thresholds("hamming", 8, 24)
     plan = plan_memory_oblivious(1200, BitSampling(), 8, 24)
     floor = predicted_recall(plan.p1, plan.branching, plan.depth)
-    found = memory_oblivious_join(both, None, at, BitSampling(), n=1200, strict_leaf=True, heavy=False).count()
-    assert found >= 300 * floor * 0.8
+    # the pairs of a run share its functions, so only several runs tell the mean
+    found = [memory_oblivious_join(both, None, at, BitSampling(), n=1200, strict_leaf=True, heavy=False, seed=s).count() for s in range(4)]
+    assert sum(found) / 4 >= 300 * floor * 0.75
 
 
 def test_adversarial_inputs(spark):
