@@ -28,7 +28,7 @@ def length_histogram(docs: DataFrame, path: str, end: int = 0) -> DataFrame:
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = Counter(len(ids) // 4 + end for ids in encoder(path).encode(batch.column(0).to_pylist()))
+            found = Counter(len(ids) + end for ids in encoder(path).encode(batch.column(0).to_pylist()))
             yield pa.record_batch([pa.array(list(found), pa.int64()), pa.array(list(found.values()), pa.int64())], names=["length", "n"])
 
     return docs.select("text").mapInArrow(count, "length long, n long").groupBy("length").agg(F.sum("n").alias("n_docs"))

@@ -41,14 +41,14 @@ def pieces(docs: DataFrame, path: str, limit: int = LIMIT, end_id: int = END_ID)
     schema = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())])
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tail = np.array([end_id], "<u4").tobytes()
+        tail = np.array([end_id], np.uint32)
         for batch in batches:
             rows: list[tuple] = []
             for doc_id, ids in zip(batch.column(0).to_pylist(), encoder(path).encode(batch.column(1).to_pylist()), strict=True):
-                ids += tail
-                for piece, at in enumerate(range(0, len(ids), 4 * limit)):
-                    part = ids[at : at + 4 * limit]
-                    rows.append((doc_id, piece, at // 4, len(part) // 4, zlib.crc32(part)))
+                ids = np.concatenate([ids, tail])
+                for piece, at in enumerate(range(0, len(ids), limit)):
+                    part = ids[at : at + limit]
+                    rows.append((doc_id, piece, at, len(part), zlib.crc32(part.astype("<u4", copy=False))))
             yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)] if rows else [pa.array([], f.type) for f in schema], schema=schema)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text")).mapInArrow(cut, PIECES)

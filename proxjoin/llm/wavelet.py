@@ -159,7 +159,7 @@ def write_shards(docs: DataFrame, path: str, end_id: int = END_ID, shard_tokens:
     """
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, place, tail = TaskContext.get().partitionId(), 0, np.array([end_id], "<u4").tobytes()
+        part, place, tail = TaskContext.get().partitionId(), 0, np.array([end_id], np.uint32)
         doc_ids: list[int | None] = []
         held: list[np.ndarray] = []
         total = 0
@@ -171,10 +171,10 @@ def write_shards(docs: DataFrame, path: str, end_id: int = END_ID, shard_tokens:
             return pa.record_batch([pa.array([v]) for v in row], names=["shard", "part", "n_docs", "n_tokens", "file"])
 
         for batch in batches:
-            for k in range(0, batch.num_rows, 500):
-                some = batch.slice(k, 500)
+            for k in range(0, batch.num_rows, 3000):
+                some = batch.slice(k, 3000)
                 for doc_id, ids in zip(some.column(0).to_pylist(), encoder(path).encode(some.column(1).to_pylist()), strict=True):
-                    tokens = np.frombuffer(ids + tail, "<u4").astype(np.uint16)
+                    tokens = np.concatenate([ids, tail]).astype(np.uint16)
                     if held and total + len(tokens) > shard_tokens:
                         yield shard()
                         place, doc_ids, held, total = place + 1, [], [], 0
