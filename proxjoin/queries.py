@@ -21,8 +21,10 @@ from .workloads import WORKLOADS, Workload
 def aware(work: Workload, spark: SparkSession, sf_dir: str, **more) -> DataFrame:
     left, right = work.points(spark, sf_dir)
     n = 2 * left.count() if right is None else left.count() + right.count()
-    options = {"rounds": work.rounds, "n": n, "seed": 7} | more
-    return memory_aware_join(left, right, work.at, options.pop("memory", max(2, n // work.memory_share)), work.family, **options)
+    # longer keys for more points: of all pairs, a smaller share may meet
+    share, extra = (work.memory_share, 0) if n <= 4000 else (8 * work.memory_share, 2)
+    options = {"rounds": work.rounds + extra, "n": n, "seed": 7} | more
+    return memory_aware_join(left, right, work.at, options.pop("memory", max(2, n // share)), work.family, **options)
 
 
 def oblivious(work: Workload, spark: SparkSession, sf_dir: str, **more) -> DataFrame:
