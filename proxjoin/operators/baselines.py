@@ -105,13 +105,18 @@ def positional_filter_join(points: DataFrame, at: Thresholds) -> DataFrame:
     return result(near(measured(pairs, points, None, at), at))
 
 
-def inverted_index_join(points: DataFrame, at: Thresholds) -> DataFrame:
-    """Shared tokens are counted, and similarities follow from the counts alone."""
+def shared_values(points: DataFrame) -> DataFrame:
+    """id_l, id_r, value: Jaccard similarities of all pairs that share a token, from counts of shared tokens alone."""
     rows = points.select("id", F.size("feat").alias("size"), F.explode("feat").alias("token"))
     a = rows.select("token", F.col("id").alias("id_l"), F.col("size").alias("size_l"))
     b = rows.select("token", F.col("id").alias("id_r"), F.col("size").alias("size_r"))
     shared = a.join(b, "token").where("id_l < id_r").groupBy("id_l", "id_r", "size_l", "size_r").agg(F.count(F.lit(1)).alias("both"))
-    return result(near(shared.select("id_l", "id_r", (F.col("both") / (F.col("size_l") + F.col("size_r") - F.col("both"))).alias("value")), at))
+    return shared.select("id_l", "id_r", (F.col("both") / (F.col("size_l") + F.col("size_r") - F.col("both"))).alias("value"))
+
+
+def inverted_index_join(points: DataFrame, at: Thresholds) -> DataFrame:
+    """Near pairs from shared tokens; r must be above 0, and empty sets have none to share."""
+    return result(near(shared_values(points), at))
 
 
 def length_filter_join(points: DataFrame, at: Thresholds) -> DataFrame:

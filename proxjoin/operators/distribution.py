@@ -6,16 +6,25 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Thresholds
-from .baselines import all_values
+from .baselines import all_values, shared_values
+from .hashing import DENSE, coin, measured, met
 
 
 def sample_points(points: DataFrame, n: int, of: int, seed: int = 0) -> DataFrame:
     """About n of the points, by a hash of the id: a statistical sample of a stated size."""
-    from .hashing import coin
-
     return points if of <= n else points.where(coin(seed, "id") < n / of)
 
 
+def values(points: DataFrame, at: Thresholds) -> DataFrame:
+    """id_l, id_r, value of pairs: sets that share a token by counting shared ones (thresholds above 0 need no
+    others), dense vectors in Arrow batches over a grid of chunks, words as columns."""
+    if at.metric == "jaccard":
+        return shared_values(points)
+    if at.metric not in DENSE:
+        return all_values(points, None, at)
+    return measured(met(points.select(F.lit(0).alias("all"), "id"), None, ["all"], 256).drop("all"), points, None, at)
+
+
 def pairwise_cdf(points: DataFrame, at: Thresholds, bins: list[float]) -> DataFrame:
     """threshold, pairs: how many pairs are within each threshold (similarities: at least it).
 
@@ -23,8 +32,10 @@ def pairwise_cdf(points: DataFrame, at: Thresholds, bins: list[float]) -> DataFr
     """
     edges = sorted(bins, reverse=at.similar)
     value = F.col("value")
-    first = F.array_position(F.transform(F.array(*map(F.lit, edges)), lambda t: (value >= t) if at.similar else (value <= t)), F.lit(True))
-    counts = all_values(points, None, at).groupBy(first.alias("bin")).agg(F.count(F.lit(1)).alias("n")).where("bin > 0")
+    # edges go from strict to weak: as many as hold are the last ones
+    held = sum(F.when((value >= t) if at.similar else (value <= t), 1).otherwise(0) for t in edges)
+    first = F.when(held > 0, len(edges) + 1 - held)
+    counts = values(points, at).groupBy(first.alias("bin")).agg(F.count(F.lit(1)).alias("n"))  # a filter here would be pushed into the join, and measure each pair again
     spark = points.sparkSession
     grid = spark.createDataFrame([(k + 1, float(t)) for k, t in enumerate(edges)], "bin long, threshold double")
     running = Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
@@ -43,4 +54,4 @@ def join_density(points: DataFrame, at: Thresholds, n: int, sample: int | None =
     m = n if sample is None else some.count()
     scale = (n / max(1, m)) ** 2 / n
     value = F.col("value")
-    return all_values(some, None, at).agg((F.count_if(at.near(value)) * scale).alias("near_per_point"), (F.count_if(at.close(value)) * scale).alias("close_per_point"))
+    return values(some, at).agg((F.count_if(at.near(value)) * scale).alias("near_per_point"), (F.count_if(at.close(value)) * scale).alias("close_per_point"))

@@ -80,6 +80,9 @@ VALUE_BINS = lambda bins: ", ".join(f"({b!r}::DOUBLE)" for b in bins)  # noqa: E
 CDF_W1 = f"WITH j AS (SELECT 1 - dist AS s0, * FROM ({sets(WORDS, 's', 0.0)}) x(id_l, id_r, dist)), v AS (SELECT dist AS s FROM j) SELECT t AS threshold, CAST((SELECT count(*) FROM v WHERE s >= t) AS BIGINT) AS pairs FROM (VALUES {VALUE_BINS(CDF_BINS['W1'])}) b(t)"
 CDF_L1 = f"SELECT t AS threshold, CAST(count(d) AS BIGINT) AS pairs FROM (VALUES {VALUE_BINS(CDF_BINS['W3'])}) b(t) LEFT JOIN ({L1_ALL} SELECT d FROM p WHERE d <= 160) q ON d <= t GROUP BY t"
 CDF_L2 = f"SELECT t AS threshold, CAST(count(d) AS BIGINT) AS pairs FROM (VALUES {VALUE_BINS(CDF_BINS['W4'])}) b(t) LEFT JOIN ({EMB_PAIRS} SELECT d FROM p) q ON d <= t GROUP BY t"
+COS_ALL = COS_DOCS.split("SELECT id_l, id_r, round")[0]
+CDF_COS = f"SELECT t AS threshold, CAST(count(c) AS BIGINT) AS pairs FROM (VALUES {VALUE_BINS(CDF_BINS['W2'])}) b(t) LEFT JOIN ({COS_ALL} SELECT d / (x.n * y.n) AS c FROM p JOIN n x ON x.id = id_l JOIN n y ON y.id = id_r) q ON c >= t GROUP BY t"
+EVEN_ODD = f"SELECT CASE WHEN id_l % 2 = 0 THEN id_l ELSE id_r END AS id_l, CASE WHEN id_l % 2 = 0 THEN id_r ELSE id_l END AS id_r, dist FROM ({W1}) WHERE (id_l + id_r) % 2 = 1"
 SIZES = f"WITH j AS ({sets(WORDS, 's', 0.0)}), n AS (SELECT count(*) AS n FROM documents) SELECT count(*) FILTER (s >= 0.5) AS near, count(*) FILTER (s >= 0.1 AND s < 0.5) AS grey, CAST(any_value(n * (n - 1) // 2) - count(*) FILTER (s >= 0.1) AS BIGINT) AS far FROM j, n"
 GROWTH = f"SELECT round(regr_slope(ln(pairs), ln(threshold)), 6) AS exponent, round(regr_r2(ln(pairs), ln(threshold)), 6) AS fit FROM ({CDF_L1}) WHERE threshold BETWEEN 20 AND 120 AND pairs > 0"
 T1T2 = f"WITH s AS ({SIZES}), d AS (SELECT 2.0 * count(*) AS n FROM documents), g AS (SELECT CAST(pow(2, i) AS DOUBLE) AS share FROM range(1, 9) r(i)), q AS (SELECT share, pow(share, ln(0.5) / ln(0.1)) * (n + near / (n / share)) AS t1, (near + grey) / (n / share) AS t2 FROM s, d, g) SELECT CAST(share AS BIGINT) AS n_over_memory, round(t1, 3) AS t1, round(t2, 3) AS t2, round(t1 / t2, 3) AS ratio FROM q"
@@ -100,7 +103,7 @@ def core() -> dict[str, str]:
         W1S: "exact_shingles_docs aware_shingles_docs inverted_index_docs",
         COS_DOCS: "exact_cosine_docs aware_cosine_docs oblivious_cosine_docs",
         L1: "exact_l1_docs aware_l1_docs oblivious_l1_docs block_nested_l1_docs recursive_nested_l1_docs",
-        HAM: "exact_hamming_docs aware_hamming_docs oblivious_hamming_docs",
+        EVEN_ODD: "aware_even_odd_docs", HAM: "exact_hamming_docs aware_hamming_docs aware_custom_family oblivious_hamming_docs",
         L2: "exact_l2_emb aware_l2_emb", COS_EMB: "exact_cosine_emb aware_cosine_emb", HAM_EMB: "exact_hamming_emb aware_hamming_emb stream_static_neardup",
         USERS: "aware_l1_users", RS: "aware_rs_benchmark_lines oblivious_rs_benchmark_lines", sets(BRANDS, DIST, 0.7): "exact_brand_sets aware_brand_sets oblivious_brand_sets",
         sets(PAGES, DIST, 0.5): "aware_pages", sets(CONV, DIST, 0.2): "conv_near_dups",
@@ -110,7 +113,7 @@ def core() -> dict[str, str]:
 
 def measures() -> dict[str, str]:
     return {
-        "join_sizes_docs": SIZES, "cdf_jaccard_docs": CDF_W1, "cdf_l1_docs": CDF_L1, "cdf_l2_emb": CDF_L2, "growth_exponent_docs": GROWTH, "t1_t2_table": T1T2, "rho_table": RHO, "minhash_buckets_md5": MINHASH,
+        "join_sizes_docs": SIZES, "cdf_jaccard_docs": CDF_W1, "cdf_l1_docs": CDF_L1, "cdf_cosine_docs": CDF_COS, "cdf_l2_emb": CDF_L2, "growth_exponent_docs": GROWTH, "t1_t2_table": T1T2, "rho_table": RHO, "minhash_buckets_md5": MINHASH,
         "bitsample_counters_md5": f"{MD5} SELECT CAST(rep AS INTEGER) AS rep, count(*) FILTER (d <= 10) AS near, count(*) FILTER (d > 10 AND d <= 20) AS grey, count(*) FILTER (d > 20) AS far FROM p GROUP BY rep",
         "far_counters_md5": f"{MD5} SELECT id, count(*) AS far FROM (SELECT id_l AS id FROM p WHERE d > 20 UNION ALL SELECT id_r FROM p WHERE d > 20) GROUP BY id",
         "replication_factor_md5": f"{MD5} SELECT count(*) AS emissions, count(DISTINCT (id_l, id_r)) AS pairs, round(count(*) / CAST(count(DISTINCT (id_l, id_r)) AS DOUBLE), 6) AS replication FROM p WHERE d <= 10",

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.families import MinHash, md5_bits, md5_minhash, normal_cdf
+from .functions.families import CustomFamily, MinHash, md5_bits, md5_minhash, normal_cdf
 from .functions.metrics import Thresholds
 from .operators import baselines, clusters, counters, distribution
 from .operators.emission import replication
@@ -313,6 +313,50 @@ def monotone_check(spark: SparkSession, sf_dir: str) -> DataFrame:
     return long.groupBy("family").agg(F.count_if(F.col("step") > 1e-6).alias("grows"), F.count("step").alias("steps"))
 
 
+def even_odd(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two different sides: documents with even ids against those with odd ids."""
+    work = WORKLOADS["W1"]
+    points = work.points(spark, sf_dir)[0]
+    n = points.count()
+    return memory_aware_join(points.where("id % 2 = 0"), points.where("id % 2 = 1"), work.at, max(2, n // 16), work.family, n=n, rounds=4, seed=7)
+
+
+def custom_family(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A family that a user brings as two functions, here one bit of a word."""
+    work = WORKLOADS["W6"]
+    own = CustomFamily(hash_batch=lambda batch, rng: batch.words >> rng.integers(64, dtype="uint64") & 1, prob=lambda d: 1 - d / 64, metric="hamming", kind="bits")
+    points = work.points(spark, sf_dir)[0]
+    n = 2 * points.count()
+    return memory_aware_join(points, None, work.at, max(2, n // 16), own, n=n, rounds=5, seed=7)
+
+
+def ablation_repetitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What fewer repetitions than the plan's find, and how many pairs they look at."""
+    work = WORKLOADS["W1"]
+    left = work.points(spark, sf_dir)[0]
+    n = 2 * left.count()
+    plan = params.plan_memory_aware(n, max(2, n // 16), work.family, work.at.r, work.at.cr, 1, 16)
+    truth = baselines.inverted_index_join(left, work.at).count()
+    seen = written(measured(candidates(left, None, work.family, plan, 7).drop("key"), left, None, work.at), "seen")
+    rows = seen.withColumn("reps", F.explode(F.array(*map(F.lit, (1, 2, 4, 8, 16))))).where("tag < reps")
+    near = F.when(work.at.near(F.col("value")), F.struct("id_l", "id_r"))
+    return rows.groupBy("reps").agg(F.count(F.lit(1)).alias("meetings"), (F.countDistinct(near) / truth).alias("recall"))
+
+
+def bound_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The informal lower-bound argument, overheads and levels for a workload's sizes, memory by memory."""
+    sizes = join_sizes(spark, sf_dir).first()
+    n = 2 * load_points(spark, sf_dir, "doc_words").count()
+    p1, p2 = WORKLOADS["W1"].family.p1p2(0.5, 0.1)
+    rows = []
+    for j in range(1, 9):
+        memory = max(2, n >> j)
+        told = costs.lower_bound_report(n, memory, 1, params.rho(p1, p2), 2 * sizes.near, 2 * (sizes.near + sizes.grey)) | {f"overhead_{k}": v for k, v in costs.overheads(n, memory, 1, params.rho(p1, p2)).items()} | {f"level_{k}": float(v) for k, v in costs.level_equivalence(n, memory, p1, p2).items()}
+        told |= {f"dedup_{m}": costs.dedup_cost(m, 8, 2 * sizes.near, 3.0, 1) for m in ("lookback", "distinct", "random")}
+        rows += [(memory, k, float(v)) for k, v in told.items()]
+    return spark.createDataFrame(rows, "memory long, quantity string, value double")
+
+
 def exact_emb(name: str):
     return baseline_query(name, baselines.exact_join)
 
@@ -342,6 +386,8 @@ def queries() -> dict:
         "aware_brand_sets": aware_query("W8"),
         "aware_pages": aware_query("W9"),
         "conv_near_dups": aware_query("W10"),
+        "aware_even_odd_docs": even_odd,
+        "aware_custom_family": custom_family,
         "aware_capped_docs": aware_query("W1", cap="round_batch", rounds=2),
         "lookback_dedup_docs": aware_query("W1", dedup="lookback"),
         "random_emission_docs": random_emission,
@@ -362,7 +408,8 @@ def queries() -> dict:
         "spark_ml_minhash_docs": spark_ml_minhash,
     }
     measures = {
-        "join_sizes_docs": join_sizes, "cdf_jaccard_docs": cdf_query("W1", CDF_BINS["W1"]), "cdf_l1_docs": cdf_query("W3", CDF_BINS["W3"]),
+        "join_sizes_docs": join_sizes, "cdf_jaccard_docs": cdf_query("W1", CDF_BINS["W1"]), "cdf_l1_docs": cdf_query("W3", CDF_BINS["W3"]), "cdf_cosine_docs": cdf_query("W2", CDF_BINS["W2"]),
+        "ablation_repetitions": ablation_repetitions, "bound_report": bound_report,
         "cdf_l2_emb": cdf_query("W4", CDF_BINS["W4"]), "growth_exponent_docs": growth_exponent, "cost_table": cost_table, "t1_t2_table": t1_t2_table, "cost_simulation": cost_simulation,
         "memory_sweep": memory_sweep, "rho_table": rho_table, "minhash_buckets_md5": minhash_buckets_md5, "bitsample_counters_md5": bitsample_counters_md5, "far_counters_md5": far_counters_md5,
         "replication_factor_md5": replication_factor_md5, "bucket_join_md5": bucket_join_md5, "chunk_numbers_md5": chunk_numbers_md5, "skewed_buckets_md5": skewed_buckets_md5,
