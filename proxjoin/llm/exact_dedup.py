@@ -16,7 +16,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import SPACES, fresh, written
@@ -57,18 +57,23 @@ def exact_groups(docs: DataFrame, digest: Callable[[Column], Column] = sha256, s
     return members.select("doc_id", "digest", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "rows")
 
 
-def exact_dedup(docs: DataFrame, salts: int = SALTS) -> DataFrame:
-    """docs without the rows whose content another row has already; same columns.
+def exact_dedup(docs: DataFrame, digest: Callable[[Column], Column] = sha256, salts: int = SALTS) -> DataFrame:
+    """docs with one row of each content, the one with the smallest doc_id; same columns.
 
-    Only ids travel: the dropped ones are a written table whose size the planner
-    knows, so texts are shuffled for the anti join only where it is large.
+    The same two groupings carry the best whole row instead of its id, so nothing
+    is joined back. Of rows that repeat a doc_id, the smallest by the other
+    columns stays, which must be of types that can be ordered. A text travels
+    beside its content only where the two differ.
     """
-    groups = written(exact_groups(docs, salts=salts), "exact")
-    gone, digest = fresh(docs, "gone", "digest")
-    dropped = groups.where(~F.col("kept")).select(F.col("doc_id").alias(gone), F.col("digest").alias(digest))
-    kept = docs.join(dropped, docs["doc_id"].eqNullSafe(dropped[gone]) & (sha256(content_of(docs["text"])) == dropped[digest]), "left_anti")
-    if groups.where("kept and rows > 1").isEmpty():
-        return kept
-    number, key = fresh(docs, "number", "digest")
-    one = Window.partitionBy("doc_id", key).orderBy(*[F.col(c) for c, kind in docs.dtypes if not kind.startswith(("map", "variant"))])
-    return kept.withColumn(key, sha256(content_of(F.col("text")))).withColumn(number, F.row_number().over(one)).where(F.col(number) == 1).select(*docs.columns)
+    content, digest_, part, row = fresh(docs, "content", "digest", "part", "row")
+    rest = [c for c in docs.columns if c not in ("doc_id", "text")]
+    shape = content_of(F.col("text"))
+    raw = F.when(F.col("text").isNull() | (F.col("text") != shape), F.struct(F.col("text").alias("text")))
+    fields = [F.col("doc_id").isNull().alias("no_id"), F.col("doc_id").alias("id"), *[F.col(c).alias(f"c{k}") for k, c in enumerate(rest)], raw.alias("raw")]
+    rows = docs.select(shape.alias(content), F.struct(*fields).alias(row), F.spark_partition_id().alias(part))
+    keyed = rows.select(content, row, digest(F.col(content)).alias(digest_), F.pmod(F.xxhash64(part), F.lit(salts)).alias(part))
+    winners = keyed.groupBy(digest_, part, content).agg(F.min(row).alias(row))
+    kept = winners.groupBy(digest_, content).agg(F.min(row).alias(row))
+    text = F.when(F.col(f"{row}.raw").isNull(), F.col(content)).otherwise(F.col(f"{row}.raw.text"))
+    values = {"doc_id": F.col(f"{row}.id"), "text": text} | {c: F.col(f"{row}.c{k}") for k, c in enumerate(rest)}
+    return kept.select(*[values[c].alias(c) for c in docs.columns])

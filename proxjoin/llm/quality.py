@@ -23,7 +23,7 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import fresh, let, unit_draw, words, written
+from .common import let, unit_draw, words, written
 
 WINDOW, FEWEST_WORDS, MOST_REPEATED = 8, 20, 30
 RISK, DELTA, BAD_PER_GOOD = 0.02, 0.05, 50
@@ -60,19 +60,32 @@ def repeated_words(listed: Column, width: int = WINDOW) -> Column:
     return F.when(F.size(listed) < width, F.lit(0)).otherwise(let(let(hashes, windows), count))
 
 
-def measures(docs: DataFrame, stratum: str = "lang") -> DataFrame:
-    """doc_id, stratum, counts and shares of every text, written once as narrow rows."""
+COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_capitals")
+
+
+def with_measures(docs: DataFrame) -> tuple[DataFrame, str]:
+    """docs with the counts, shares and base test of every text, and the prefix of these columns' names, which clash with none of docs'."""
+    prefix = "q_"
+    while any(c.lower().startswith(prefix) for c in docs.columns):
+        prefix = f"_{prefix}"
     text = F.coalesce(F.col("text"), F.lit(""))
     only = lambda kinds: F.length(F.regexp_replace(text, f"[^{kinds}]+", ""))
     wordy = F.filter(F.split(text, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     counts = let(words(F.col("text")), lambda w: F.struct(F.size(w).alias("n"), F.length(F.array_join(w, "")).alias("chars"), repeated_words(w).alias("again")))
     lines = let(wordy, lambda x: F.struct(F.size(x).alias("n"), (F.size(x) - F.size(F.array_distinct(x))).alias("dup")))
-    row = docs.select("doc_id", F.col(stratum).alias("stratum"), counts.alias("c"), lines.alias("l"), only("#*$%&|<>").alias("symbols"), only("A-Z").alias("capitals"))
-    flat = row.select("doc_id", "stratum", *[F.col(c).cast("long").alias(a) for c, a in (("c.n", "n_words"), ("c.chars", "word_chars"), ("symbols", "n_symbols"), ("l.dup", "n_dup_lines"), ("c.again", "n_repeat_words"), ("l.n", "n_lines"), ("capitals", "n_capitals"))])
-    share = lambda a, b: F.when(F.col(b) > 0, F.col(a) / F.col(b)).otherwise(F.lit(0.0))
+    row = docs.select("*", *[c.alias(prefix + name) for c, name in ((counts, "c"), (lines, "l"), (only("#*$%&|<>"), "s"), (only("A-Z"), "k"))])
+    own = ("c.n", "c.chars", "s", "l.dup", "c.again", "l.n", "k")
+    flat = row.select(*docs.columns, *[F.col(prefix + c).cast("long").alias(prefix + name) for c, name in zip(own, COUNTS, strict=True)])
+    share = lambda a, b: F.when(F.col(prefix + b) > 0, F.col(prefix + a) / F.col(prefix + b)).otherwise(F.lit(0.0))
     shares = {"symbol_share": share("n_symbols", "word_chars"), "capital_share": share("n_capitals", "word_chars"), "repeat_share": share("n_repeat_words", "n_words"), "dup_line_share": share("n_dup_lines", "n_lines"), "word_length": share("word_chars", "n_words")}
-    failed = (F.col("n_words") < FEWEST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED * F.col("n_words"))
-    return written(flat.withColumns(shares).withColumn("base_failed", failed), "measures")
+    failed = (F.col(prefix + "n_words") < FEWEST_WORDS) | (100 * F.col(prefix + "n_repeat_words") > MOST_REPEATED * F.col(prefix + "n_words"))
+    return flat.withColumns({prefix + n: c for n, c in shares.items()}).withColumn(prefix + "base_failed", failed), prefix
+
+
+def measures(docs: DataFrame, stratum: str = "lang") -> DataFrame:
+    """doc_id, stratum, counts, shares and base_failed of every text, written once as narrow rows."""
+    rows, prefix = with_measures(docs.select("doc_id", F.col(stratum).alias("stratum"), "text"))
+    return written(rows.select("doc_id", "stratum", *[F.col(prefix + c).alias(c) for c in (*COUNTS, *RULES, "base_failed")]), "measures")
 
 
 def as_likely(seen: Column, of: Column, rate: float) -> Column:
@@ -117,31 +130,34 @@ def cutoffs(measured: DataFrame, labels: DataFrame, risk: float = RISK, delta: f
     return sure.select("stratum", F.transform(F.slice("proposed", F.lit(1), F.col("rank")), lambda p: F.struct(p["rule"].alias("rule"), p["cutoff"].alias("cutoff"))).alias("in_force"))
 
 
-def rejects(rule: Column, rules: dict = RULES) -> Column:
+def rejects(rule: Column, rules: dict = RULES, prefix: str = "") -> Column:
     """Whether a (rule, cutoff) rejects the row."""
     value = F.lit(None).cast("double")
     for name in rules:
-        value = F.when(rule["rule"] == name, F.col(name)).otherwise(value)
+        value = F.when(rule["rule"] == name, F.col(prefix + name)).otherwise(value)
     return value > rule["cutoff"]
 
 
+def verdicts(measured: DataFrame, force: DataFrame, stratum: str, prefix: str = "") -> DataFrame:
+    """measured with kept; what is in force, a row for each stratum, is a written table whose size the planner knows."""
+    of, rules, kept = prefix + "of", prefix + "in_force", prefix + "kept"
+    joined = measured.join(force.toDF(of, rules), F.col(stratum).eqNullSafe(F.col(of)), "left")
+    out = F.coalesce(F.exists(rules, lambda r: rejects(r, prefix=prefix)), F.lit(False))
+    return joined.withColumn(kept, ~F.col(prefix + "base_failed") & ~out).drop(of, rules)
+
+
 def judged(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: float = RISK, delta: float = DELTA) -> DataFrame:
     """The measures of each document with base_failed and kept."""
     measured = measures(docs, stratum)
-    force = written(cutoffs(measured, labels, risk, delta), "cutoffs")
-    joined = measured.join(force.withColumnRenamed("stratum", "of"), measured["stratum"].eqNullSafe(F.col("of")), "left")
-    out = F.coalesce(F.exists("in_force", lambda r: rejects(r)), F.lit(False))
-    return joined.withColumn("kept", ~F.col("base_failed") & ~out).drop("of", "in_force")
+    return verdicts(measured, written(cutoffs(measured, labels, risk, delta), "cutoffs"), "stratum")
 
 
 def quality_filter(docs: DataFrame, labels: DataFrame, stratum: str = "lang") -> DataFrame:
-    """docs without those that the base test or a rule in force rejects; same columns.
+    """docs without the rows that the base test or a rule in force rejects; same columns.
 
-    The verdicts are joined by id as a written table: rejected ids are few, and
-    the planner broadcasts them where they are small. A doc_id is rejected only
-    if all rows that repeat it are.
+    A verdict follows from the row and its stratum's cutoffs, so rows are measured
+    again where they stand: no text is shuffled, and no list of ids is joined.
     """
-    verdict = written(judged(docs, labels, stratum).groupBy("doc_id").agg(F.max("kept").alias("kept")), "verdicts")
-    (gone,) = fresh(docs, "gone")
-    rejected = verdict.where(~F.col("kept")).select(F.col("doc_id").alias(gone))
-    return docs.join(rejected, docs["doc_id"].eqNullSafe(rejected[gone]), "left_anti")
+    force = written(cutoffs(measures(docs, stratum), labels), "cutoffs")
+    rows, prefix = with_measures(docs)
+    return verdicts(rows, force, stratum, prefix).where(F.col(prefix + "kept")).select(*docs.columns)
