@@ -99,16 +99,15 @@ def buckets_for(docs: DataFrame, each: int, least: int = 16) -> int:
 def sub_batches(batch: pa.RecordBatch, most: int) -> Iterator[tuple[np.ndarray, list[str | None]]]:
     """Ids (NULL for null) in ascending order with their texts, about ``most`` bytes at a time."""
     ids = batch.column(0).fill_null(NULL).to_numpy(zero_copy_only=False).astype(np.int64)
-    texts = batch.column(1).to_pylist()
-    here: list[int] = []
-    size = 0
-    for k in range(len(texts)):
-        here.append(k)
-        size += len(texts[k] or "")
-        if size >= most or k == len(texts) - 1:
-            order = np.array(here)[np.argsort(ids[here], kind="stable")]
-            yield ids[order], [texts[j] for j in order.tolist()]
-            here, size = [], 0
+    first, texts, size = 0, [], 0
+    for k in range(0, batch.num_rows, 64):  # only what is held becomes Python text
+        some = batch.column(1).slice(k, 64).to_pylist()
+        texts += some
+        size += sum(len(t or "") for t in some)
+        if size >= most or k + 64 >= batch.num_rows:
+            order = np.argsort(ids[first : first + len(texts)], kind="stable")
+            yield ids[first : first + len(texts)][order], [texts[j] for j in order.tolist()]
+            first, texts, size = first + len(texts), [], 0
 
 
 def squeezed(*arrays: np.ndarray, level: int = 1) -> bytes:

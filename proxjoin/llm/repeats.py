@@ -34,7 +34,7 @@ from .common import words
 
 WINDOW, HASH_BYTES = 20, 7
 #: Bytes of text taken together in one step of a task, and in one bucket.
-STEP, EACH = 8 << 20, 8 << 20
+STEP, EACH = 4 << 20, 8 << 20
 KINDS = [("bucket", pa.int64()), ("kind", pa.int64()), ("data", pa.binary())]
 SPAN = pa.struct([("start", pa.int64()), ("words", pa.int64()), ("source_doc", pa.int64()), ("source_start", pa.int64())])
 CUT = [("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.string()), ("spans", pa.list_(SPAN))]
@@ -132,7 +132,7 @@ def texts_by_bucket(docs: DataFrame, buckets: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for ids, texts in sub_batches(batch, 4 * STEP):
+            for ids, texts in sub_batches(batch, 8 * STEP):
                 bucket = bucket_of(ids, buckets)
                 order = np.argsort(bucket, kind="stable")
                 cuts = np.flatnonzero(np.diff(bucket[order], prepend=-1))
