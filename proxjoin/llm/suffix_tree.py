@@ -46,7 +46,7 @@ DEPTH, RAREST, GAIN = 3, 1e-5, 1e-6
 #: Bits of a symbol, so that a context and what follows it fit in 64; symbols that no text has.
 WIDE, END, START, FIRST = 20, 0, 1, 2
 FOLDS, HELD_OUT = 5, 1
-STEP, EACH = 24 << 20, 16 << 20
+STEP, EACH = 12 << 20, 16 << 20
 BATCH = [("batch", pa.int64()), ("bucket", pa.int64()), ("held", pa.bool_()), ("data", pa.binary())]
 PLACED = [("batch", pa.int64()), ("data", pa.binary())]
 SCORES = [("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())]
