@@ -75,3 +75,34 @@ def unit_draw(*tags: Column | str) -> Column:
     """A number in [0, 1) that depends on the tags alone: 52 bits of their MD5."""
     text = F.concat_ws(":", *[F.coalesce(F.col(t).cast("string") if isinstance(t, str) else t.cast("string"), F.lit("null")) for t in tags])
     return F.conv(F.substring(F.md5(text), 1, 13), 16, 10).cast("long") / F.lit(float(16**13))
+
+
+def text_key(text: Column) -> Column:
+    """Tells texts apart; a null text is the empty text."""
+    return F.unhex(F.sha2(F.coalesce(text, F.lit("")), 256))
+
+
+def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The docs with one row of each label of groups (doc_id, key, label: a row for each of docs); same columns.
+
+    Rows are told apart by doc_id and text_key: the smallest doc_id stays, a null
+    after all others, then the smallest key. Of rows that share both, the smallest
+    by its columns stays, which must be of types that can be ordered.
+    """
+    key, gone, text = fresh(docs, "key", "gone", "twin")
+    place = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "key")
+    several = groups.groupBy("label").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    rows = written(groups.join(several, "label").select("doc_id", "key", place.eqNullSafe(F.col("first")).alias("stays")), "several")
+    keyed = docs.withColumn(key, text_key(F.col("text")))
+    same = lambda other: keyed["doc_id"].eqNullSafe(other[gone]) & (keyed[key] == other[text])
+    named = lambda some: some.select(F.col("doc_id").alias(gone), F.col("key").alias(text))
+    dropped = named(rows.where("not stays")).distinct()
+    twins = named(rows.where("stays").groupBy("doc_id", "key").count().where("count > 1"))
+    kept = keyed.join(dropped, same(dropped), "left_anti").drop(key)
+    if twins.isEmpty():
+        return kept
+    dropped = dropped.union(twins)
+    kept = keyed.join(dropped, same(dropped), "left_anti").drop(key)
+    fields = F.struct(*[F.col(c).alias(f"c{k}") for k, c in enumerate(docs.columns)])
+    least = keyed.join(twins, same(twins), "left_semi").groupBy("doc_id", key).agg(F.min(fields).alias(gone))
+    return kept.union(least.select(*[F.col(f"{gone}.c{k}").alias(c) for k, c in enumerate(docs.columns)]))
