@@ -135,11 +135,11 @@ def opened(data: bytes) -> list[np.ndarray]:
 
 
 def places_packed(ids: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, ...]:
-    """(id, start) in ascending order as runs of ids, their counts, and steps of starts."""
+    """(id, start) by runs of ids as these, their counts, and steps of starts, which go back where a place comes twice."""
     new = np.flatnonzero(np.diff(ids, prepend=~ids[:1]) != 0)
     steps = np.diff(starts, prepend=0)
     steps[new] = starts[new]
-    return np.diff(ids[new], prepend=0), np.diff(np.r_[new, len(ids)]).astype("<u4"), steps.astype("<u4")
+    return np.diff(ids[new], prepend=0), np.diff(np.r_[new, len(ids)]).astype("<u4"), steps.astype("<u4" if not len(steps) or steps.min() >= 0 else "<i8")
 
 
 def places_opened(ids: np.ndarray, counts: np.ndarray, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
