@@ -134,36 +134,39 @@ def opened(data: bytes) -> list[np.ndarray]:
     return out
 
 
-def places_packed(ids: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, ...]:
-    """(id, start) by runs of ids as these, their counts, and steps of starts, which go back where a place comes twice."""
-    new = np.flatnonzero(np.diff(ids, prepend=~ids[:1]) != 0)
+def places_packed(ids: np.ndarray, starts: np.ndarray, *more: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(id, more, start) by runs of ids and more as these, their counts, and steps of starts, which go back where a place comes twice."""
+    new = np.diff(ids, prepend=~ids[:1]) != 0
+    for m in more:
+        new |= np.diff(m, prepend=m[:1]) != 0
+    new = np.flatnonzero(new)
     steps = np.diff(starts, prepend=0)
     steps[new] = starts[new]
-    return np.diff(ids[new], prepend=0), np.diff(np.r_[new, len(ids)]).astype("<u4"), steps.astype("<u4" if not len(steps) or steps.min() >= 0 else "<i8")
+    return np.diff(ids[new], prepend=0), np.diff(np.r_[new, len(ids)]).astype("<u4"), steps.astype("<u4" if not len(steps) or steps.min() >= 0 else "<i8"), *(np.diff(m[new], prepend=0) for m in more)
 
 
-def places_opened(ids: np.ndarray, counts: np.ndarray, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def places_opened(ids: np.ndarray, counts: np.ndarray, steps: np.ndarray, *more: np.ndarray) -> tuple[np.ndarray, ...]:
     all_ids = np.repeat(np.cumsum(ids), counts)
     total = np.cumsum(steps, dtype=np.int64)
     first = np.cumsum(counts, dtype=np.int64) - counts
     before = np.where(first > 0, total[np.maximum(first, 1) - 1], 0) if len(first) else first
-    return all_ids, total - np.repeat(before, counts)
+    return all_ids, total - np.repeat(before, counts), *(np.repeat(np.cumsum(m), counts) for m in more)
 
 
 def rows(names_types: list[tuple[str, pa.DataType]], *columns: list) -> pa.Table:
     return pa.table([pa.array(c, t) for c, (_, t) in zip(columns, names_types, strict=True)], names=[n for n, _ in names_types])
 
 
-def texts_packed(ids: np.ndarray, texts: list[str | None]) -> bytes:
+def texts_packed(ids: np.ndarray, texts: list[str | None], *more: np.ndarray) -> bytes:
     raws = [(t or "").encode() for t in texts]
     body = zstandard.ZstdCompressor(level=3).compress(b"".join(raws))
-    head = squeezed(np.asarray(ids, "<i8"), np.array([len(r) for r in raws], "<u4"))
+    head = squeezed(np.asarray(ids, "<i8"), np.array([len(r) for r in raws], "<u4"), *more)
     return struct.pack("<I", len(head)) + head + body
 
 
-def texts_opened(data: bytes) -> tuple[np.ndarray, list[bytes]]:
+def texts_opened(data: bytes) -> tuple:
     (size,) = struct.unpack_from("<I", data)
-    ids, lengths = opened(data[4 : 4 + size])
+    ids, lengths, *more = opened(data[4 : 4 + size])
     body = zstandard.ZstdDecompressor().decompress(data[4 + size :])
     stops = np.cumsum(lengths, dtype=np.int64)
-    return ids, [body[a:b] for a, b in zip((stops - lengths).tolist(), stops.tolist(), strict=True)]
+    return ids, [body[a:b] for a, b in zip((stops - lengths).tolist(), stops.tolist(), strict=True)], *more

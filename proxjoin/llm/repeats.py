@@ -14,8 +14,9 @@ Edges compare by 56 bits of a hash and log2(buckets) bits of another, and the
 buckets grow with the data, so chance equality stays rare at any size.
 
 Defined cases: a null text has no words; documents under WINDOW words keep all;
-rows that repeat a doc_id are the same place, neither being earlier; a null
-doc_id comes after all others; an empty table gives an empty result. A text is
+a null doc_id comes after all others; rows that share a doc_id, or have none, are
+told apart by 64 hash bits of their texts and follow each other by these, and if
+the texts are equal too, are the same place, neither being earlier; an empty table gives an empty result. A text is
 never cut: very long ones only make their task's arrays longer. Extra columns
 are ignored.
 """
@@ -30,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import BASES, NULL, bucket_of, buckets_for, opened, places_opened, places_packed, rows, spans_hashed, squeezed, sub_batches, texts_opened, texts_packed, word_hashes
-from .common import words
+from .common import words, written
 
 WINDOW, HASH_BYTES = 20, 7
 #: Bytes of text taken together in one step of a task, and in one bucket.
@@ -42,15 +43,35 @@ CUT_SQL = "doc_id long, n_words long, n_removed long, kept string, spans array<s
 EDGES, LATER = 0, 1
 
 
-def later_packed(ids: np.ndarray, starts: np.ndarray, source: np.ndarray, source_start: np.ndarray, buckets: int) -> Iterator[tuple[int, bytes]]:
+def told_apart(docs: DataFrame) -> DataFrame:
+    """doc_id, row, text: row is 0 where the doc_id alone names a text, and else a hash of the text."""
+    content = F.xxhash64(F.coalesce("text", F.lit("")))
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    hashed = docs.where("doc_id is not null").select("doc_id", content.alias("row"))
+    several = written(hashed.groupBy("doc_id").agg(F.min("row").alias("least"), F.max("row").alias("most")).where("least < most").select("doc_id", F.lit(True).alias("several")), "several")
+    if several.isEmpty():
+        return docs.select("doc_id", F.when(F.col("doc_id").isNull(), content).otherwise(0).alias("row"), "text")
+    return docs.join(several, "doc_id", "left").select("doc_id", F.when(F.col("doc_id").isNull() | F.col("several"), content).otherwise(0).alias("row"), "text")
+
+
+def row_batches(batch: pa.RecordBatch, most: int) -> Iterator[tuple[np.ndarray, np.ndarray, list[str | None]]]:
+    """Ids (NULL for null), rows and texts, by ids and rows, about ``most`` bytes at a time."""
+    ids = batch.column(0).fill_null(NULL).to_numpy(zero_copy_only=False).astype(np.int64)
+    row = batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
+    for at, texts in sub_batches(pa.record_batch([pa.array(np.arange(batch.num_rows)), batch.column(2)], names=["at", "text"]), most):
+        order = np.lexsort((row[at], ids[at]))
+        yield ids[at][order], row[at][order], [texts[k] for k in order.tolist()]
+
+
+def later_packed(ids: np.ndarray, row: np.ndarray, starts: np.ndarray, source: np.ndarray, source_row: np.ndarray, source_start: np.ndarray, buckets: int) -> Iterator[tuple[int, bytes]]:
     """Later occurrences by the bucket of their document."""
-    bucket = bucket_of(ids, buckets)
-    order = np.lexsort((starts, ids, bucket))
+    bucket = bucket_of(ids + row, buckets)
+    order = np.lexsort((starts, row, ids, bucket))
     bucket = bucket[order]
     cuts = np.flatnonzero(np.diff(bucket, prepend=-1))
     for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)], strict=True):
         some = order[a:b]
-        yield int(bucket[a]), squeezed(*places_packed(ids[some], starts[some]), np.diff(source[some], prepend=0), np.diff(source_start[some], prepend=0))
+        yield int(bucket[a]), squeezed(*places_packed(ids[some], starts[some], row[some]), np.diff(source[some], prepend=0), np.diff(source_row[some], prepend=0), np.diff(source_start[some], prepend=0))
 
 
 def edges(docs: DataFrame, buckets: int, window: int = WINDOW) -> DataFrame:
@@ -58,7 +79,7 @@ def edges(docs: DataFrame, buckets: int, window: int = WINDOW) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for ids, texts in sub_batches(batch, STEP):
+            for ids, row, texts in row_batches(batch, STEP):
                 hashes, counts = word_hashes(texts)
                 if len(hashes) < window:
                     continue
@@ -69,26 +90,26 @@ def edges(docs: DataFrame, buckets: int, window: int = WINDOW) -> DataFrame:
                 key = spans_hashed(hashes, at, at + window, BASES[1])
                 deal = (spans_hashed(hashes, at, at + window, BASES[2]) % np.uint64(buckets)).astype(np.uint16 if buckets <= 1 << 16 else np.int64)
                 doc = np.repeat(np.arange(len(ids)), counts)[at]
-                place = ids[doc]
+                place, own = ids[doc], row[doc]
                 start = at - (last[at] - counts[doc])
                 _, first, which = np.unique(key, return_index=True, return_inverse=True)
                 mine = first[which]
-                twin = (place[mine] == place) & (start[mine] == start)
+                twin = (place[mine] == place) & (own[mine] == own) & (start[mine] == start)
                 out: list[tuple[int, int, bytes]] = []
                 again = np.flatnonzero(~twin)
                 if len(again):
-                    out += [(b, LATER, data) for b, data in later_packed(place[again], start[again], place[mine[again]], start[mine[again]], buckets)]
+                    out += [(b, LATER, data) for b, data in later_packed(place[again], own[again], start[again], place[mine[again]], own[mine[again]], start[mine[again]], buckets)]
                 kept = np.flatnonzero(twin)
                 kept = kept[np.argsort(deal[kept], kind="stable")]
                 cuts = np.flatnonzero(np.diff(deal[kept].astype(np.int64), prepend=-1))
                 for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(kept)], strict=True):
                     some = kept[a:b]
-                    head = squeezed(*places_packed(place[some], start[some]))
+                    head = squeezed(*places_packed(place[some], start[some], own[some]))
                     tail = np.ascontiguousarray(key[some].astype("<u8").view(np.uint8).reshape(-1, 8)[:, :HASH_BYTES]).tobytes()
                     out.append((int(deal[some[0]]), EDGES, len(tail).to_bytes(4, "little") + tail + head))
                 yield from rows(KINDS, *map(list, zip(*out, strict=True))).to_batches()
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "bucket long, kind long, data binary")
+    return docs.mapInArrow(run, "bucket long, kind long, data binary")
 
 
 def sources(found: DataFrame, buckets: int) -> DataFrame:
@@ -96,7 +117,7 @@ def sources(found: DataFrame, buckets: int) -> DataFrame:
 
     def resolve(table: pa.Table) -> pa.Table:
         out = [(b, d) for b, k, d in zip(*(table.column(c).to_pylist() for c in ("bucket", "kind", "data")), strict=True) if k == LATER]
-        keys, ids, starts = [], [], []
+        keys, ids, own, starts = [], [], [], []
         for kind, data in zip(table.column("kind").to_pylist(), table.column("data"), strict=True):
             if kind != EDGES:
                 continue
@@ -105,23 +126,24 @@ def sources(found: DataFrame, buckets: int) -> DataFrame:
             wide = np.zeros((size // HASH_BYTES, 8), np.uint8)
             wide[:, :HASH_BYTES] = np.frombuffer(data, np.uint8, size, 4).reshape(-1, HASH_BYTES)
             keys.append(wide.view("<u8").reshape(-1))
-            i, s = places_opened(*opened(data[4 + size :]))
+            i, s, r = places_opened(*opened(data[4 + size :]))
             ids.append(i)
+            own.append(r)
             starts.append(s)
         if keys:
-            key, doc, start = map(np.concatenate, (keys, ids, starts))
-            del keys, ids, starts
+            key, doc, row, start = map(np.concatenate, (keys, ids, own, starts))
+            del keys, ids, own, starts
             order = np.argsort(key)
             same = np.diff(key[order]) == 0
             met = order[np.r_[False, same] | np.r_[same, False]]
             if len(met):
-                met = met[np.lexsort((start[met], doc[met], key[met]))]
+                met = met[np.lexsort((start[met], row[met], doc[met], key[met]))]
                 new = np.r_[True, np.diff(key[met]) != 0]
                 first = met[np.flatnonzero(new)][np.cumsum(new) - 1]
-                late = (doc[met] != doc[first]) | (start[met] != start[first])
+                late = (doc[met] != doc[first]) | (row[met] != row[first]) | (start[met] != start[first])
                 met, first = met[late], first[late]
                 if len(met):
-                    out += later_packed(doc[met], start[met], doc[first], start[first], buckets)
+                    out += later_packed(doc[met], row[met], start[met], doc[first], row[first], start[first], buckets)
         return rows([KINDS[0], KINDS[2]], [b for b, _ in out], [d for _, d in out])
 
     return found.groupBy("bucket").applyInArrow(resolve, "bucket long, data binary")
@@ -132,19 +154,19 @@ def texts_by_bucket(docs: DataFrame, buckets: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for ids, texts in sub_batches(batch, 8 * STEP):
-                bucket = bucket_of(ids, buckets)
+            for ids, row, texts in row_batches(batch, 8 * STEP):
+                bucket = bucket_of(ids + row, buckets)
                 order = np.argsort(bucket, kind="stable")
                 cuts = np.flatnonzero(np.diff(bucket[order], prepend=-1))
                 parts = [order[a:b] for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)], strict=True)]
-                yield from rows([KINDS[0], KINDS[2]], [int(bucket[p[0]]) for p in parts], [texts_packed(ids[p], [texts[k] for k in p.tolist()]) for p in parts]).to_batches()
+                yield from rows([KINDS[0], KINDS[2]], [int(bucket[p[0]]) for p in parts], [texts_packed(ids[p], [texts[k] for k in p.tolist()], row[p]) for p in parts]).to_batches()
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "bucket long, data binary")
+    return docs.mapInArrow(run, "bucket long, data binary")
 
 
-def paths(starts: np.ndarray, source: np.ndarray, source_start: np.ndarray, window: int) -> list[dict]:
+def paths(starts: np.ndarray, source: np.ndarray, source_row: np.ndarray, source_start: np.ndarray, window: int) -> list[dict]:
     """Nonbranching paths of the later edges of one document, in ascending order, as spans."""
-    step = (np.diff(starts) == 1) & (np.diff(source) == 0) & (np.diff(source_start) == 1)
+    step = (np.diff(starts) == 1) & (np.diff(source) == 0) & (np.diff(source_row) == 0) & (np.diff(source_start) == 1)
     at = np.flatnonzero(np.r_[True, ~step])
     number = np.diff(np.r_[at, len(starts)])
     return [{"start": s, "words": n + window - 1, "source_doc": None if d == NULL else d, "source_start": t} for s, n, d, t in zip(starts[at].tolist(), number.tolist(), source[at].tolist(), source_start[at].tolist(), strict=True)]
@@ -157,24 +179,25 @@ def substring_dedup(docs: DataFrame, window: int = WINDOW, buckets: int | None =
     def cut(texts: pa.Table, later: pa.Table) -> pa.Table:
         parts = [opened(d.as_py()) for d in later.column("data")]
         if parts:
-            places = [places_opened(*p[:3]) for p in parts]
-            ids, starts = (np.concatenate(x) for x in zip(*places, strict=True))
-            source, source_start = (np.concatenate([np.cumsum(p[k]) for p in parts]) for k in (3, 4))
-            order = np.lexsort((starts, ids))
-            ids, starts, source, source_start = ids[order], starts[order], source[order], source_start[order]
+            ids, starts, row = (np.concatenate(x) for x in zip(*[places_opened(*p[:4]) for p in parts], strict=True))
+            source, source_row, source_start = (np.concatenate([np.cumsum(p[k]) for p in parts]) for k in (4, 5, 6))
+            order = np.lexsort((starts, row, ids))
+            ids, row, starts, source, source_row, source_start = (x[order] for x in (ids, row, starts, source, source_row, source_start))
         else:
-            ids = starts = source = source_start = np.zeros(0, np.int64)
+            ids = row = starts = source = source_row = source_start = np.zeros(0, np.int64)
+        cuts = np.flatnonzero((np.diff(ids, prepend=~ids[:1]) != 0) | (np.diff(row, prepend=row[:1]) != 0)).tolist()
+        places = {(int(ids[a]), int(row[a])): (a, b) for a, b in zip(cuts, [*cuts[1:], len(ids)], strict=False)}
         out: list[list] = [[] for _ in CUT]
         for data in texts.column("data"):
-            some, raws = texts_opened(data.as_py())
-            los, his = np.searchsorted(ids, some, "left"), np.searchsorted(ids, some, "right")
-            for doc_id, raw, lo, hi in zip(some.tolist(), raws, los.tolist(), his.tolist(), strict=True):
+            some, raws, which = texts_opened(data.as_py())
+            for doc_id, raw, r in zip(some.tolist(), raws, which.tolist(), strict=True):
+                lo, hi = places.get((doc_id, r), (0, 0))
                 listed, spans, n = raw.split(), [], 0
                 size = len(listed)
                 if hi > lo:
-                    own = np.r_[True, np.diff(starts[lo:hi]) != 0]  # rows that repeat an id name a place twice
+                    own = np.r_[True, np.diff(starts[lo:hi]) != 0]  # equal rows name a place twice
                     at = starts[lo:hi][own]
-                    spans = paths(at, source[lo:hi][own], source_start[lo:hi][own], window)
+                    spans = paths(at, source[lo:hi][own], source_row[lo:hi][own], source_start[lo:hi][own], window)
                     cover = np.zeros(size + 1, np.int64)
                     np.add.at(cover, at, 1)
                     np.add.at(cover, at + window, -1)
@@ -185,6 +208,7 @@ def substring_dedup(docs: DataFrame, window: int = WINDOW, buckets: int | None =
                     column.append(value)
         return rows(CUT, *out)
 
+    docs = told_apart(docs)
     later = sources(edges(docs, buckets, window), buckets)
     return texts_by_bucket(docs, buckets).groupBy("bucket").cogroup(later.groupBy("bucket")).applyInArrow(cut, CUT_SQL)
 

@@ -31,3 +31,27 @@ def test_places_may_go_back():
 def test_a_row_twice_keeps_its_text(spark, parts):
     text = listed("w", 200)
     assert got(spark, [(1, text), (1, text), (2, "other words")], parts) == {(1, 200, 0, text): 2, (2, 2, 0, "other words"): 1}
+
+
+def row_brute(rows, window=20):
+    """Windows are taken from the first row that has them; rows that share an id may come in any order."""
+    first, out = {}, collections.Counter()
+    for n, (doc_id, text) in enumerate(rows):
+        w = (text or "").split()
+        gone = set()
+        for k in range(len(w) - window + 1):
+            if first.setdefault(tuple(w[k : k + window]), (n, k)) != (n, k):
+                gone |= {*range(k, k + window)}
+        out[doc_id, len(w), len(gone), " ".join(x for k, x in enumerate(w) if k not in gone)] += 1
+    return out
+
+
+@pytest.mark.parametrize("parts", [1, 3])
+@pytest.mark.parametrize("same", [None, 7])
+def test_rows_without_own_id_are_told_apart(spark, parts, same):
+    passage = listed("p", 30)
+    rows = [(1, passage), (same, listed("a", 10)), (same, f"{listed('b', 50)} {passage} {listed('c', 20)}"), (same, listed("d", 90)), (same, None)]
+    assert got(spark, rows, parts) == row_brute(rows)
+    # the same start in two rows: one keeps the passage
+    twins = [(same, f"{passage} {listed('e', 5)}"), (same, f"{passage} {listed('f', 9)}")]
+    assert got(spark, twins, parts) in (row_brute(twins), row_brute(twins[::-1]))
