@@ -16,7 +16,7 @@ within two bits always share a word, so no link is lost.
 
 Defined cases: a null text is the empty text; a text without words has the
 fingerprint zero and is linked like any other; a null doc_id counts only where a
-component has no other; rows that repeat a doc_id have a row each; an empty
+component has no other; rows that repeat a doc_id have a row each; near_dedup decides by row (one_of_each); an empty
 table gives an empty result. Extra columns are ignored, or kept by near_dedup.
 """
 
@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh, written
+from .common import one_of_each, text_key, written
 
 SHINGLE, BITS, SEED, CROWD = 3, 2, 42, 64
 
@@ -51,14 +51,16 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     return int(np.packbits(2 * ones > count, bitorder="little").view("<i8")[0])
 
 
-def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """doc_id, bits: the fingerprint of every whole text as a signed 64-bit integer."""
+def fingerprints(docs: DataFrame, shingle: int = SHINGLE, *more: Column) -> DataFrame:
+    """doc_id, more, bits: the fingerprint of every whole text as a signed 64-bit integer."""
+    read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *more, "text")
+    given = read.columns[:-1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.record_batch([batch.column(0), pa.array([fingerprint(t, shingle) for t in batch.column(1).to_pylist()], pa.int64())], names=["doc_id", "bits"])
+            yield pa.record_batch([*batch.columns[:-1], pa.array([fingerprint(t, shingle) for t in batch.column(len(given)).to_pylist()], pa.int64())], names=[*given, "bits"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, bits long")
+    return read.mapInArrow(run, ", ".join([f"{c} {t}" for c, t in read.dtypes[:-1]] + ["bits long"]))
 
 
 def turned(bits: Column, by: Column) -> Column:
@@ -126,9 +128,14 @@ def near_groups(docs: DataFrame, shingle: int = SHINGLE, crowd: int = CROWD, seg
     return marked.join(whole, "bits").select("doc_id", "bits", "component_id")
 
 
+def near_rows(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
+    """doc_id, key (of the text), label (of the component) of every row."""
+    marked = written(fingerprints(docs, shingle, text_key(F.col("text")).alias("key")), "fingerprints")
+    nodes = written(marked.select("bits").distinct(), "nodes")
+    labels = components(links(nodes, segments_for(nodes.count()))).withColumnRenamed("node", "bits")
+    return marked.join(labels, "bits", "left").select("doc_id", "key", F.coalesce("label", "bits").alias("label"))
+
+
 def near_dedup(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """docs with the smallest doc_id of each component only; same columns."""
-    groups = near_groups(docs, shingle)
-    (gone,) = fresh(docs, "gone")
-    dropped = written(groups.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias(gone)).distinct(), "near")
-    return docs.join(dropped, docs["doc_id"].eqNullSafe(dropped[gone]), "left_anti")
+    """docs with one row of each component only, the one with the smallest doc_id; same columns."""
+    return one_of_each(docs, written(near_rows(docs, shingle), "near"))

@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 
 import corpus_pipeline
-from proxjoin.llm import near_copies
+from proxjoin.llm import near_copies, simhash
 
 
 def shingles(text, wide=5):
@@ -55,3 +55,14 @@ def test_stage_drops_near_copies(spark):
     kept = corpus_pipeline.drop_near_copies(spark, frame, "")
     assert sorted(r.doc_id for r in kept.collect()) == sorted(min(r[0] for r in group) for group in brute(rows))
     assert corpus_pipeline.drop_near_copies(spark, frame.limit(0), "").count() == 0
+
+
+@pytest.mark.parametrize("dedup", [near_copies.near_dedup, simhash.near_dedup])
+def test_one_row_of_each_component_stays(spark, dedup):
+    text = [" ".join(f"{t}{k}" for k in range(100)) for t in "abcdefg"]
+    linked = [(1, text[0]), (None, text[0].upper()), (None, text[1]), (None, text[2]), (2, text[3]), (5, text[3].upper()), (5, text[4])]
+    same = [(None, text[5]), (None, text[5].upper()), (9, text[6]), (9, text[6]), (9, text[6].upper())]
+    frame = spark.createDataFrame(linked + same, "doc_id long, text string")
+    got = [(r.doc_id, r.text.lower()) for r in dedup(frame).collect()]
+    want = [(1, text[0]), (None, text[1]), (None, text[2]), (2, text[3]), (5, text[4]), (None, text[5]), (9, text[6])]
+    assert sorted(map(str, got)) == sorted(map(str, want))
