@@ -153,6 +153,12 @@ def places_opened(ids: np.ndarray, counts: np.ndarray, steps: np.ndarray, *more:
     return all_ids, total - np.repeat(before, counts), *(np.repeat(np.cumsum(m), counts) for m in more)
 
 
+def runs(numbers: np.ndarray) -> list[tuple[int, int]]:
+    """Where each run of equal numbers, none of them negative, begins and ends; none of an empty array."""
+    cuts = np.flatnonzero(np.diff(numbers, prepend=-1)).tolist()
+    return list(zip(cuts, [*cuts[1:], len(numbers)], strict=True)) if cuts else []
+
+
 def rows(names_types: list[tuple[str, pa.DataType]], *columns: list) -> pa.Table:
     return pa.table([pa.array(c, t) for c, (_, t) in zip(columns, names_types, strict=True)], names=[n for n, _ in names_types])
 

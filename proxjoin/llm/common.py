@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import weakref
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,6 +14,7 @@ SPACES = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 
 _own_folder: dict[str, str] = {}
+_written: weakref.WeakKeyDictionary[DataFrame, str] = weakref.WeakKeyDictionary()
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -43,10 +45,30 @@ def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/proxjoin/{label}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
+    files, target = _folder(spark, path)
+    files.deleteOnExit(target)
+    out = spark.read.schema(df.schema).parquet(path)
+    _written[out] = path
+    return out
+
+
+def _folder(spark: SparkSession, path: str):
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
-    return spark.read.schema(df.schema).parquet(path)
+    return target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), target
+
+
+def discarded(*tables: DataFrame) -> None:
+    """Deletes written tables that no later plan reads, and lets Spark drop the
+    shuffle files of plans that have ended, which else stay until the driver
+    happens to collect its garbage."""
+    for table in tables:
+        path = _written.pop(table, None)
+        if path:
+            files, target = _folder(table.sparkSession, path)
+            files.delete(target, True)
+    if tables:
+        tables[0].sparkSession.sparkContext._jvm.System.gc()
 
 
 def fresh(df: DataFrame, *names: str) -> list[str]:

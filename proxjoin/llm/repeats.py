@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blobs import BASES, NULL, bucket_of, buckets_for, opened, places_opened, places_packed, rows, spans_hashed, squeezed, sub_batches, texts_opened, texts_packed, word_hashes
+from .blobs import BASES, NULL, bucket_of, buckets_for, opened, places_opened, places_packed, rows, runs, spans_hashed, squeezed, sub_batches, texts_opened, texts_packed, word_hashes
 from .common import words, written
 
 WINDOW, HASH_BYTES = 20, 7
@@ -68,8 +68,7 @@ def later_packed(ids: np.ndarray, row: np.ndarray, starts: np.ndarray, source: n
     bucket = bucket_of(ids + row, buckets)
     order = np.lexsort((starts, row, ids, bucket))
     bucket = bucket[order]
-    cuts = np.flatnonzero(np.diff(bucket, prepend=-1))
-    for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)], strict=True):
+    for a, b in runs(bucket):
         some = order[a:b]
         yield int(bucket[a]), squeezed(*places_packed(ids[some], starts[some], row[some]), np.diff(source[some], prepend=0), np.diff(source_row[some], prepend=0), np.diff(source_start[some], prepend=0))
 
@@ -101,8 +100,7 @@ def edges(docs: DataFrame, buckets: int, window: int = WINDOW) -> DataFrame:
                     out += [(b, LATER, data) for b, data in later_packed(place[again], own[again], start[again], place[mine[again]], own[mine[again]], start[mine[again]], buckets)]
                 kept = np.flatnonzero(twin)
                 kept = kept[np.argsort(deal[kept], kind="stable")]
-                cuts = np.flatnonzero(np.diff(deal[kept].astype(np.int64), prepend=-1))
-                for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(kept)], strict=True):
+                for a, b in runs(deal[kept].astype(np.int64)):
                     some = kept[a:b]
                     head = squeezed(*places_packed(place[some], start[some], own[some]))
                     tail = np.ascontiguousarray(key[some].astype("<u8").view(np.uint8).reshape(-1, 8)[:, :HASH_BYTES]).tobytes()
@@ -157,8 +155,7 @@ def texts_by_bucket(docs: DataFrame, buckets: int) -> DataFrame:
             for ids, row, texts in row_batches(batch, 8 * STEP):
                 bucket = bucket_of(ids + row, buckets)
                 order = np.argsort(bucket, kind="stable")
-                cuts = np.flatnonzero(np.diff(bucket[order], prepend=-1))
-                parts = [order[a:b] for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)], strict=True)]
+                parts = [order[a:b] for a, b in runs(bucket[order])]
                 yield from rows([KINDS[0], KINDS[2]], [int(bucket[p[0]]) for p in parts], [texts_packed(ids[p], [texts[k] for k in p.tolist()], row[p]) for p in parts]).to_batches()
 
     return docs.mapInArrow(run, "bucket long, data binary")

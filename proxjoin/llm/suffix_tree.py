@@ -1,23 +1,22 @@
 """Language-model scoring by a probabilistic suffix tree over the words of the corpus.
 
 Each task lists the distinct words of its batches with their training counts;
-these lists meet in buckets by hash and become the corpus vocabulary. Words of
-at least RAREST of all tokens are symbols of their own, others share one with
-all that end in the same two bytes; the end of a text and what stands before it
-are symbols too. A word's probability is its symbol's, after the symbols before
-it, times its own within its symbol, where the unknown words together count as
-one with half an occurrence.
-
-The tree grows level by level. Contexts of d + 1 symbols are counted where their
-last d have been kept and they make up RAREST of all tokens. A context stays if
-its weight times the divergence of its next symbols from those of its suffix is
-at least GAIN, or if a longer one that stays ends in it. Next symbols are
-smoothed into those of the suffix by the number of kinds that followed. A token
-is scored in the state of the longest context that stayed.
-
-So what reaches the driver and the executors is at most 1 / RAREST words, and as
-many contexts and next symbols for each level, whatever the corpus holds; all
-tokens of the corpus are counted. Words return to their batches by a join.
+these lists meet in buckets by hash and become the corpus vocabulary, which
+numbers every word that training has. Texts travel as places in their batch's
+list, and learn the numbers and counts of its words by a join.
+
+The tree grows level by level, and is never in one place. A context of d words
+is counted where it occurs LEAST times in training. Batches send each (context,
+next word) once, with its count, to the bucket of the context; the bucket adds
+up and answers. So the contexts, the next words kept and the buckets grow with
+the corpus, and no count is dropped. A context that occurs HOT times is spread
+over SALTS buckets by its next words, and its sums are added by who asked.
+
+A context stays as a state if its next words differ enough from what its longest
+suffix that stayed foretells: if the gain in likelihood, its count times the
+divergence, is at least GAIN for each kind of next word. A state smooths its
+counts into the suffix's by the number of kinds. A word is scored in the state of
+its longest context; the root gives the base probability.
 
 Defined cases: a null text is the empty text, whose one token is its end; a null
 doc_id is the empty text for the dealing; rows that repeat a doc_id are scored
@@ -29,8 +28,6 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
-from dataclasses import dataclass, field
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -39,17 +36,24 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blobs import NULL, buckets_for, located, opened, rows, squeezed, sub_batches
-from .common import written
+from .blobs import BASES, NULL, buckets_for, located, mixed, opened, rows, runs, squeezed, sub_batches
+from .common import discarded, written
 
-DEPTH, RAREST, GAIN = 3, 1e-5, 1e-6
-#: Bits of a symbol, so that a context and what follows it fit in 64; symbols that no text has.
-WIDE, END, START, FIRST = 20, 0, 1, 2
+#: Longest context, times a context must occur in training, gain in nats for each kind of next word.
+DEPTH, LEAST, GAIN = 3, 16, 1.0
+#: Times that make a context hot, and the buckets that share one.
+HOT, SALTS = 1 << 22, 64
+#: Symbols of all batches that no text has, and the first number of a word; places of a batch's list start after two of them.
+END, START, UNKNOWN, FIRST = range(4)
 FOLDS, HELD_OUT = 5, 1
-STEP, EACH = 12 << 20, 16 << 20
+#: Bytes of text in one batch and in one bucket; steps of a nat by which improbability is sent for the divergence test.
+STEP, EACH, NATS = 6 << 20, 16 << 20, 8
 BATCH = [("batch", pa.int64()), ("bucket", pa.int64()), ("held", pa.bool_()), ("data", pa.binary())]
 PLACED = [("batch", pa.int64()), ("data", pa.binary())]
+SENT = [("bucket", pa.int64()), ("batch", pa.int64()), ("data", pa.binary())]
+SENT_SQL = "bucket long, batch long, data binary"
 SCORES = [("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())]
+SCORES_SQL = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
 
 
 def held_out(doc_id: int) -> bool:
@@ -73,8 +77,7 @@ def word_lists(docs: DataFrame, buckets: int) -> DataFrame:
                 place = np.empty(len(order), "<u4")
                 place[order] = np.arange(len(order), dtype="<u4")
                 out = [(number, -1, False, squeezed(ids, held.astype("u1"), sizes.astype("<u4"), place[which]))]
-                cuts = np.flatnonzero(np.diff(bucket[order], prepend=-1))
-                for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)], strict=True):
+                for a, b in runs(bucket[order]):
                     some = order[a:b]
                     words = [raw[x:y] for x, y in zip(at[sample[some]].tolist(), stop[sample[some]].tolist(), strict=True)]
                     out.append((number, int(bucket[some[0]]), False, listed_packed(words, counts[some])))
@@ -109,231 +112,162 @@ def vocabulary(lists: DataFrame) -> DataFrame:
     return written(lists.where("bucket >= 0").select("bucket", "data").groupBy("bucket").applyInArrow(merge, "bucket long, tokens long, kinds long, data binary"), "vocabulary", "uncompressed")
 
 
-def frequent_words(known: DataFrame, least: float) -> dict[bytes, int]:
-    """The words that are symbols of their own: at most tokens / least."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for data in batch.column("data"):
-                words, counts = listed_opened(data.as_py())
-                yield pa.record_batch([pa.array([words[k] for k in np.flatnonzero(counts >= least).tolist()], pa.binary())], names=["word"])
-
-    found = known.select("data").mapInArrow(run, "word binary").toArrow().column("word").to_pylist()
-    return {w: FIRST + k for k, w in enumerate(sorted(found))}
-
-
-def endings(words: list[bytes]) -> np.ndarray:
-    """The last two bytes of each word as a number."""
-    return np.frombuffer(b"".join([w[-2:] if len(w) > 1 else b"\0" + w for w in words]), ">u2").astype(np.int64)
-
-
-def ending_masses(known: DataFrame, frequent: dict[bytes, int]) -> np.ndarray:
-    """For each ending its known words that aren't symbols, each with half an occurrence more."""
-    shared = known.sparkSession.sparkContext.broadcast(frequent)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(1 << 16)
-        for batch in batches:
-            for data in batch.column("data"):
-                words, counts = listed_opened(data.as_py())
-                rare = [k for k, n in enumerate(counts.tolist()) if n and words[k] not in shared.value]
-                np.add.at(total, endings([words[k] for k in rare]), counts[rare] + 0.5)
-        at = np.flatnonzero(total)
-        yield pa.record_batch([pa.array(at), pa.array(total[at])], names=["ending", "mass"])
-
-    masses = np.zeros(1 << 16)
-    found = known.select("data").mapInArrow(run, "ending long, mass double").groupBy("ending").agg(F.sum("mass").alias("mass")).toArrow()
-    masses[found.column("ending").to_numpy()] = found.column("mass").to_numpy()
-    return masses
-
-
-def word_symbols(lists: DataFrame, known: DataFrame, frequent: dict[bytes, int], masses: np.ndarray) -> DataFrame:
-    """batch, bucket, data: the count, symbol and log probability within it for each word of a batch's list, in its order."""
-    shared = lists.sparkSession.sparkContext.broadcast((frequent, masses))
+def word_numbers(lists: DataFrame, known: DataFrame, buckets: int) -> DataFrame:
+    """batch, bucket, data: the training count and the number of each word of a batch's list, in its order."""
 
     def answer(asked: pa.Table, corpus: pa.Table) -> pa.Table:
-        frequent, masses = shared.value
         words, counts = listed_opened(corpus.column("data")[0].as_py())
-        ending = endings(words)
-        symbol = np.fromiter(map(frequent.get, words, repeat(-1)), np.int64, len(words))
-        own = symbol >= 0
-        within = np.where(own, 0.0, np.log10((counts + 0.5) / (masses[ending] + 0.5)))
-        symbol = np.where(own, symbol, FIRST + len(frequent) + ending)
+        number = np.where(counts > 0, FIRST + np.arange(len(words)) * buckets + corpus.column("bucket")[0].as_py(), UNKNOWN)
         place = {w: k for k, w in enumerate(words)}
         out = []
         for data in asked.column("data"):
             some, _ = listed_opened(data.as_py())
             at = np.fromiter(map(place.__getitem__, some), np.int64, len(some))
-            out.append(squeezed(counts[at], symbol[at].astype("<u4"), within[at]))
+            out.append(squeezed(counts[at], number[at].astype("<u8")))
         return rows([("batch", pa.int64()), ("bucket", pa.int64()), ("data", pa.binary())], asked.column("batch").to_pylist(), asked.column("bucket").to_pylist(), out)
 
     return lists.where("bucket >= 0").groupBy("bucket").cogroup(known.select("bucket", "data").groupBy("bucket")).applyInArrow(answer, "batch long, bucket long, data binary")
 
 
-def symbolised(lists: DataFrame, answers: DataFrame, n: int, v: int, ends: int) -> DataFrame:
-    """batch, data, written: the symbols of all texts, each after START and with END, and what else its score needs."""
+def in_order(buckets: pa.ChunkedArray, data: pa.ChunkedArray) -> list[list[np.ndarray]]:
+    """The arrays of each bucket, by ascending bucket; opened one by one."""
+    order = np.argsort(buckets.to_numpy(), kind="stable").tolist()
+    return [opened(data[k].as_py()) for k in order]
 
-    def place(batch: pa.Table, words: pa.Table) -> pa.Table:
-        parts = [opened(d) for _, d in sorted(zip(words.column("bucket").to_pylist(), words.column("data").to_pylist(), strict=True))]
-        counts, symbol, within = (np.concatenate([p[k] for p in parts]) if parts else np.zeros(0, np.int64) for k in range(3))
-        base = np.log10((np.r_[counts, ends] + 0.5) / (n + 0.5 * (v + 1))) if n else np.zeros(len(counts) + 1)
-        ids, held, sizes, place = opened(batch.column("data")[0].as_py())
-        stops = np.cumsum(sizes, dtype=np.int64)
-        starts = stops - sizes
-        sums = []
-        for values in (counts > 0, base[:-1], within):
-            total = np.zeros(len(sizes))
-            if len(place):
-                total[sizes > 0] = np.add.reduceat(values[place].astype(float), starts[sizes > 0])
-            sums.append(total)
-        text = np.full(len(place) + 2 * len(sizes), END, "<u4")
-        text[starts + 2 * np.arange(len(sizes))] = START
-        text[np.arange(len(place)) + np.repeat(2 * np.arange(len(sizes)) + 1, sizes)] = symbol[place]
-        data = squeezed(ids, held, sizes, text, sums[0].astype(np.int64) + (ends > 0), sums[1] + base[-1], sums[2])
-        return rows(PLACED, [batch.column("batch")[0].as_py()], [data])
-
-    joined = lists.where("bucket < 0").select("batch", "data").groupBy("batch").cogroup(answers.groupBy("batch"))
-    return written(joined.applyInArrow(place, "batch long, data binary"), "symbols", "uncompressed")
-
-
-@dataclass
-class Tree:
-    """The root's symbols and their shares, the share of any other, and for each depth the
-    contexts that stayed, what each leaves to its suffix, and the shares of its next symbols,
-    keyed by the context's place in its depth."""
-
-    root: tuple[np.ndarray, np.ndarray]
-    unseen: float
-    states: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)
-    shares: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)
-
-    def probabilities(self, text: np.ndarray) -> np.ndarray:
-        """Of each symbol of joined texts in the state of its longest context; of START, 1."""
-        seen, share = self.root
-        p = np.where(text == START, 1.0, looked_up(seen, share, text.astype(np.uint64), self.unseen))
-        for d, ((state, left), (gram, share)) in enumerate(zip(self.states, self.shares, strict=True), 1):
-            at, place = in_context(text, state, d)
-            if not len(at):
-                break
-            own = place.astype(np.uint64) << np.uint64(WIDE) | text[at].astype(np.uint64)
-            p[at] = p[at] * left[place] + looked_up(gram, share, own, 0.0)
-        return p
-
-
-def looked_up(keys: np.ndarray, values: np.ndarray, wanted: np.ndarray, other: float) -> np.ndarray:
-    """The value of each wanted key among sorted ones."""
-    if not len(keys):
-        return np.full(len(wanted), other)
-    at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
-    return np.where(keys[at] == wanted, values[at], other)
-
-
-def in_context(text: np.ndarray, state: np.ndarray, d: int) -> tuple[np.ndarray, np.ndarray]:
-    """Where a symbol follows one of the sorted contexts of d symbols, and which."""
-    if len(text) <= d or not len(state):
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    key = np.zeros(len(text) - d, np.uint64)
-    whole = np.ones(len(key), bool)  # a context may begin with START, not go beyond it
-    for j in range(d):
-        part = text[d - 1 - j : len(text) - 1 - j]
-        key |= part.astype(np.uint64) << np.uint64(WIDE * j)
-        whole &= part != END
-    at = np.flatnonzero(whole)
-    place = np.minimum(np.searchsorted(state, key[at]), len(state) - 1)
-    met = state[place] == key[at]
-    return at[met] + d, place[met]
-
-
-def followers(texts: DataFrame, state: np.ndarray, d: int, least: float, buckets: int) -> pa.Table:
-    """context, n, kinds and the frequent next symbols with their counts, for contexts of d symbols by their place."""
-    shared = texts.sparkSession.sparkContext.broadcast(state)
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for data in batch.column("data"):
-                _, held, sizes, text = opened(data.as_py())[:4]
-                text = text[np.repeat(held == 0, sizes.astype(np.int64) + 2)]
-                if d:
-                    at, place = in_context(text, shared.value, d)
-                else:
-                    at = np.flatnonzero(text != START)
-                    place = np.zeros(len(at), np.int64)
-                key, n = np.unique(place.astype(np.uint64) << np.uint64(WIDE) | text[at].astype(np.uint64), return_counts=True)
-                deal = ((key >> np.uint64(WIDE)) % np.uint64(buckets)).astype(np.int64)
-                order = np.argsort(deal, kind="stable")
-                cuts = np.flatnonzero(np.diff(deal[order], prepend=-1))
-                parts = [order[a:b] for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(order)], strict=True)]
-                yield from rows([("bucket", pa.int64()), ("data", pa.binary())], [int(deal[p[0]]) for p in parts], [squeezed(np.diff(key[p], prepend=np.uint64(0)), n[p]) for p in parts]).to_batches()
 
-    def merge(table: pa.Table) -> pa.Table:
-        parts = [opened(x.as_py()) for x in table.column("data")]
-        key, which = np.unique(np.concatenate([np.cumsum(k, dtype=np.uint64) for k, _ in parts]), return_inverse=True)
-        n = np.bincount(which, weights=np.concatenate([x for _, x in parts])).astype(np.int64)
-        context, first = np.unique(key >> np.uint64(WIDE), return_index=True)
-        sizes = np.diff(np.r_[first, len(key)])
-        kept = n >= (least if d else 0)
-        of = np.repeat(np.arange(len(context)), sizes)
-        symbol = (key & np.uint64((1 << WIDE) - 1)).astype(np.int64)
-        nested = [(symbol[a:b][k].tolist(), n[a:b][k].tolist()) for a, b in zip(first.tolist(), (first + sizes).tolist(), strict=True) for k in (kept[a:b],)]
-        total = np.bincount(of, weights=n).astype(np.int64)
-        return rows([("context", pa.int64()), ("n", pa.int64()), ("kinds", pa.int64()), ("symbols", pa.list_(pa.int64())), ("counts", pa.list_(pa.int64()))], context.astype(np.int64).tolist(), total.tolist(), sizes.tolist(), [x for x, _ in nested], [y for _, y in nested])
-
-    counted = texts.select("data").mapInArrow(count, "bucket long, data binary")
-    return counted.groupBy("bucket").applyInArrow(merge, "context long, n long, kinds long, symbols array<long>, counts array<long>").toArrow()
-
-
-def learn(texts: DataFrame, n: int, depth: int = DEPTH, rarest: float = RAREST, gain: float = GAIN, buckets: int = 16) -> Tree:
-    """The tree: each level is one pass over the symbols, which counts what follows the contexts that are frequent enough."""
-    least = max(2.0, rarest * n)
-    top = followers(texts, np.zeros(0, np.uint64), 0, least, 1)
-    symbol, count = (np.array(top.column(c)[0].as_py(), np.int64) if len(top) else np.zeros(0, np.int64) for c in ("symbols", "counts"))
-    whole = count.sum() + 0.5 * (len(symbol) + 1)
-    tree = Tree((symbol.astype(np.uint64), (count + 0.5) / whole), 0.5 / whole)
-    started = np.array([START], np.uint64)  # every text's first context
-    state = np.union1d(symbol[count >= least].astype(np.uint64), started) if len(symbol) else started[:0]
-    levels = []
-    for d in range(1, depth + 1):
-        found = followers(texts, state, d, least, buckets)
-        order = np.argsort(found.column("context").to_numpy())
-        found = found.take(order)
-        state = state[found.column("context").to_numpy()]
-        total, kinds = (found.column(c).to_numpy().astype(float) for c in ("n", "kinds"))
-        sizes = np.diff(np.r_[0, np.cumsum([len(x) for x in found.column("symbols")])]).astype(np.int64)
-        of = np.repeat(np.arange(len(state)), sizes)
-        after, number = (np.array([y for x in found.column(c).to_pylist() for y in x], float) for c in ("symbols", "counts"))
-        gram = of.astype(np.uint64) << np.uint64(WIDE) | after.astype(np.uint64)
-        share = number / (total + kinds)[of] if len(of) else number
-        left = (kinds + total - np.bincount(of, weights=number, minlength=len(state))) / (total + kinds)
-        levels.append((state, left, gram, share, of, total))
-        # a frequent next symbol makes a frequent longer context; the end of a text makes none
-        wider = state[of] << np.uint64(WIDE) | after.astype(np.uint64)
-        state = np.unique(wider[after != END])
-        if not len(state):
-            break
-    stays: list[np.ndarray] = []
-    for d, (state, _, gram, share, of, total) in enumerate(levels, 1):
-        after = gram & np.uint64((1 << WIDE) - 1)
-        if d == 1:
-            under = looked_up(*tree.root, after, tree.unseen)
-        else:
-            suffixes, _, p_gram, p_share, _, _ = levels[d - 2]
-            place = np.minimum(np.searchsorted(suffixes, state & np.uint64((1 << WIDE * (d - 1)) - 1)), len(suffixes) - 1)
-            under = looked_up(p_gram, p_share, place[of].astype(np.uint64) << np.uint64(WIDE) | after, tree.unseen)
-        divergence = np.bincount(of, weights=share * np.log(share / under), minlength=len(state))
-        stays.append(total / max(n, 1) * divergence >= gain)
-    for d in range(len(levels) - 1, 0, -1):  # the suffix of what stays stays
-        longer = levels[d][0][stays[d]] & np.uint64((1 << WIDE * d) - 1)
-        stays[d - 1] |= np.isin(levels[d - 1][0], longer)
-    for (state, left, gram, share, of, _), keep in zip(levels, stays, strict=True):
-        place = np.cumsum(keep) - 1
-        mine = keep[of]
-        after = gram[mine] & np.uint64((1 << WIDE) - 1)
-        tree.states.append((state[keep], left[keep]))
-        tree.shares.append((place[of[mine]].astype(np.uint64) << np.uint64(WIDE) | after, share[mine]))
-    return tree
-
-
-def score(docs: DataFrame, depth: int = DEPTH, rarest: float = RAREST, gain: float = GAIN, buckets: int | None = None) -> DataFrame:
+def joined(parts: list[list[np.ndarray]], kinds: tuple[type, ...]) -> list[np.ndarray]:
+    return [np.concatenate([p[k] for p in parts]) if parts else np.zeros(0, kind) for k, kind in enumerate(kinds)]
+
+
+def symbolised(lists: DataFrame, numbers: DataFrame) -> DataFrame:
+    """batch, data: the texts of a batch as places in its list, and the counts and numbers of that list's words."""
+
+    def place(batch: pa.Table, words: pa.Table) -> pa.Table:
+        own = opened(batch.column("data")[0].as_py())
+        counts, number = joined(in_order(words.column("bucket"), words.column("data")), (np.int64, np.uint64))
+        return rows(PLACED, [batch.column("batch")[0].as_py()], [squeezed(*own, counts.astype("<u8"), number.astype("<u8"))])
+
+    met = lists.where("bucket < 0").select("batch", "data").groupBy("batch").cogroup(numbers.groupBy("batch"))
+    return written(met.applyInArrow(place, "batch long, data binary"), "symbols", "uncompressed")
+
+
+class Walk:
+    """The texts of one batch on their way down the tree: for each symbol its probability so far and its context of the level.
+
+    ``ask`` gives the distinct (context, next) of the level in an order that the
+    data alone decide, so that the answers, in that order, are all ``step`` needs.
+    """
+
+    def __init__(self, data: bytes, n: int, v: int, ends: int, least: int = LEAST, gain: float = GAIN, hot: int = HOT):
+        self.ids, self.held, sizes, place, counts, numbers = opened(data)
+        self.sizes = sizes.astype(np.int64)
+        stops = np.cumsum(self.sizes)
+        self.first = stops - self.sizes + 2 * np.arange(len(sizes))  # where each text's START stands
+        self.text = np.zeros(len(place) + 2 * len(sizes), np.int32)
+        self.text[self.first] = START
+        self.text[np.arange(len(place)) + np.repeat(2 * np.arange(len(sizes)) + 1, sizes)] = place.astype(np.int32) + 2
+        self.numbers = np.r_[np.array([END, START], np.uint64), numbers.astype(np.uint64)]
+        self.counts = np.r_[ends, ends, counts.astype(np.int64)]
+        self.base = (self.counts + 0.5) / (n + 0.5 * (v + 1))
+        self.p = self.base[self.text]
+        self.p[self.first] = 1.0
+        self.train = np.repeat(self.held == 0, self.sizes + 2)
+        self.least, self.gain, self.hot = least, gain, hot
+        self.name, self.total = mixed(self.numbers), np.r_[0, ends, counts.astype(np.int64)]
+        before = np.r_[np.int32(END), self.text[:-1]]
+        self.context = np.where(self.total[before] >= least, before, -1)
+        self.context[self.first] = -1
+
+    def ask(self, buckets: int) -> Iterator[tuple[int, bytes]]:
+        self.at = np.flatnonzero(self.context >= 0)
+        pair, sample, self.which = np.unique(self.context[self.at].astype(np.uint64) << np.uint64(32) | self.text[self.at].astype(np.uint64), return_index=True, return_inverse=True)
+        self.of = (pair >> np.uint64(32)).astype(np.int64)
+        self.next = self.numbers[(pair & np.uint64(0xFFFFFFFF)).astype(np.int64)]
+        n = np.bincount(self.which, weights=self.train[self.at], minlength=len(pair))
+        rare = np.minimum(np.rint(-NATS * np.log(self.p[self.at[sample]])), 255).astype("u1")
+        many = self.total[self.of] >= self.hot
+        salt = np.where(many, (mixed(self.next) % np.uint64(SALTS)).astype(np.int64), 0)
+        part = self.of * SALTS + salt
+        whole = (np.unique(self.of[many])[:, None] * SALTS + np.arange(SALTS)).ravel()  # sums of a hot context come from all that share it
+        parts = np.union1d(part, whole)
+        names = mixed(self.name[parts // SALTS] + (parts % SALTS).astype(np.uint64) * np.uint64(BASES[1]))
+        bucket = (names % np.uint64(buckets)).astype(np.int64)
+        rank = np.lexsort((names, bucket))
+        back = np.empty(len(rank), np.int64)
+        back[rank] = np.arange(len(rank))
+        mine = back[np.searchsorted(parts, part)]
+        self.order = np.lexsort((self.next, mine))
+        self.parts, names, bucket = parts[rank] // SALTS, names[rank], bucket[rank]
+        size = np.bincount(mine, minlength=len(parts))
+        start = np.r_[0, np.cumsum(size)]
+        after = self.next[self.order]
+        step = np.diff(after, prepend=np.uint64(0))
+        own = start[:-1][size > 0]
+        step[own] = after[own]
+        n, rare = n[self.order].astype("<u4"), rare[self.order]
+        for a, b in runs(bucket):
+            x, y = start[a], start[b]
+            yield int(bucket[a]), squeezed(np.diff(names[a:b], prepend=np.uint64(0)), size[a:b].astype("<u4"), step[x:y], n[x:y], rare[x:y])
+
+    def step(self, total: np.ndarray, kinds: np.ndarray, gain: np.ndarray, counts: np.ndarray) -> None:
+        """Takes the answers: of each part its sums, of each pair its count; then the contexts are one word longer."""
+        number = len(self.name)
+        total, kinds, gain = (np.bincount(self.parts, weights=x.astype(float), minlength=number) for x in (total, kinds, gain))
+        stays = (kinds > 0) & (gain - total * np.log(np.maximum(total, 1)) >= self.gain * kinds)
+        pairs = np.empty(len(self.order), np.int64)
+        pairs[self.order] = counts.astype(np.int64)
+        known = stays[self.of][self.which]
+        at, which = self.at[known], self.which[known]
+        of = self.of[which]
+        self.p[at] = (pairs[which] + kinds[of] * self.p[at]) / (total + kinds)[of]
+        longer = np.full(len(self.text), -1, np.int64)
+        longer[self.at] = np.where(pairs[self.which] >= self.least, self.which, -1)
+        self.context = np.r_[-1, longer[:-1]]
+        self.context[self.first] = -1
+        self.name, self.total = mixed(self.name[self.of] * np.uint64(BASES[0]) + mixed(self.next)), pairs
+
+    def scores(self) -> pa.Table:
+        def sums(values: np.ndarray) -> np.ndarray:
+            values[self.first] = 0.0
+            return np.add.reduceat(values, self.first) if len(self.first) else np.zeros(0)
+
+        known = sums((self.counts > 0)[self.text].astype(float)).astype(np.int64)
+        return rows(SCORES, [None if i == NULL else i for i in self.ids.tolist()], self.held.astype(bool), self.sizes + 1, known, sums(np.log10(self.base)[self.text]), sums(np.log10(self.p)))
+
+
+def merged(table: pa.Table) -> pa.Table:
+    """The answers of one bucket to each batch: the sums of the contexts it asked for, and the count of each pair."""
+    names, afters, counts, rare, sizes, places, first = [], [], [], [], [], [], 0
+    for data in table.column("data"):
+        name, size, step, n, r = opened(data.as_py())
+        total = np.cumsum(step, dtype=np.uint64)
+        begin = np.cumsum(size, dtype=np.int64) - size
+        before = np.where(begin > 0, total[np.maximum(begin, 1) - 1], np.uint64(0)) if len(total) else np.zeros(len(begin), np.uint64)
+        names.append(np.cumsum(name, dtype=np.uint64))
+        afters.append(total - np.repeat(before, size))
+        places.append(np.repeat(np.arange(first, first + len(name)), size))
+        counts.append(n)
+        rare.append(r)
+        sizes.append((len(name), len(n)))
+        first += len(name)
+    kinds, part = np.unique(np.concatenate(names), return_inverse=True)
+    _, after = np.unique(np.concatenate(afters), return_inverse=True)
+    del names, afters
+    pair, sample, which = np.unique(part[np.concatenate(places)].astype(np.uint64) << np.uint64(32) | after.astype(np.uint64), return_index=True, return_inverse=True)
+    del after, places
+    n = np.bincount(which, weights=np.concatenate(counts), minlength=len(pair))
+    of = (pair >> np.uint64(32)).astype(np.int64)
+    gain = n * (np.log(np.maximum(n, 1)) + np.concatenate(rare)[sample] / NATS)
+    total, several, gain = (np.bincount(of, weights=w, minlength=len(kinds)) for w in (n, n > 0, gain))
+    out, a, x = [], 0, 0
+    for parts, pairs in sizes:
+        mine = part[a : a + parts]
+        out.append(squeezed(total[mine].astype("<u8"), several[mine].astype("<u8"), gain[mine], n[which[x : x + pairs]].astype("<u8")))
+        a, x = a + parts, x + pairs
+    return rows(SENT, table.column("bucket").to_pylist(), table.column("batch").to_pylist(), out)
+
+
+def score(docs: DataFrame, depth: int = DEPTH, least: int = LEAST, gain: float = GAIN, buckets: int | None = None, hot: int = HOT) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every document."""
     buckets = buckets or buckets_for(docs, EACH)
     lists = word_lists(docs, buckets)
@@ -342,19 +276,42 @@ def score(docs: DataFrame, depth: int = DEPTH, rarest: float = RAREST, gain: flo
     ends = docs.where(F.crc32(doc_id) % FOLDS != HELD_OUT).count()
     tokens, kinds = known.agg(F.coalesce(F.sum("tokens"), F.lit(0)), F.coalesce(F.sum("kinds"), F.lit(0))).first()
     n, v = tokens + ends, kinds + (ends > 0)
-    frequent = frequent_words(known, max(2.0, rarest * n))
-    answers = word_symbols(lists, known, frequent, ending_masses(known, frequent))
-    texts = symbolised(lists, answers, n, v, ends)
-    tree = docs.sparkSession.sparkContext.broadcast(learn(texts, n, depth, rarest, gain, buckets))
-
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for data in batch.column("data"):
-                ids, held, sizes, text, n_known, base, within = opened(data.as_py())
-                each = np.log10(tree.value.probabilities(text))
-                first = np.cumsum(sizes.astype(np.int64) + 2) - sizes - 2
-                total = np.add.reduceat(each, first) if len(first) else each
-                yield from rows(SCORES, [None if i == NULL else i for i in ids.tolist()], held.astype(bool), sizes.astype(np.int64) + 1, n_known, base, within + total).to_batches()
-
-    scored = texts.select("data").mapInArrow(add, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+    texts = symbolised(lists, word_numbers(lists, known, buckets))
+    discarded(lists, known)
+
+    def walked(data: bytes, answers: pa.Table | None) -> Walk:
+        """The batch after all levels that have been answered."""
+        walk = Walk(data, n, v, ends, least, gain, hot)
+        levels = answers.column("level").to_numpy() if answers is not None else np.zeros(0, np.int64)
+        for d in range(1, int(levels.max(initial=0)) + 1):
+            for _ in walk.ask(buckets):
+                pass
+            some = answers.filter(pa.array(levels == d))
+            walk.step(*joined(in_order(some.column("bucket"), some.column("data")), (np.uint64, np.uint64, float, np.uint64)))
+        return walk
+
+    def asked(walk: Walk, batch: int) -> pa.Table:
+        sent = list(walk.ask(buckets))
+        return rows(SENT, [b for b, _ in sent], [batch] * len(sent), [d for _, d in sent])
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for some in batches:
+            for batch, data in zip(some.column(0).to_pylist(), some.column(1), strict=True):
+                yield from asked(walked(data.as_py(), None), batch).to_batches()
+
+    def later(own: pa.Table, answers: pa.Table) -> pa.Table:
+        return asked(walked(own.column("data")[0].as_py(), answers), own.column("batch")[0].as_py())
+
+    def last(own: pa.Table, answers: pa.Table) -> pa.Table:
+        return walked(own.column("data")[0].as_py(), answers).scores()
+
+    answers: DataFrame | None = None
+    for d in range(1, depth + 1):
+        asks = texts.mapInArrow(first, SENT_SQL) if answers is None else texts.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(later, SENT_SQL)
+        level = written(asks.groupBy("bucket").applyInArrow(merged, SENT_SQL), "level", "uncompressed").withColumn("level", F.lit(d))
+        answers = level if answers is None else answers.union(level)
+    if answers is None:
+        scored = texts.groupBy("batch").applyInArrow(lambda own: last(own, None), SCORES_SQL)
+    else:
+        scored = texts.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(last, SCORES_SQL)
     return scored.withColumn("train_tokens", F.lit(n).cast("long"))

@@ -12,10 +12,14 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from tokenizers import Tokenizer
+
 from proxjoin.llm import exact_dedup, lengths, mixing, packing, pseudonyms, quality, repeats, simhash, suffix_tree, wavelet
 from proxjoin.llm.encoding import PieceEncoder
 from proxjoin.llm.queries import tokenizer
 
+from test_near_copies import brute as near_brute
+
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 #: Columns that clash with names that the operators use themselves.
 EXTRA = "size long, digest string, bits long, copy int, id long, content string, gone int, rate double, number int, _gone int"
@@ -101,7 +105,7 @@ def test_mixing_water_level(spark):
 
 def test_packing(hard, none, docs, texts):
     path = tokenizer("word_bpe_49k.json")
-    library = PieceEncoder(path).library
+    library = Tokenizer.from_file(path)
     rows = packing.pack(docs, path, dealt=30).collect()
     ids = {i: np.array([*library.encode(t, add_special_tokens=False).ids, 1], "<u4") for i, t in texts.items()}
     assert sum(r.length for r in rows) == sum(map(len, ids.values()))
@@ -166,29 +170,53 @@ def test_suffix_tree(hard, none, docs, texts):
     assert suffix_tree.score(hard).count() == len(ROWS) and suffix_tree.score(none).count() == 0
 
 
-def test_tree_is_a_distribution(docs):
-    buckets = 4
-    lists = suffix_tree.word_lists(docs, buckets)
-    known = suffix_tree.vocabulary(lists)
-    frequent = suffix_tree.frequent_words(known, 2.0)
-    masses = suffix_tree.ending_masses(known, frequent)
-    texts = suffix_tree.symbolised(lists, suffix_tree.word_symbols(lists, known, frequent, masses), 10, 10, 1)
-    tree = suffix_tree.learn(texts, 50_000, buckets=buckets)
-    assert any(len(s) for s, _ in tree.states[1:])
-    seen, share = tree.root
-    for d, (state, _) in enumerate(tree.states, 1):
-        if len(state):
-            key = int(state[len(state) // 2])
-            before = [key >> suffix_tree.WIDE * j & ((1 << suffix_tree.WIDE) - 1) for j in range(d)][::-1]
-            total = sum(tree.probabilities(np.array([*before, int(s)], "<u4"))[-1] for s in seen[:: max(1, len(seen) // 100)])
-            whole = np.array([*before, 0], "<u4")
-            text = np.concatenate([np.r_[whole[:-1], np.uint32(s)] for s in seen]).astype("<u4")
-            assert total <= 1 and tree.probabilities(text)[d :: d + 1].sum() == pytest.approx(1 - tree.unseen * 1, abs=0.02)
+def tree_brute(texts, depth, least, gain):
+    """The score of each text by dictionaries: contexts of every length, tested and smoothed level by level."""
+    lines = {i: ["<s>", *re.findall(rb"[^\x20\x09-\x0D]+", (t or "").encode().lower()), "</s>"] for i, t in texts.items()}
+    held = {i: zlib.crc32(str(i).encode()) % 5 == 1 for i in texts}
+    count = collections.Counter(w for i, ws in lines.items() if not held[i] for w in ws[1:])
+    n, v = sum(count.values()), len(count)
+    p = {(i, k): (count[w] + 0.5) / (n + 0.5 * (v + 1)) for i, ws in lines.items() for k, w in enumerate(ws) if k}
+    for d in range(1, depth + 1):
+        pairs, rare = collections.defaultdict(collections.Counter), {}
+        for i, ws in lines.items():
+            for k in range(d, len(ws)):
+                pairs[tuple(ws[k - d : k])][ws[k]] += not held[i]
+                rare[tuple(ws[k - d : k]), ws[k]] = min(round(-suffix_tree.NATS * math.log(p[i, k])), 255) / suffix_tree.NATS
+        states = {}
+        for context, after in pairs.items():
+            total, kinds = sum(after.values()), sum(x > 0 for x in after.values())
+            better = sum(x * (math.log(x / total) + rare[context, w]) for w, x in after.items() if x)
+            if total >= least and better >= gain * kinds:
+                states[context] = total, kinds
+        for i, ws in lines.items():
+            for k in range(d, len(ws)):
+                context = tuple(ws[k - d : k])
+                if context in states:
+                    total, kinds = states[context]
+                    p[i, k] = (pairs[context][ws[k]] + kinds * p[i, k]) / (total + kinds)
+    return {i: sum(math.log10(p[i, k]) for k in range(1, len(ws))) for i, ws in lines.items()}
+
+
+@pytest.mark.parametrize(("depth", "least", "gain", "hot"), [(3, 3, 1.0, 1 << 22), (2, 2, 0.2, 20), (0, 2, 1.0, 9)])
+def test_suffix_tree_is_brute_force(spark, docs, texts, depth, least, gain, hot):
+    want = tree_brute(texts, depth, least, gain)
+    got = {r.doc_id: r.score for r in suffix_tree.score(docs.repartition(5), depth, least, gain, buckets=8, hot=hot).collect()}
+    assert got == pytest.approx(want, rel=1e-9)
+
+
+def test_suffix_tree_on_lonely_batches(spark):
+    """A partition for each row: only held-out rows, only empty ones, ones without anything to ask."""
+    held = [i for i in range(60) if zlib.crc32(str(i).encode()) % 5 == 1]
+    rows = [(i, text) for i in held for text in ("a b a b", "", None)] + [(i, "a b c") for i in range(60) if i not in held][:5] + [(None, None)]
+    for some in (rows, rows[:3], [r for r in rows if not r[1]]):
+        got = suffix_tree.score(spark.createDataFrame(some, "doc_id long, text string").repartition(len(some)), least=2, buckets=16).collect()
+        assert len(got) == len(some) and all(math.isfinite(r.score) for r in got)
 
 
 def test_wavelet_round_trip(hard, none, docs, texts):
     path = tokenizer("byte_bpe_50k.json")
-    library = PieceEncoder(path).library
+    library = Tokenizer.from_file(path)
     shards = wavelet.write_shards(docs, path, shard_tokens=20_000)
     got = {r.doc_id: r for r in wavelet.read_documents(shards).collect()}
     at = 0
@@ -215,9 +243,9 @@ def test_wavelet_round_trip(hard, none, docs, texts):
 def test_encoder_is_the_library():
     for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
         coder = PieceEncoder(tokenizer(name))
-        cases = ["a  b", "  x", "a\n\nb", " a", "a ", "a\tb", "don't IT'S", "é ab́c", "12 345 a1b2", "", "<|endoftext|> hi", "日本 語", "x\ny z", "|> hi", '"q" $%& ### a###b', "ÀÉ×÷İŉ ſ", LONG]
+        cases = ["a  b", "  x", "a\n\nb", " a", "a ", "a\tb", "don't IT'S", "é ab́c", "12 345 a1b2", "", "<|endoftext|> hi", "a<|endoftext|>b <|startoftext|>", "x <|ENDOFTEXT|> y <|endoftext|", "日本 語", "x\ny z", "|> hi", '"q" $%& ### a###b', "ÀÉ×÷İŉ ſ", LONG]
         for text, ids in zip(cases, coder.encode(cases), strict=True):
-            assert ids.tolist() == coder.library.encode(text, add_special_tokens=False).ids, text
+            assert ids.tolist() == Tokenizer.from_file(tokenizer(name)).encode(text, add_special_tokens=False).ids, text
 
 
 def simhash_brute(rows):
@@ -344,7 +372,7 @@ def test_cutoffs_keep_good_documents(spark):
 
 def test_token_counts(hard, none, docs, texts):
     path = tokenizer("byte_bpe_50k.json")
-    library = PieceEncoder(path).library
+    library = Tokenizer.from_file(path)
     found = np.array([len(library.encode(t, add_special_tokens=False).ids) for t in texts.values()])
     for r in lengths.answers(lengths.length_histogram(docs, path)).collect():
         assert (r.n_docs, r.docs_at_least, r.tokens_at_least, r.truncated_total) == ((found == r.length).sum(), (found >= r.length).sum(), found[found >= r.length].sum(), np.minimum(found, r.length).sum())
@@ -381,7 +409,7 @@ def exact_brute(rows):
     groups = collections.defaultdict(list)
     for doc_id, text in rows:
         groups[re.sub(r"[\x20\x09-\x0D]+", " ", text or "")].append(doc_id)
-    return sorted({(str(d), str(min((i for i in ids if i is not None), default=None)), len(ids), hashlib.sha256(t.encode()).hexdigest()) for t, ids in groups.items() for d in ids})
+    return sorted((str(d), str(min((i for i in ids if i is not None), default=None)), len(ids), hashlib.sha256(t.encode()).hexdigest()) for t, ids in groups.items() for d in ids)
 
 
 def test_exact_dedup(hard, none, docs, texts):
@@ -413,7 +441,7 @@ def test_pipeline(spark, sf, docs, labels, texts):
         elif number == 10:
             kept = {int(d): texts[int(d)] for d, k, *_ in exact_brute(kept.items()) if d == k}
         elif number == 5:
-            kept = {int(d): texts[int(d)] for d, _, k in simhash_brute(kept.items()) if int(d) == k}
+            kept = {min(i for i, _ in group): texts[min(i for i, _ in group)] for group in near_brute(list(kept.items()))}
         elif number == 1:
             assert set(ids) <= set(kept)
             kept = collections.Counter(ids)
