@@ -7,8 +7,8 @@ many texts at once with array operations on their bytes, finds equal pieces by
 doesn't know, by its very characters, through the tokenizers library, many in one
 call. What it knows are sorted arrays of some 25 bytes for a piece. Texts with
 apostrophes or runs of white space are cut by pattern, and any with characters
-outside common Latin go through the library whole. Strings of special tokens in
-a text are ordinary text.
+outside common Latin or a string that the file adds to its vocabulary, such as
+an end-of-text mark, go through the library whole.
 """
 
 from __future__ import annotations
@@ -82,12 +82,16 @@ class PieceEncoder:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        # the library finds these before it cuts anything, so a text that may hold one goes through it whole
+        added = self.library.get_added_tokens_decoder().values()
+        self.added = [t.content.encode() for t in added if not t.normalized]
+        self.added_lower = [t.content.lower() for t in added if t.normalized]
         vocabulary = self.library.get_vocab()
         ends = [i for token, i in vocabulary.items() if token.endswith("</w>")]
         self.by_word = bool(ends)  # pieces end in tokens of their own kind, white space and case go
         self.pieces = WORD_PIECES if self.by_word else BYTE_PIECES
-        self.is_end = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.largest = max(vocabulary.values())
+        self.is_end = np.zeros(self.largest + 1, bool)
         self.is_end[ends or self.library.encode("\n", add_special_tokens=False).ids] = True
         self.known = Known(np.uint16 if len(self.is_end) <= 1 << 16 else np.uint32)
         self.few: dict[bytes, np.ndarray] = {}
@@ -226,6 +230,9 @@ class PieceEncoder:
             if not text:
                 continue
             raw = text.encode()
+            if any(t in raw for t in self.added) or self.added_lower and any(t in text.lower() for t in self.added_lower):
+                out[-1] = self._whole(text)
+                continue
             if size + len(raw) > CHUNK:
                 flush()
                 size = 0

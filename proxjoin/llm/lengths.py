@@ -18,20 +18,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import written
 from .encoding import encoder
 
 BLOCK = 1024
 
 
 def length_histogram(docs: DataFrame, path: str, end: int = 0) -> DataFrame:
-    """length, n_docs: how many documents encode to each length, ``end`` ids included."""
+    """length, n_docs, written once: how many documents encode to each length, ``end`` ids included."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = Counter(len(ids) + end for ids in encoder(path).encode(batch.column(0).to_pylist()))
             yield pa.record_batch([pa.array(list(found), pa.int64()), pa.array(list(found.values()), pa.int64())], names=["length", "n"])
 
-    return docs.select("text").mapInArrow(count, "length long, n long").groupBy("length").agg(F.sum("n").alias("n_docs"))
+    return written(docs.select("text").mapInArrow(count, "length long, n long").groupBy("length").agg(F.sum("n").alias("n_docs")), "lengths")
 
 
 def answers(histogram: DataFrame) -> DataFrame:

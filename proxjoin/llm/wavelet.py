@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from .common import written
 from .encoding import encoder
 
-END_ID, SHARD_TOKENS, PLANES, SAMPLE = 2, 1_000_000, 16, 512
+END_ID, SHARD_TOKENS, SAMPLE = 2, 1_000_000, 512
 MAGIC = 0x31584D57
 ONES = np.array([bin(i).count("1") for i in range(256)], np.uint8)
 
@@ -45,7 +45,12 @@ class WaveletMatrix:
         self.zeros = [n - int(s[-1]) for s in samples]
 
     @classmethod
-    def build(cls, ids: np.ndarray, planes: int = PLANES) -> WaveletMatrix:
+    def build(cls, ids: np.ndarray, planes: int | None = None) -> WaveletMatrix:
+        """As many planes as the largest id has bits, unless more are asked for."""
+        needed = int(ids.max(initial=0)).bit_length() or 1
+        planes = planes or needed
+        if needed > planes:
+            raise ValueError(f"{planes} planes are too few for ids of {needed} bits")
         now, kept, samples = np.asarray(ids, np.uint16 if planes <= 16 else np.uint32), [], []
         for level in range(planes - 1, -1, -1):
             bit = (now & now.dtype.type(1 << level)).astype(bool)
@@ -160,13 +165,15 @@ def write_shards(docs: DataFrame, path: str, end_id: int = END_ID, shard_tokens:
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, place, tail = TaskContext.get().partitionId(), 0, np.array([end_id], np.uint32)
+        planes = max(encoder(path).largest, end_id).bit_length()
+        kind = np.uint16 if planes <= 16 else np.uint32  # what is held until a shard is full
         doc_ids: list[int | None] = []
         held: list[np.ndarray] = []
         total = 0
 
         def shard() -> pa.RecordBatch:
             lengths = np.array([len(x) for x in held], np.int64)
-            file = to_file(doc_ids, lengths, WaveletMatrix.build(np.concatenate(held)))
+            file = to_file(doc_ids, lengths, WaveletMatrix.build(np.concatenate(held), planes))
             row = [part << 32 | place, part, len(doc_ids), int(lengths.sum()), file]
             return pa.record_batch([pa.array([v]) for v in row], names=["shard", "part", "n_docs", "n_tokens", "file"])
 
@@ -174,7 +181,7 @@ def write_shards(docs: DataFrame, path: str, end_id: int = END_ID, shard_tokens:
             for k in range(0, batch.num_rows, 3000):
                 some = batch.slice(k, 3000)
                 for doc_id, ids in zip(some.column(0).to_pylist(), encoder(path).encode(some.column(1).to_pylist()), strict=True):
-                    tokens = np.concatenate([ids, tail]).astype(np.uint16)
+                    tokens = np.concatenate([ids, tail]).astype(kind)
                     if held and total + len(tokens) > shard_tokens:
                         yield shard()
                         place, doc_ids, held, total = place + 1, [], [], 0
