@@ -59,16 +59,20 @@ def _folder(spark: SparkSession, path: str):
 
 
 def discarded(*tables: DataFrame) -> None:
-    """Deletes written tables that no later plan reads, and lets Spark drop the
-    shuffle files of plans that have ended, which else stay until the driver
-    happens to collect its garbage."""
+    """Deletes written tables that no later plan reads, and what ``released`` does."""
     for table in tables:
         path = _written.pop(table, None)
         if path:
             files, target = _folder(table.sparkSession, path)
             files.delete(target, True)
     if tables:
-        tables[0].sparkSession.sparkContext._jvm.System.gc()
+        released(tables[0].sparkSession)
+
+
+def released(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of plans that have ended, which else stay
+    until the driver happens to collect its garbage."""
+    spark.sparkContext._jvm.System.gc()
 
 
 def fresh(df: DataFrame, *names: str) -> list[str]:

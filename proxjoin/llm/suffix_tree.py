@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import BASES, NULL, buckets_for, located, mixed, opened, rows, runs, squeezed, sub_batches
-from .common import discarded, written
+from .common import discarded, released, written
 
 #: Longest context, times a context must occur in training, gain in nats for each kind of next word.
 DEPTH, LEAST, GAIN = 3, 16, 1.0
@@ -151,10 +151,24 @@ def symbolised(lists: DataFrame, numbers: DataFrame) -> DataFrame:
     return written(met.applyInArrow(place, "batch long, data binary"), "symbols", "uncompressed")
 
 
+def grouped(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The distinct keys in ascending order, a place of each, and which of them each key is."""
+    order = np.argsort(keys)
+    ascending = keys[order]
+    new = np.diff(ascending, prepend=~ascending[:1]) != 0
+    which = np.empty(len(keys), np.int64)
+    which[order] = np.cumsum(new) - 1
+    return ascending[new], order[new], which
+
+
+def both(high: np.ndarray, low: np.ndarray) -> np.ndarray:
+    return high.astype(np.uint64) << np.uint64(32) | low.astype(np.uint64)
+
+
 class Walk:
     """The texts of one batch on their way down the tree: for each symbol its probability so far and its context of the level.
 
-    ``ask`` gives the distinct (context, next) of the level in an order that the
+    ``meet`` puts the distinct (context, next) of the level in an order that the
     data alone decide, so that the answers, in that order, are all ``step`` needs.
     """
 
@@ -167,6 +181,7 @@ class Walk:
         self.text[self.first] = START
         self.text[np.arange(len(place)) + np.repeat(2 * np.arange(len(sizes)) + 1, sizes)] = place.astype(np.int32) + 2
         self.numbers = np.r_[np.array([END, START], np.uint64), numbers.astype(np.uint64)]
+        self.place = np.argsort(np.argsort(self.numbers, kind="stable"))
         self.counts = np.r_[ends, ends, counts.astype(np.int64)]
         self.base = (self.counts + 0.5) / (n + 0.5 * (v + 1))
         self.p = self.base[self.text]
@@ -178,13 +193,12 @@ class Walk:
         self.context = np.where(self.total[before] >= least, before, -1)
         self.context[self.first] = -1
 
-    def ask(self, buckets: int) -> Iterator[tuple[int, bytes]]:
+    def meet(self, buckets: int) -> None:
+        """The pairs of the level, and the parts of contexts that they are asked under."""
         self.at = np.flatnonzero(self.context >= 0)
-        pair, sample, self.which = np.unique(self.context[self.at].astype(np.uint64) << np.uint64(32) | self.text[self.at].astype(np.uint64), return_index=True, return_inverse=True)
-        self.of = (pair >> np.uint64(32)).astype(np.int64)
-        self.next = self.numbers[(pair & np.uint64(0xFFFFFFFF)).astype(np.int64)]
-        n = np.bincount(self.which, weights=self.train[self.at], minlength=len(pair))
-        rare = np.minimum(np.rint(-NATS * np.log(self.p[self.at[sample]])), 255).astype("u1")
+        pair, self.sample, self.which = grouped(both(self.context[self.at], self.text[self.at]))
+        self.of, after = (pair >> np.uint64(32)).astype(np.int64), (pair & np.uint64(0xFFFFFFFF)).astype(np.int64)
+        self.next = self.numbers[after]
         many = self.total[self.of] >= self.hot
         salt = np.where(many, (mixed(self.next) % np.uint64(SALTS)).astype(np.int64), 0)
         part = self.of * SALTS + salt
@@ -196,18 +210,22 @@ class Walk:
         back = np.empty(len(rank), np.int64)
         back[rank] = np.arange(len(rank))
         mine = back[np.searchsorted(parts, part)]
-        self.order = np.lexsort((self.next, mine))
-        self.parts, names, bucket = parts[rank] // SALTS, names[rank], bucket[rank]
-        size = np.bincount(mine, minlength=len(parts))
-        start = np.r_[0, np.cumsum(size)]
+        self.order = np.argsort(both(mine, self.place[after]))
+        self.size = np.bincount(mine, minlength=len(parts))
+        self.parts, self.names, self.bucket = parts[rank] // SALTS, names[rank], bucket[rank]
+
+    def asked(self) -> Iterator[tuple[int, bytes]]:
+        """For each bucket its contexts, and the next words of each with their counts here and how improbable they are so far."""
+        n = np.bincount(self.which, weights=self.train[self.at], minlength=len(self.of))[self.order].astype("<u4")
+        rare = np.minimum(np.rint(-NATS * np.log(self.p[self.at[self.sample[self.order]]])), 255).astype("u1")
+        start = np.r_[0, np.cumsum(self.size)]
         after = self.next[self.order]
         step = np.diff(after, prepend=np.uint64(0))
-        own = start[:-1][size > 0]
+        own = start[:-1][self.size > 0]
         step[own] = after[own]
-        n, rare = n[self.order].astype("<u4"), rare[self.order]
-        for a, b in runs(bucket):
+        for a, b in runs(self.bucket):
             x, y = start[a], start[b]
-            yield int(bucket[a]), squeezed(np.diff(names[a:b], prepend=np.uint64(0)), size[a:b].astype("<u4"), step[x:y], n[x:y], rare[x:y])
+            yield int(self.bucket[a]), squeezed(np.diff(self.names[a:b], prepend=np.uint64(0)), self.size[a:b].astype("<u4"), step[x:y], n[x:y], rare[x:y])
 
     def step(self, total: np.ndarray, kinds: np.ndarray, gain: np.ndarray, counts: np.ndarray) -> None:
         """Takes the answers: of each part its sums, of each pair its count; then the contexts are one word longer."""
@@ -250,10 +268,10 @@ def merged(table: pa.Table) -> pa.Table:
         rare.append(r)
         sizes.append((len(name), len(n)))
         first += len(name)
-    kinds, part = np.unique(np.concatenate(names), return_inverse=True)
-    _, after = np.unique(np.concatenate(afters), return_inverse=True)
+    kinds, _, part = grouped(np.concatenate(names))
+    after = grouped(np.concatenate(afters))[2]
     del names, afters
-    pair, sample, which = np.unique(part[np.concatenate(places)].astype(np.uint64) << np.uint64(32) | after.astype(np.uint64), return_index=True, return_inverse=True)
+    pair, sample, which = grouped(both(part[np.concatenate(places)], after))
     del after, places
     n = np.bincount(which, weights=np.concatenate(counts), minlength=len(pair))
     of = (pair >> np.uint64(32)).astype(np.int64)
@@ -284,14 +302,14 @@ def score(docs: DataFrame, depth: int = DEPTH, least: int = LEAST, gain: float =
         walk = Walk(data, n, v, ends, least, gain, hot)
         levels = answers.column("level").to_numpy() if answers is not None else np.zeros(0, np.int64)
         for d in range(1, int(levels.max(initial=0)) + 1):
-            for _ in walk.ask(buckets):
-                pass
+            walk.meet(buckets)
             some = answers.filter(pa.array(levels == d))
             walk.step(*joined(in_order(some.column("bucket"), some.column("data")), (np.uint64, np.uint64, float, np.uint64)))
         return walk
 
     def asked(walk: Walk, batch: int) -> pa.Table:
-        sent = list(walk.ask(buckets))
+        walk.meet(buckets)
+        sent = list(walk.asked())
         return rows(SENT, [b for b, _ in sent], [batch] * len(sent), [d for _, d in sent])
 
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -309,6 +327,7 @@ def score(docs: DataFrame, depth: int = DEPTH, least: int = LEAST, gain: float =
     for d in range(1, depth + 1):
         asks = texts.mapInArrow(first, SENT_SQL) if answers is None else texts.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(later, SENT_SQL)
         level = written(asks.groupBy("bucket").applyInArrow(merged, SENT_SQL), "level", "uncompressed").withColumn("level", F.lit(d))
+        released(docs.sparkSession)
         answers = level if answers is None else answers.union(level)
     if answers is None:
         scored = texts.groupBy("batch").applyInArrow(lambda own: last(own, None), SCORES_SQL)
