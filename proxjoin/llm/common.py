@@ -13,6 +13,9 @@ from pyspark.sql import functions as F
 SPACES = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 
+#: Deletes the shuffle files of a plan when it has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 _own_folder: dict[str, str] = {}
 _written: weakref.WeakKeyDictionary[DataFrame, str] = weakref.WeakKeyDictionary()
 
@@ -41,10 +44,16 @@ def shared_folder(spark: SparkSession) -> str:
 def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
     """df as a table in the shared folder: lineage ends here, lost executors cost
     only the rows after it, and its size is known to the planner. The table goes
-    when the application ends."""
+    when the application ends; the shuffle files of the write go at once, as no
+    other plan reads them."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/proxjoin/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", codec).parquet(path)
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.option("compression", codec).parquet(path)
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     files, target = _folder(spark, path)
     files.deleteOnExit(target)
     out = spark.read.schema(df.schema).parquet(path)
@@ -59,20 +68,12 @@ def _folder(spark: SparkSession, path: str):
 
 
 def discarded(*tables: DataFrame) -> None:
-    """Deletes written tables that no later plan reads, and what ``released`` does."""
+    """Deletes written tables that no later plan reads."""
     for table in tables:
         path = _written.pop(table, None)
         if path:
             files, target = _folder(table.sparkSession, path)
             files.delete(target, True)
-    if tables:
-        released(tables[0].sparkSession)
-
-
-def released(spark: SparkSession) -> None:
-    """Lets Spark delete the shuffle files of plans that have ended, which else stay
-    until the driver happens to collect its garbage."""
-    spark.sparkContext._jvm.System.gc()
 
 
 def fresh(df: DataFrame, *names: str) -> list[str]:
