@@ -107,7 +107,10 @@ def vocabulary(lists: DataFrame) -> DataFrame:
             for word, n in zip(words, counts.tolist(), strict=True):
                 total[word] = total.get(word, 0) + n
         counts = np.fromiter(total.values(), "<i8", len(total))
-        return rows([("bucket", pa.int64()), ("tokens", pa.int64()), ("kinds", pa.int64()), ("data", pa.binary())], [table.column("bucket")[0].as_py()], [int(counts.sum())], [int((counts > 0).sum())], [listed_packed(list(total), counts)])
+        order = np.argsort(-counts, kind="stable")  # frequent words get small numbers, which pack better
+        words, counts = list(total), counts[order]
+        words = [words[k] for k in order.tolist()]
+        return rows([("bucket", pa.int64()), ("tokens", pa.int64()), ("kinds", pa.int64()), ("data", pa.binary())], [table.column("bucket")[0].as_py()], [int(counts.sum())], [int((counts > 0).sum())], [listed_packed(words, counts)])
 
     return written(lists.where("bucket >= 0").select("bucket", "data").groupBy("bucket").applyInArrow(merge, "bucket long, tokens long, kinds long, data binary"), "vocabulary", "uncompressed")
 
@@ -227,10 +230,10 @@ class Walk:
             x, y = start[a], start[b]
             yield int(self.bucket[a]), squeezed(np.diff(self.names[a:b], prepend=np.uint64(0)), self.size[a:b].astype("<u4"), step[x:y], n[x:y], rare[x:y])
 
-    def step(self, total: np.ndarray, kinds: np.ndarray, gain: np.ndarray, counts: np.ndarray) -> None:
+    def step(self, kinds: np.ndarray, gain: np.ndarray, counts: np.ndarray) -> None:
         """Takes the answers: of each part its sums, of each pair its count; then the contexts are one word longer."""
-        number = len(self.name)
-        total, kinds, gain = (np.bincount(self.parts, weights=x.astype(float), minlength=number) for x in (total, kinds, gain))
+        total = self.total  # something follows wherever a context ends in training
+        kinds, gain = (np.bincount(self.parts, weights=x.astype(float), minlength=len(total)) for x in (kinds, gain))
         stays = (kinds > 0) & (gain - total * np.log(np.maximum(total, 1)) >= self.gain * kinds)
         pairs = np.empty(len(self.order), np.int64)
         pairs[self.order] = counts.astype(np.int64)
@@ -276,11 +279,11 @@ def merged(table: pa.Table) -> pa.Table:
     n = np.bincount(which, weights=np.concatenate(counts), minlength=len(pair))
     of = (pair >> np.uint64(32)).astype(np.int64)
     gain = n * (np.log(np.maximum(n, 1)) + np.concatenate(rare)[sample] / NATS)
-    total, several, gain = (np.bincount(of, weights=w, minlength=len(kinds)) for w in (n, n > 0, gain))
+    several, gain = (np.bincount(of, weights=w, minlength=len(kinds)) for w in (n > 0, gain))
     out, a, x = [], 0, 0
     for parts, pairs in sizes:
         mine = part[a : a + parts]
-        out.append(squeezed(total[mine].astype("<u8"), several[mine].astype("<u8"), gain[mine], n[which[x : x + pairs]].astype("<u8")))
+        out.append(squeezed(several[mine].astype("<u4"), gain[mine].astype("<f4"), n[which[x : x + pairs]].astype("<u8")))
         a, x = a + parts, x + pairs
     return rows(SENT, table.column("bucket").to_pylist(), table.column("batch").to_pylist(), out)
 
@@ -304,7 +307,7 @@ def score(docs: DataFrame, depth: int = DEPTH, least: int = LEAST, gain: float =
         for d in range(1, int(levels.max(initial=0)) + 1):
             walk.meet(buckets)
             some = answers.filter(pa.array(levels == d))
-            walk.step(*joined(in_order(some.column("bucket"), some.column("data")), (np.uint64, np.uint64, float, np.uint64)))
+            walk.step(*joined(in_order(some.column("bucket"), some.column("data")), (np.uint32, np.float32, np.uint64)))
         return walk
 
     def asked(walk: Walk, batch: int) -> pa.Table:
@@ -326,7 +329,7 @@ def score(docs: DataFrame, depth: int = DEPTH, least: int = LEAST, gain: float =
     answers: DataFrame | None = None
     for d in range(1, depth + 1):
         asks = texts.mapInArrow(first, SENT_SQL) if answers is None else texts.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(later, SENT_SQL)
-        level = written(asks.groupBy("bucket").applyInArrow(merged, SENT_SQL), "level", "uncompressed").withColumn("level", F.lit(d))
+        level = written(asks.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(merged, SENT_SQL), "level", "uncompressed").withColumn("level", F.lit(d))
         answers = level if answers is None else answers.union(level)
     if answers is None:
         scored = texts.groupBy("batch").applyInArrow(lambda own: last(own, None), SCORES_SQL)
