@@ -58,7 +58,8 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE, *more: Column) -> Data
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.record_batch([*batch.columns[:-1], pa.array([fingerprint(t, shingle) for t in batch.column(len(given)).to_pylist()], pa.int64())], names=[*given, "bits"])
+            texts = (text.as_py() for text in batch.column(len(given)))  # one at a time in Python
+            yield pa.record_batch([*batch.columns[:-1], pa.array([fingerprint(t, shingle) for t in texts], pa.int64())], names=[*given, "bits"])
 
     return read.mapInArrow(run, ", ".join([f"{c} {t}" for c, t in read.dtypes[:-1]] + ["bits long"]))
 
