@@ -155,9 +155,11 @@ def judged(docs: DataFrame, labels: DataFrame, stratum: str = "lang", risk: floa
 def quality_filter(docs: DataFrame, labels: DataFrame, stratum: str = "lang") -> DataFrame:
     """docs without the rows that the base test or a rule in force rejects; same columns.
 
-    A verdict follows from the row and its stratum's cutoffs, so rows are measured
-    again where they stand: no text is shuffled, and no list of ids is joined.
+    Rows are measured once and written with their measures. A verdict follows from
+    the row and its stratum's cutoffs, so no text is shuffled, and no list of ids is joined.
     """
-    force = written(cutoffs(measures(docs, stratum), labels), "cutoffs")
     rows, prefix = with_measures(docs)
+    rows = written(rows, "measured")
+    measured = rows.select("doc_id", F.col(stratum).alias("stratum"), *[F.col(prefix + c).alias(c) for c in (*COUNTS, *RULES, "base_failed")])
+    force = written(cutoffs(measured, labels), "cutoffs")
     return verdicts(rows, force, stratum, prefix).where(F.col(prefix + "kept")).select(*docs.columns)
