@@ -54,7 +54,7 @@ def spans_hashed(values: np.ndarray, at: np.ndarray, stop: np.ndarray, base: int
     return mixed((total[stop] - total[at]) * powers(base, len(values) + 1, True)[at] + (stop - at).astype(np.uint64))
 
 
-def located(raws: list[bytes]) -> tuple[bytes, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def located(raws: list[bytes], base: int = BASES[0]) -> tuple[bytes, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """All texts joined by line ends; where each word starts and stops in them, its hash, and how many words each text has.
 
     Bytes are taken CHUNK at a time, so that arrays of words are the largest.
@@ -71,16 +71,16 @@ def located(raws: list[bytes]) -> tuple[bytes, np.ndarray, np.ndarray, np.ndarra
         edge = np.flatnonzero(np.diff(white, prepend=True))
         at, stop = edge[::2], edge[1::2]
         counts = np.diff(np.searchsorted(at, np.cumsum([len(r) + 1 for r in some])), prepend=0)
-        found.append((at + begin, stop + begin, spans_hashed(VALUES[b], at, stop, BASES[0]), counts))
+        found.append((at + begin, stop + begin, spans_hashed(VALUES[b], at, stop, base), counts))
         first, begin, size = k + 1, begin + len(b), 0
     none = np.zeros(0, np.int64)
     at, stop, key, counts = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (none, none, none.astype(np.uint64), none)
     return b"\n".join(raws) + b"\n", at, stop, key, counts
 
 
-def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+def word_hashes(texts: list[str | None], base: int = BASES[0]) -> tuple[np.ndarray, np.ndarray]:
     """The hash of every word of all texts in a row, and how many words each text has."""
-    return located([(t or "").encode() for t in texts])[3:]
+    return located([(t or "").encode() for t in texts], base)[3:]
 
 
 def bucket_of(ids: np.ndarray, buckets: int) -> np.ndarray:

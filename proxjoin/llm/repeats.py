@@ -7,11 +7,13 @@ reaches its bucket once per task. A bucket names, for every later occurrence,
 the earliest one as its source. A Spark join brings these back to their
 documents, where a nonbranching path, edges that follow each other while their
 sources do as well, is compacted into one span with its source's coordinates;
-all words of the spans are removed. ``verified`` compares spans with the words
-at their sources, by two joins.
+all words of the spans are removed. A second join compares the words of every
+span with those at its source before the result stands (``differing``);
+``verified`` shows the same span by span.
 
 Edges compare by 56 bits of a hash and log2(buckets) bits of another, and the
-buckets grow with the data, so chance equality stays rare at any size.
+buckets grow with the data; should hashes of different words ever be equal, the
+comparison finds it and other hashes are drawn.
 
 Defined cases: a null text has no words; documents under WINDOW words keep all;
 a null doc_id comes after all others; rows that share a doc_id, or have none, are
@@ -24,6 +26,7 @@ are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -31,15 +34,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import BASES, NULL, bucket_of, buckets_for, opened, places_opened, places_packed, rows, runs, spans_hashed, squeezed, sub_batches, texts_opened, texts_packed, word_hashes
-from .common import words, written
+from .common import discarded, words, written
 
-WINDOW, HASH_BYTES = 20, 7
+WINDOW, HASH_BYTES, DRAWS = 20, 7, 4
 #: Bytes of text taken together in one step of a task, and in one bucket.
 STEP, EACH = 4 << 20, 8 << 20
 KINDS = [("bucket", pa.int64()), ("kind", pa.int64()), ("data", pa.binary())]
-SPAN = pa.struct([("start", pa.int64()), ("words", pa.int64()), ("source_doc", pa.int64()), ("source_start", pa.int64())])
+SPAN = pa.struct([("start", pa.int64()), ("words", pa.int64()), ("source_doc", pa.int64()), ("source_row", pa.int64()), ("source_start", pa.int64()), ("digest", pa.binary())])
 CUT = [("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.string()), ("spans", pa.list_(SPAN))]
-CUT_SQL = "doc_id long, n_words long, n_removed long, kept string, spans array<struct<start: long, words: long, source_doc: long, source_start: long>>"
+CUT_SQL = "doc_id long, n_words long, n_removed long, kept string, spans array<struct<start: long, words: long, source_doc: long, source_row: long, source_start: long, digest: binary>>"
+ASKED_SQL = "bucket long, source_doc long, source_row long, source_start long, words long, digest binary"
 EDGES, LATER = 0, 1
 
 
@@ -73,13 +77,13 @@ def later_packed(ids: np.ndarray, row: np.ndarray, starts: np.ndarray, source: n
         yield int(bucket[a]), squeezed(*places_packed(ids[some], starts[some], row[some]), np.diff(source[some], prepend=0), np.diff(source_row[some], prepend=0), np.diff(source_start[some], prepend=0))
 
 
-def edges(docs: DataFrame, buckets: int, window: int = WINDOW) -> DataFrame:
+def edges(docs: DataFrame, buckets: int, window: int = WINDOW, draw: int = 0) -> DataFrame:
     """bucket, kind, data: first occurrences of each step by their hash, and later ones by their document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for ids, row, texts in row_batches(batch, STEP):
-                hashes, counts = word_hashes(texts)
+                hashes, counts = word_hashes(texts, BASES[0] + 8 * draw)
                 if len(hashes) < window:
                     continue
                 last = np.repeat(np.cumsum(counts), counts)  # where the document of each word ends
@@ -144,7 +148,7 @@ def sources(found: DataFrame, buckets: int) -> DataFrame:
                     out += later_packed(doc[met], row[met], start[met], doc[first], row[first], start[first], buckets)
         return rows([KINDS[0], KINDS[2]], [b for b, _ in out], [d for _, d in out])
 
-    return found.groupBy("bucket").applyInArrow(resolve, "bucket long, data binary")
+    return found.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(resolve, "bucket long, data binary")
 
 
 def texts_by_bucket(docs: DataFrame, buckets: int) -> DataFrame:
@@ -166,12 +170,33 @@ def paths(starts: np.ndarray, source: np.ndarray, source_row: np.ndarray, source
     step = (np.diff(starts) == 1) & (np.diff(source) == 0) & (np.diff(source_row) == 0) & (np.diff(source_start) == 1)
     at = np.flatnonzero(np.r_[True, ~step])
     number = np.diff(np.r_[at, len(starts)])
-    return [{"start": s, "words": n + window - 1, "source_doc": None if d == NULL else d, "source_start": t} for s, n, d, t in zip(starts[at].tolist(), number.tolist(), source[at].tolist(), source_start[at].tolist(), strict=True)]
+    return [{"start": s, "words": n + window - 1, "source_doc": None if d == NULL else d, "source_row": r, "source_start": t} for s, n, d, r, t in zip(starts[at].tolist(), number.tolist(), source[at].tolist(), source_row[at].tolist(), source_start[at].tolist(), strict=True)]
+
+
+def digest_of(listed: list[bytes]) -> bytes:
+    return blake2b(b" ".join(listed), digest_size=16).digest()
 
 
 def substring_dedup(docs: DataFrame, window: int = WINDOW, buckets: int | None = None) -> DataFrame:
-    """doc_id, n_words, n_removed, kept (the words left, joined by a space) and spans (what was removed, and where it stood first)."""
+    """doc_id, n_words, n_removed, kept (the words left, joined by a space) and spans (what was removed, and where it stood first).
+
+    The result stands only when the words of every span equal those at its source;
+    else all is done again with other hashes.
+    """
     buckets = buckets or buckets_for(docs, EACH)
+    docs = told_apart(docs)
+    for draw in range(DRAWS):
+        later = written(sources(edges(docs, buckets, window, draw), buckets), "later", "uncompressed")
+        found = written(cut_out(docs, later, window, buckets), "cut")
+        discarded(later)
+        if not differing(found, docs, buckets).count():
+            return found
+        discarded(found)
+    raise RuntimeError(f"words of spans and of their sources differ under {DRAWS} draws of hashes")
+
+
+def cut_out(docs: DataFrame, later: DataFrame, window: int, buckets: int) -> DataFrame:
+    """CUT of every row of docs (doc_id, row, text): what stays of it, and the spans of its later edges."""
 
     def cut(texts: pa.Table, later: pa.Table) -> pa.Table:
         parts = [opened(d.as_py()) for d in later.column("data")]
@@ -198,6 +223,8 @@ def substring_dedup(docs: DataFrame, window: int = WINDOW, buckets: int | None =
                     cover = np.zeros(size + 1, np.int64)
                     np.add.at(cover, at, 1)
                     np.add.at(cover, at + window, -1)
+                    for span in spans:
+                        span["digest"] = digest_of(listed[span["start"] : span["start"] + span["words"]])
                     gone = np.cumsum(cover[:-1]) > 0
                     n = int(gone.sum())
                     listed = [w for w, g in zip(listed, gone.tolist(), strict=True) if not g]
@@ -205,11 +232,42 @@ def substring_dedup(docs: DataFrame, window: int = WINDOW, buckets: int | None =
                     column.append(value)
         return rows(CUT, *out)
 
-    docs = told_apart(docs)
-    later = sources(edges(docs, buckets, window), buckets)
     return texts_by_bucket(docs, buckets).groupBy("bucket").cogroup(later.groupBy("bucket")).applyInArrow(cut, CUT_SQL)
 
 
+def differing(found: DataFrame, docs: DataFrame, buckets: int) -> DataFrame:
+    """source_doc, source_start: where the words of a span differ from those at its source.
+
+    Spans travel as digests of their words, equal ones of one source once, and the
+    source's words are read where its whole text is: a hot source is asked few things.
+    """
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            spans = pa.Table.from_batches([batch]).column(0).combine_chunks().flatten()
+            columns = [spans.field(c) for c in ("source_doc", "source_row", "source_start", "words", "digest")]
+            ids = columns[0].fill_null(NULL).to_numpy(zero_copy_only=False)
+            bucket = bucket_of(ids + columns[1].to_numpy(zero_copy_only=False), buckets)
+            yield pa.record_batch([pa.array(bucket), *columns], names=["bucket", "source_doc", "source_row", "source_start", "words", "digest"])
+
+    def compare(texts: pa.Table, asked: pa.Table) -> pa.Table:
+        wanted: dict[tuple, list[tuple]] = {}
+        for d, r, *rest in zip(*(asked.column(c).to_pylist() for c in ("source_doc", "source_row", "source_start", "words", "digest")), strict=True):
+            wanted.setdefault((NULL if d is None else d, r), []).append(tuple(rest))
+        bad: list[tuple] = []
+        for data in texts.column("data") if wanted else ():
+            ids, raws, which = texts_opened(data.as_py())
+            for doc_id, raw, r in zip(ids.tolist(), raws, which.tolist(), strict=True):
+                asks = wanted.get((doc_id, r))
+                if asks:
+                    listed = raw.split()
+                    bad += [(doc_id, s) for s, n, digest in asks if digest_of(listed[s : s + n]) != digest]
+        return rows([("source_doc", pa.int64()), ("source_start", pa.int64())], [d for d, _ in bad], [s for _, s in bad])
+
+    asked = found.select("spans").where(F.size("spans") > 0).mapInArrow(ask, ASKED_SQL).dropDuplicates()
+    return texts_by_bucket(docs, buckets).groupBy("bucket").cogroup(asked.groupBy("bucket")).applyInArrow(compare, "source_doc long, source_start long")
+
+
 def verified(found: DataFrame, docs: DataFrame) -> DataFrame:
     """doc_id, start, source_doc, source_start, words, same: each span beside the words at its source."""
     spans = found.select("doc_id", F.inline("spans"))

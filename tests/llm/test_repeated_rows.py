@@ -55,3 +55,13 @@ def test_rows_without_own_id_are_told_apart(spark, parts, same):
     # the same start in two rows: one keeps the passage
     twins = [(same, f"{passage} {listed('e', 5)}"), (same, f"{passage} {listed('f', 9)}")]
     assert got(spark, twins, parts) in (row_brute(twins), row_brute(twins[::-1]))
+
+
+def test_a_span_unlike_its_source_is_found(spark):
+    passage = " ".join(f"p{k}" for k in range(40))
+    docs = spark.createDataFrame([(1, f"a {passage}"), (2, f"{passage} b"), (None, passage)], "doc_id long, text string")
+    found = repeats.substring_dedup(docs)
+    apart = repeats.told_apart(docs)
+    assert found.where("size(spans) > 0").count() == 2 and repeats.differing(found, apart, 16).count() == 0
+    moved = found.withColumn("spans", F.transform("spans", lambda s: s.withField("source_start", s["source_start"] - 1)))
+    assert {r.source_doc for r in repeats.differing(moved, apart, 16).collect()} == {1}
