@@ -50,6 +50,21 @@ class Batch:
                 self.matrix = flat.astype(float).reshape(self.n, -1) if self.n else np.zeros((0, 1))
 
 
+    def take(self, rows: np.ndarray) -> Batch:
+        """Some of the points, in the order of their row numbers here."""
+        out = object.__new__(Batch)
+        out.kind, out.n = self.kind, len(rows)
+        if self.kind == "bits":
+            out.words = self.words[rows]
+        elif self.kind == "sets":
+            size = np.diff(self.starts)[rows]
+            out.starts = np.r_[0, np.cumsum(size)]
+            out.tokens = self.tokens[np.repeat(self.starts[rows] - out.starts[:-1], size) + np.arange(out.starts[-1])]
+        else:
+            out.matrix = self.matrix[rows]
+        return out
+
+
 @dataclass(frozen=True)
 class HashFamily:
     """One primitive family; subclasses say how it hashes and collides."""

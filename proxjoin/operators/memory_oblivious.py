@@ -11,19 +11,24 @@ level, when a side has at most one point, or when it fits one task anyway.
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.families import HashFamily, drawn
+from ..functions.families import Batch, HashFamily, Name, drawn
 from ..functions.metrics import Thresholds
 from ..plans.params import ObliviousPlan, plan_memory_oblivious, repeats_for_recall, repeats_whp
 from ..sources.scratch import written
 from .emission import MODES, distinct_pairs, thinned
-from .hashing import coin, hashed, measured, met, near, result
+from .hashing import coin, measured, met, near, result
 
 PROBLEM = ["repeat", "path", "sub"]
+#: Points hashed in one step of a task.
+STEP = 2048
 
 
 @dataclass
@@ -73,31 +78,61 @@ def heavy_points(inner: DataFrame, sample: DataFrame, left: DataFrame, right: Da
     return found[0].union(found[1])
 
 
-def children(plan: ObliviousPlan, how: str, seed: int, level: int, repeats: int, paths: int) -> tuple[int, float, list[int]]:
-    """How many children a path has at most, on average, and for each (repeat, path): the last is drawn where 1 / p1 is no integer."""
-    whole, most = math.floor(plan.branching + 1e-9), math.ceil(plan.branching - 1e-9)
-    if how == "ceil" or whole == most:
-        return most, float(most), [most] * (repeats * paths)
-    rest = plan.branching - whole
-    return most, plan.branching, [whole + int(drawn(seed, (level, r, p, 77)).random() < rest) for r in range(repeats) for p in range(paths)]
+def name_of(level: int, repeat: int, path: int, j: int) -> Name:
+    """The function of a child path; a path beyond 31 bits takes one number more."""
+    return (level, repeat, path, j) if path < 1 << 31 else (level, repeat, path & 0x7FFFFFFF, j, path >> 31)
+
 
+def split(inner: DataFrame, left: DataFrame, right: DataFrame | None, family: HashFamily, plan: ObliviousPlan, seed: int, level: int, how: str) -> DataFrame:
+    """The next frontier: every point once for each child path, in the subproblem of its key there.
 
-def split(inner: DataFrame, left: DataFrame, right: DataFrame | None, family: HashFamily, plan: ObliviousPlan, seed: int, level: int, repeats: int, paths: int, how: str) -> tuple[DataFrame, int]:
-    """The next frontier: every point once for each child path, in the subproblem of its key there."""
-    most, _, number = children(plan, how, seed, level, repeats, paths)
-    names = [(level, r, p, j) for r in range(repeats) for p in range(paths) for j in range(most)]
-    keys = hashed(left, family, seed, names, plan.k0).select(F.explode(F.array(F.lit(0), F.lit(1))).alias("side"), "id", "keys") if right is None else hashed(left, family, seed, names, plan.k0).select(F.lit(0).alias("side"), "id", "keys").union(hashed(right, family, seed, names, plan.k0).select(F.lit(1).alias("side"), "id", "keys"))
-    at = F.col("repeat") * paths + F.col("path")
-    here = F.slice("keys", (at * most + 1).cast("int"), F.element_at(F.array(*map(F.lit, number)), (at + 1).cast("int"))) if len(set(number)) > 1 else F.slice("keys", (at * most + 1).cast("int"), F.lit(number[0]))
-    rows = inner.join(keys, ["side", "id"]).select("repeat", "path", "sub", "side", "id", F.posexplode(here).alias("j", "key"))
-    return rows.select("repeat", (F.col("path") * most + F.col("j")).alias("path"), F.xxhash64("sub", "j", "key").alias("sub"), "side", "id"), paths * most
+    A point's feature is read once, beside the list of the subproblems where it
+    still is, and hashed by the functions of their children only: as many keys as
+    frontier rows have children. Functions and the number of children, the last
+    of which is drawn where 1 / p1 is no integer, follow from seed and path alone.
+    """
+    whole, most = math.floor(plan.branching + 1e-9), math.ceil(plan.branching - 1e-9)
+    rest = 0.0 if how == "ceil" or whole == most else plan.branching - whole
+    live = inner.groupBy("side", "id").agg(F.collect_list(F.struct("repeat", "path", "sub")).alias("live"))
+    sides = [left, left if right is None else right]
+    feats = sides[0].select(F.lit(0).alias("side"), "id", "feat").union(sides[1].select(F.lit(1).alias("side"), "id", "feat"))
+
+    def keyed(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        points, lists = Batch(batch.column("feat"), family.kind), batch.column("live")
+        problems = lists.flatten()
+        repeat, path, sub = (problems.field(c).to_numpy(zero_copy_only=False) for c in ("repeat", "path", "sub"))
+        point = np.repeat(np.arange(batch.num_rows), lists.value_lengths().to_numpy(zero_copy_only=False))
+        order = np.lexsort((path, repeat))
+        new = np.flatnonzero(np.r_[True, (np.diff(repeat[order]) != 0) | (np.diff(path[order]) != 0)])
+        out: list[tuple[np.ndarray, ...]] = []
+        for a, b in zip(new.tolist(), [*new[1:].tolist(), len(order)], strict=True):
+            rows = order[a:b]
+            r, p = int(repeat[rows[0]]), int(path[rows[0]])
+            number = whole + int(drawn(seed, name_of(level, r, p, 77)).random() < rest) if rest else most
+            if number:
+                keys = family.keys(points.take(point[rows]), seed, [name_of(level, r, p, j) for j in range(number)], plan.k0)
+                out.append((np.repeat(rows, number), np.tile(np.arange(number), len(rows)), keys.reshape(-1)))
+        if out:
+            rows, j, key = (np.concatenate(x) for x in zip(*out, strict=True))
+            at = pa.array(point[rows])
+            columns = [pa.array(repeat[rows], pa.int32()), pa.array(path[rows].astype(np.int64) * most + j), pa.array(sub[rows]), pa.array(j, pa.int64()), pa.array(key), batch.column("side").take(at), batch.column("id").take(at)]
+            yield pa.record_batch(columns, names=["repeat", "path", "sub", "j", "key", "side", "id"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, STEP):
+                if len(batch.slice(at, STEP)):
+                    yield from keyed(pa.RecordBatch.from_arrays([c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c for c in batch.slice(at, STEP).columns], names=batch.schema.names))
+
+    rows = feats.join(live, ["side", "id"]).mapInArrow(run, "repeat int, path long, sub long, j long, key long, side int, id long")
+    return rows.select("repeat", "path", F.xxhash64("sub", F.col("j").cast("int"), "key").alias("sub"), "side", "id")
 
 
 def meetings(left: DataFrame, right: DataFrame | None, at: Thresholds, family: HashFamily, plan: ObliviousPlan, *, repeats: int, heavy: bool, local_rows: int, branching: str, seed: int, strict_leaf: bool) -> Trace:
     """All meetings of pairs as repeat, level, path, sub, id_l, id_r, with the trace of sizes."""
     other = left if right is None else right
     trace = Trace(plan)
-    frontier, paths, found = written(initial(left, right, repeats), "frontier"), 1, []
+    frontier, found = written(initial(left, right, repeats), "frontier"), []
     leaf_rows = 1 if strict_leaf else max(plan.sample, local_rows)
     chunk = max(2, leaf_rows, 4096)
 
@@ -128,8 +163,7 @@ def meetings(left: DataFrame, right: DataFrame | None, at: Thresholds, family: H
                 theirs = rest.where((F.col("gone") == side) & (F.col("side") == 1 - side))
                 found.append(pairs(mine, theirs, level) if side == 0 else pairs(theirs, mine, level))
             inner = inner.join(out, [*PROBLEM, "side", "id"], "left_anti")
-        following, paths = split(inner, left, right, family, plan, seed, level, repeats, paths, branching)
-        frontier = written(following, "frontier")
+        frontier = written(split(inner, left, right, family, plan, seed, level, branching), "frontier")
     trace.meetings = found[0]
     for more in found[1:]:
         trace.meetings = trace.meetings.union(more)
