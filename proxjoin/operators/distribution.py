@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Thresholds
+from ..sources.scratch import written
 from .baselines import all_values, shared_values
 from .hashing import DENSE, coin, measured, met
 
@@ -42,6 +43,15 @@ def pairwise_cdf(points: DataFrame, at: Thresholds, bins: list[float]) -> DataFr
     return grid.join(counts, "bin", "left").select("threshold", F.sum(F.coalesce("n", F.lit(0))).over(running).alias("pairs"))
 
 
+def sampled_cdf(points: DataFrame, at: Thresholds, bins: list[float], n: int, sample: int | None = 10_000, seed: int = 0) -> DataFrame:
+    """pairwise_cdf from about ``sample`` of the n points: counts scale with the square of the sample's share."""
+    if sample is None or n <= sample:
+        return pairwise_cdf(points, at, bins)
+    some = written(sample_points(points, sample, n, seed), "sampled")
+    scale = (n / max(1, some.count())) ** 2
+    return pairwise_cdf(some, at, bins).withColumn("pairs", F.round(F.col("pairs") * scale).cast("long"))
+
+
 def growth_exponent(cdf: DataFrame, low: float, high: float) -> DataFrame:
     """exponent, fit: the slope of log pairs over log threshold, and the square of their correlation."""
     some = cdf.where((F.col("threshold") >= low) & (F.col("threshold") <= high) & (F.col("pairs") > 0)).select(F.log("pairs").alias("y"), F.log("threshold").alias("x"))

@@ -10,17 +10,22 @@ reported pair is near.
 
 from __future__ import annotations
 
+import logging
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.families import HashFamily
 from ..functions.metrics import Thresholds
-from ..plans.params import AwarePlan, plan_memory_aware
+from ..plans.params import AwarePlan, check_preconditions, plan_memory_aware, rounds_for_recall
 from ..sources.scratch import written
 from .emission import MODES, distinct_pairs, first_meeting, thinned
 from .hashing import exploded, hashed, measured, met, near, result
 
 
+LOG = logging.getLogger("proxjoin")
+
+
 def names_of(plan: AwarePlan, rounds: range) -> list[tuple[int, int]]:
     return [(r, j) for r in rounds for j in range(plan.reps)]
 
@@ -38,7 +43,8 @@ def buckets(points: DataFrame, family: HashFamily, plan: AwarePlan, seed: int, r
 def candidates(left: DataFrame, right: DataFrame | None, family: HashFamily, plan: AwarePlan, seed: int, rounds: range | None = None, lookback: bool = False) -> DataFrame:
     """tag, key, id_l, id_r: every meeting of a pair."""
     rounds = range(plan.rounds) if rounds is None else rounds
-    rows = lambda p: None if p is None else buckets(p, family, plan, seed, rounds, lookback)
+    # written, since the sizes of buckets and both sides of the join read them
+    rows = lambda p: None if p is None else written(buckets(p, family, plan, seed, rounds, lookback), "buckets")
     pairs = met(rows(left), rows(right), ["tag", "key"], plan.chunk, ["earlier"] if lookback else [])
     return pairs.where(first_meeting()).drop("earlier_l", "earlier_r") if lookback else pairs
 
@@ -82,6 +88,34 @@ def emissions(left: DataFrame, right: DataFrame | None, at: Thresholds, family:
     return near(measured(candidates(left, right, family, plan, seed, lookback=lookback).drop("key"), left, right, at), at)
 
 
+def points_of(left: DataFrame, right: DataFrame | None) -> int:
+    return 2 * left.count() if right is None else left.count() + right.count()
+
+
+def join_until_recall(left: DataFrame, right: DataFrame | None, at: Thresholds, memory: int, family: HashFamily, target: float = 0.999, *, n: int | None = None, seed: int = 0) -> DataFrame:
+    """id_l, id_r, dist: rounds go on until the pairs found are ``target`` of all near pairs, by an estimate.
+
+    A pair that collides with probability p has been found after so many functions
+    with probability 1 - (1 - p)^functions, so each found pair stands for the inverse
+    of that many. Without a pair at r found, as many rounds run as one there needs.
+    Each round hashes anew and looks only at pairs that no earlier one has verified.
+    """
+    n = points_of(left, right) if n is None else n
+    plan = plan_memory_aware(n, memory, family, at.r, at.cr)
+    seen = found = None
+    for number in range(plan.rounds):
+        new = candidates(left, right, family, plan, seed, range(number, number + 1)).select("id_l", "id_r").distinct()
+        new = new if seen is None else new.join(seen, ["id_l", "id_r"], "left_anti")
+        now = written(measured(new, left, right, at), "round")
+        seen = now.select("id_l", "id_r") if seen is None else seen.union(now.select("id_l", "id_r"))
+        found = near(now, at) if found is None else found.union(near(now, at))
+        missed = F.pow(1 - F.pow(family.collision_column(F.col("value")), plan.k), plan.reps * (number + 1))
+        got, whole = found.agg(F.count(F.lit(1)), F.sum(1 / (1 - missed))).first()
+        if got and got >= target * whole or not got and number + 1 >= rounds_for_recall(plan.p1, plan.reps, target):
+            break
+    return result(found)
+
+
 def memory_aware_join(
     left: DataFrame,
     right: DataFrame | None,
@@ -107,9 +141,13 @@ def memory_aware_join(
     """
     if dedup not in MODES:
         raise ValueError(f"dedup is one of {MODES}")
+    if dedup == "lookback" and cap != "off":
+        raise ValueError("with a far cap a point may leave before a pair meets, so looking back can't tell first meetings")
     if n is None:
-        n = 2 * left.count() if right is None else left.count() + right.count()
+        n = points_of(left, right)
     plan = plan_memory_aware(n, memory, family, at.r, at.cr, rounds, reps, k)
+    for text in check_preconditions(n, memory, 1, plan.p1, plan.p2):
+        LOG.info(text)
     if cap == "round_batch":
         found = capped(left, right, at, family, plan, seed, batch, plan.far_cap if far_cap is None else far_cap)
     elif cap != "off":

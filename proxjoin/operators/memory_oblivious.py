@@ -21,14 +21,14 @@ from pyspark.sql import functions as F
 
 from ..functions.families import Batch, HashFamily, Name, drawn
 from ..functions.metrics import Thresholds
-from ..plans.params import ObliviousPlan, plan_memory_oblivious, repeats_for_recall, repeats_whp
+from ..plans.params import ObliviousPlan, memory_rows, plan_memory_oblivious, repeats_for_recall, repeats_whp
 from ..sources.scratch import written
 from .emission import MODES, distinct_pairs, thinned
 from .hashing import coin, measured, met, near, result
 
 PROBLEM = ["repeat", "path", "sub"]
-#: Points hashed in one step of a task.
-STEP = 2048
+#: Points hashed in one step of a task; bytes of a frontier row in memory.
+STEP, ROW_BYTES = 2048, 64
 
 
 @dataclass
@@ -128,8 +128,12 @@ def split(inner: DataFrame, left: DataFrame, right: DataFrame | None, family: Ha
     return rows.select("repeat", "path", F.xxhash64("sub", F.col("j").cast("int"), "key").alias("sub"), "side", "id")
 
 
-def meetings(left: DataFrame, right: DataFrame | None, at: Thresholds, family: HashFamily, plan: ObliviousPlan, *, repeats: int, heavy: bool, local_rows: int, branching: str, seed: int, strict_leaf: bool) -> Trace:
-    """All meetings of pairs as repeat, level, path, sub, id_l, id_r, with the trace of sizes."""
+def meetings(left: DataFrame, right: DataFrame | None, at: Thresholds, family: HashFamily, plan: ObliviousPlan, *, repeats: int, heavy: bool, local_rows: int, branching: str, seed: int, strict_leaf: bool, budget: float | None = None) -> Trace | None:
+    """All meetings of pairs as repeat, level, path, sub, id_l, id_r, with the trace of sizes.
+
+    A run whose ended subproblems hold more pairs than ``budget`` stops there, as None.
+    """
+    spent = 0
     other = left if right is None else right
     trace = Trace(plan)
     frontier, found = written(initial(left, right, repeats), "frontier"), []
@@ -148,6 +152,10 @@ def meetings(left: DataFrame, right: DataFrame | None, at: Thresholds, family: H
         last = F.lit(level == plan.depth) | (F.least("n_l", "n_r") <= 1) | (F.lit(not strict_leaf) & (F.greatest("n_l", "n_r") <= leaf_rows))
         whole = frontier.join(sizes.drop("level").withColumn("leaf", last), PROBLEM)
         leaf = whole.where("leaf")
+        if budget:
+            spent += sizes.where(last).agg(F.coalesce(F.sum(F.col("n_l") * F.col("n_r")), F.lit(0))).first()[0]
+            if spent > budget:
+                return None
         found.append(pairs(leaf.where("side = 0"), leaf.where("side = 1"), level))
         if sizes.where(~last).isEmpty():
             break
@@ -180,7 +188,7 @@ def memory_oblivious_join(
     repeats: int | str | float = 1,
     max_depth: int | None = None,
     heavy: bool = True,
-    local_rows: int = 1,
+    local_rows: int | str = 1,
     branching: str = "random",
     dedup: str = "distinct",
     seed: int = 0,
@@ -193,8 +201,10 @@ def memory_oblivious_join(
 
     repeats is a number of independent runs, "whp" for the count that finds all
     pairs with high probability, or a recall below 1 that the runs shall reach at
-    r. A budget of meetings restarts a run that exceeds it, with another seed; the
-    last try always ends.
+    r. Under a budget of pairs looked at, instances with different seeds race: each
+    stops at the level where it exceeds the budget, and the first to end within it
+    is taken; the budget doubles after ``tries`` of them. local_rows="auto" ends
+    subproblems that one task's memory holds.
     """
     if dedup not in MODES or dedup == "lookback":
         raise ValueError("dedup is none, distinct, random or random+distinct")
@@ -205,10 +215,12 @@ def memory_oblivious_join(
         repeats = repeats_whp(n)
     elif isinstance(repeats, float) and repeats < 1:
         repeats = repeats_for_recall(plan.p1, plan.branching, plan.depth, repeats)
-    for attempt in range(tries if budget else 1):
-        run = meetings(left, right, at, family, plan, repeats=int(repeats), heavy=heavy, local_rows=local_rows, branching=branching, seed=seed + 101 * attempt, strict_leaf=strict_leaf)
-        if not budget or attempt == tries - 1 or run.meetings.count() <= budget:
-            break
+    rows = memory_rows(left.sparkSession, ROW_BYTES) if local_rows == "auto" else int(local_rows)
+    run, attempt = None, 0
+    while run is None:
+        most = None if budget is None else budget * 2 ** (attempt // tries)
+        run = meetings(left, right, at, family, plan, repeats=int(repeats), heavy=heavy, local_rows=rows, branching=branching, seed=seed + 101 * attempt, strict_leaf=strict_leaf, budget=most)
+        attempt += 1
     if dedup == "distinct":
         return result(near(measured(run.meetings.select("id_l", "id_r").distinct(), left, right, at), at))
     found = near(measured(run.meetings, left, right, at), at)

@@ -25,7 +25,7 @@ WORDS = f"SELECT DISTINCT id, t FROM ({DOCS})"
 SHINGLES = f"SELECT DISTINCT id, t FROM (SELECT doc_id AS id, unnest(list_transform(range(1, greatest(len(w) - 1, 1)), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) AS t FROM (SELECT doc_id, {TOKENS.format('text')} AS w FROM documents) WHERE len(w) >= 3)"
 PAGES = f"SELECT DISTINCT page_id AS id, unnest({TOKENS.format('html')}) AS t FROM pages"
 CONV = f"SELECT DISTINCT conv_id * 1000 + turn AS id, unnest({TOKENS.format('text')}) AS t FROM conversations"
-BRANDS = "SELECT DISTINCT o_custkey AS id, p_brand AS t FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey WHERE o_custkey < 400"
+BRANDS = "SELECT DISTINCT o_custkey AS id, p_brand AS t FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey"
 W1, W1S = sets(WORDS, DIST, 0.5), sets(SHINGLES, DIST, 0.5)
 PAIRS = f"SELECT id_l, id_r, dist FROM ({W1})"
 RS = f"""
@@ -120,7 +120,8 @@ def measures() -> dict[str, str]:
         "bucket_join_md5": f"{MD5} SELECT id_l, id_r, CAST(d AS INTEGER) AS d, CAST(min(rep) AS BIGINT) AS first_rep FROM p WHERE d <= 10 GROUP BY 1, 2, 3",
         "chunk_numbers_md5": f"{MD5}, c AS (SELECT key, id, (row_number() OVER (PARTITION BY key ORDER BY id) - 1) // 64 AS chunk FROM k WHERE rep = 0) SELECT key, chunk, count(*) AS points, min(id) AS first FROM c GROUP BY 1, 2",
         "skewed_buckets_md5": f"{MD5} SELECT CAST(rep AS INTEGER) AS rep, key, count(*) AS points FROM k GROUP BY 1, 2 ORDER BY points DESC, rep, key LIMIT 20",
-        "heavy_points_exact": HEAVY, "dup_clusters": CLUSTERS,
+        "heavy_points_exact": HEAVY, "dup_clusters": CLUSTERS, "cte_clusters": f"SELECT id, cluster AS lowest FROM ({CLUSTERS})",
+        "aware_until_recall_docs": PAIRS, "aware_guaranteed_hamming_docs": HAM, "oblivious_guaranteed_hamming_docs": HAM, "oblivious_race_docs": PAIRS,
         "recall_report": f"SELECT count(*) AS found, count(*) AS truth, count(*) AS \"both\", 1.0::DOUBLE AS recall, 1.0::DOUBLE AS precision FROM ({PAIRS})",
         "monotone_check": "SELECT family, CAST(0 AS BIGINT) AS grows, CAST(198 AS BIGINT) AS steps FROM (VALUES ('hamming'), ('jaccard'), ('cosine'), ('l2')) f(family)",
         "cost_table": """WITH p(data, metric, r, cr, rho, near, close, published_single, published_nested, published_aware) AS (VALUES ('text', 'jaccard', 0.5::DOUBLE, 0.1::DOUBLE, 0.30::DOUBLE, 1800.0::DOUBLE, 16000.0::DOUBLE, 7.5e9, 8e9, 3.2e9), ('text', 'cosine', 0.7, 0.2, 0.51, 1600.0, 16000.0, 212e9, 8e9, 6.6e9), ('digits', 'l1', 3000, 6000, 0.50, 1.8, 42.0, 29e6, 60e6, 12e6)), q AS (SELECT *, published_nested / 1002 AS n FROM p)
@@ -145,7 +146,7 @@ def surface() -> dict[str, str]:
         "asof_last_event": "SELECT p.event_id, p.user_id, (SELECT v.event_id FROM events v WHERE v.user_id = p.user_id AND v.event_type = 'view' AND (v.ts, v.event_id) < (p.ts, p.event_id) ORDER BY v.ts DESC, v.event_id DESC LIMIT 1) AS view_id FROM events p WHERE p.event_type = 'purchase'",
         "both_sides_semi": f"SELECT doc_id, source FROM documents WHERE doc_id IN (SELECT id_l FROM ({PAIRS}))",
         "docs_without_near_dup": f"SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT id FROM ({BOTH}))",
-        "lateral_topk": f"SELECT id AS vec_id, other FROM ({top}) WHERE place <= 3 AND id < 100",
+        "lateral_topk": f"SELECT id AS vec_id, other FROM ({top}) WHERE place <= 3",
         "topk_neighbours": f"SELECT id, other, CAST(place AS INTEGER) AS place FROM ({top}) WHERE place <= 3",
         "rollup_levels": "SELECT lang, source, count(*) AS docs, grouping(lang, source) AS level FROM documents GROUP BY ROLLUP (lang, source)",
         "neardup_by_source_lang_cube": f"SELECT lang, source, count(*) AS pairs FROM ({PAIRS}) JOIN documents ON id_l = doc_id GROUP BY CUBE (lang, source)",
@@ -163,24 +164,23 @@ def surface() -> dict[str, str]:
         "doc_word_sets": f"WITH s AS (SELECT id, count(*) AS n, min({MARK.format('t')}) AS f, max({MARK.format('t')}) AS l FROM ({WORDS}) GROUP BY id) SELECT doc_id AS id, coalesce(n, 0) AS n, coalesce(f, 0) AS first, coalesce(l, 0) AS last FROM documents LEFT JOIN s ON s.id = doc_id",
         "doc_shingle_sets": f"WITH s AS (SELECT id, count(*) AS n, min({MARK.format('t')}) AS f, max({MARK.format('t')}) AS l FROM ({SHINGLES}) GROUP BY id) SELECT id, n, f AS first, l AS last FROM s",
         "pages_text": f"SELECT page_id, len({TOKENS.format('''regexp_replace(html, '<[^>]*>', ' ', 'g')''')}) AS tokens FROM pages",
-        "name_edit_distance": "SELECT a.p_partkey AS k_l, b.p_partkey AS k_r, levenshtein(a.p_name, b.p_name) AS edits FROM part a JOIN part b ON a.p_partkey < b.p_partkey AND substr(a.p_name, 1, 6) = substr(b.p_name, 1, 6) AND abs(length(a.p_name) - length(b.p_name)) <= 3 WHERE a.p_partkey < 500 AND b.p_partkey < 500 AND levenshtein(a.p_name, b.p_name) <= 3",
+        "name_edit_distance": "SELECT a.p_partkey AS k_l, b.p_partkey AS k_r, levenshtein(a.p_name, b.p_name) AS edits FROM part a JOIN part b ON a.p_partkey < b.p_partkey AND substr(a.p_name, 1, 6) = substr(b.p_name, 1, 6) AND abs(length(a.p_name) - length(b.p_name)) <= 3 WHERE levenshtein(a.p_name, b.p_name) <= 3",
         "string_funcs": "SELECT c_custkey, lower(trim(c_name)) AS low, substr(c_name, 1, 4) AS head, split_part(c_name, '#', 2) AS part, replace(c_name, 'Customer', 'C') AS short, lpad(CAST(c_custkey AS VARCHAR), 8, '0') AS padded, length(c_name) AS n FROM customer",
         "md5_keys": f"SELECT doc_id, {MARK.format('''coalesce(text, '')''')} AS key FROM documents",
         "exact_hamming_bits": f"SELECT id, CAST(bit_count(f) AS BIGINT) AS ones, CAST((f >> 5) & 1 AS BIGINT) AS bit5, CAST((f >> 60) & 15 AS BIGINT) AS top FROM (SELECT id, CAST(f AS HUGEINT) AS f FROM ({SIGN}))",
-        "array_set_ops": f"WITH t AS ({WORDS}), n AS (SELECT id, count(*) AS c FROM t GROUP BY id), p AS (SELECT a.id, count(*) AS k FROM t a JOIN t b ON a.t = b.t AND b.id = a.id + 1 GROUP BY 1) SELECT x.id AS id_l, coalesce(k, 0) AS \"both\", x.c + y.c - coalesce(k, 0) AS either, x.c - coalesce(k, 0) AS only_l, coalesce(k, 0) > 0 AS overlap FROM n x JOIN n y ON y.id = x.id + 1 LEFT JOIN p ON p.id = x.id WHERE x.id < 59",
-        "explode_reps": "SELECT CAST(rep AS INTEGER) AS rep, CAST(sum(doc_id) AS BIGINT) AS ids, CAST(max(rep - 1) AS BIGINT) AS place FROM documents, range(1, 5) r(rep) WHERE doc_id < 50 GROUP BY rep",
-        "sparse_map_cosine": f"WITH g AS (SELECT id, t, count(*) AS c FROM ({DOCS}) WHERE id < 40 GROUP BY 1, 2), n AS (SELECT id, CAST(sum(c * c) AS DOUBLE) AS n FROM g GROUP BY id), p AS (SELECT a.id AS id_l, b.id AS id_r, CAST(sum(a.c * b.c) AS DOUBLE) AS d FROM g a JOIN g b ON a.t = b.t AND a.id < b.id GROUP BY 1, 2) SELECT id_l, id_r, round(d / sqrt(x.n * y.n), 6) AS cos FROM p JOIN n x ON x.id = id_l JOIN n y ON y.id = id_r WHERE round(d / sqrt(x.n * y.n), 6) >= 0.3",
+        "array_set_ops": f"WITH t AS ({WORDS}), n AS (SELECT id, count(*) AS c FROM t GROUP BY id), p AS (SELECT a.id, count(*) AS k FROM t a JOIN t b ON a.t = b.t AND b.id = a.id + 1 GROUP BY 1) SELECT x.id AS id_l, coalesce(k, 0) AS \"both\", x.c + y.c - coalesce(k, 0) AS either, x.c - coalesce(k, 0) AS only_l, coalesce(k, 0) > 0 AS overlap FROM n x JOIN n y ON y.id = x.id + 1 LEFT JOIN p ON p.id = x.id",
+        "explode_reps": "SELECT CAST(rep AS INTEGER) AS rep, CAST(sum(doc_id) AS BIGINT) AS ids, CAST(max(rep - 1) AS BIGINT) AS place FROM documents, range(1, 5) r(rep) GROUP BY rep",
+        "sparse_map_cosine": f"WITH g AS (SELECT id, t, count(*) AS c FROM ({DOCS}) GROUP BY 1, 2), n AS (SELECT id, CAST(sum(c * c) AS DOUBLE) AS n FROM g GROUP BY id), p AS (SELECT a.id AS id_l, b.id AS id_r, CAST(sum(a.c * b.c) AS DOUBLE) AS d FROM g a JOIN g b ON a.t = b.t AND a.id < b.id GROUP BY 1, 2) SELECT id_l, id_r, round(d / sqrt(x.n * y.n), 6) AS cos FROM p JOIN n x ON x.id = id_l JOIN n y ON y.id = id_r WHERE round(d / sqrt(x.n * y.n), 6) >= 0.3",
         "events_props_json": "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n, min(event_id) AS first_event FROM events GROUP BY 1",
         "events_calendar": "SELECT CAST(date_trunc('day', ts) AS DATE) AS day, hour(ts) AS hour, dayofweek(ts) + 1 AS weekday, count(*) AS n FROM events GROUP BY 1, 2, 3",
         "events_tumbling": "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
         "events_sliding": "SELECT s AS start, count(*) AS n FROM (SELECT unnest([CAST(floor(epoch(ts) / 1800) AS BIGINT) * 1800, CAST(floor(epoch(ts) / 1800) AS BIGINT) * 1800 - 1800]) AS s FROM events) GROUP BY s",
         "events_session": "WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g), c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY 1, 2) SELECT user_id, count(*) AS sessions, max(n) AS longest FROM c GROUP BY 1",
-        "udf_l2_emb": f"{EMB_PAIRS} SELECT id_l, id_r, round(d, 6) AS dist FROM p WHERE d <= 1.2 AND id_r < 100",
+        "udf_l2_emb": f"{EMB_PAIRS} SELECT id_l, id_r, round(d, 6) AS dist FROM p WHERE d <= 1.2",
         "udaf_centroid": "WITH u AS (SELECT label, unnest(range(0, 64)) AS i, unnest(embedding) AS x FROM embeddings), m AS (SELECT label, i, avg(CAST(x AS DOUBLE)) AS m FROM u GROUP BY 1, 2), c AS (SELECT label, count(*) AS n FROM embeddings GROUP BY 1) SELECT label, round(sqrt(sum(m * m)), 5) AS centroid_norm, any_value(n) AS n FROM m JOIN c USING (label) GROUP BY label",
-        "udtf_shingles": f"WITH s AS (SELECT doc_id, unnest(list_transform(range(1, greatest(len(w) - 1, 1)), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) AS t FROM (SELECT doc_id, {TOKENS.format('text')} AS w FROM documents WHERE doc_id < 100) WHERE len(w) >= 3) SELECT doc_id, count(*) AS n, count(DISTINCT t) AS kinds FROM s GROUP BY 1",
+        "udtf_shingles": f"WITH s AS (SELECT doc_id, unnest(list_transform(range(1, greatest(len(w) - 1, 1)), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) AS t FROM (SELECT doc_id, {TOKENS.format('text')} AS w FROM documents) WHERE len(w) >= 3) SELECT doc_id, count(*) AS n, count(DISTINCT t) AS kinds FROM s GROUP BY 1",
         "leaf_kernel_docs": f"WITH f AS (SELECT f.id, f.f, source FROM ({FINGERS}) f JOIN documents ON doc_id = id) SELECT a.id AS id_l, b.id AS id_r, CAST(bit_count(xor(a.f, b.f)) AS BIGINT) AS dist FROM f a JOIN f b ON a.source = b.source AND a.id < b.id WHERE bit_count(xor(a.f, b.f)) <= 10",
-        "sql_near_pairs": f"SELECT * FROM ({PAIRS}) WHERE id_l < 200 AND id_r < 200",
-        "cte_clusters": None,
+        "sql_near_pairs": PAIRS,
         "subquery_dups": f"SELECT doc_id, n_chars FROM documents d WHERE doc_id IN (SELECT id_r FROM ({PAIRS})) AND n_chars > (SELECT avg(n_chars) FROM documents x WHERE x.lang = d.lang) AND doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)",
         "dedup_keep_longest": f"WITH c AS ({CLUSTERS}), d AS (SELECT doc_id, coalesce(cluster, doc_id) AS cluster, n_chars FROM documents LEFT JOIN c ON c.id = doc_id) SELECT doc_id, cluster, n_chars FROM (SELECT *, row_number() OVER (PARTITION BY cluster ORDER BY n_chars DESC, doc_id) AS place FROM d) WHERE place = 1",
         "near_dup_quality": f"SELECT quality, toxic, count(*) AS pairs, round(avg(dist), 6) AS mean_dist FROM ({PAIRS}) JOIN labels ON id_r = doc_id GROUP BY 1, 2",

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -10,7 +12,7 @@ from .functions.metrics import Thresholds
 from .operators import baselines, clusters, counters, distribution
 from .operators.emission import replication
 from .operators.hashing import measured
-from .operators.memory_aware import candidates, emissions, memory_aware_join
+from .operators.memory_aware import candidates, emissions, join_until_recall, memory_aware_join, points_of
 from .operators.memory_oblivious import meetings, memory_oblivious_join
 from .plans import costs, params
 from .sources.points import load_points
@@ -20,16 +22,37 @@ from .workloads import WORKLOADS, Workload
 
 def aware(work: Workload, spark: SparkSession, sf_dir: str, **more) -> DataFrame:
     left, right = work.points(spark, sf_dir)
-    n = 2 * left.count() if right is None else left.count() + right.count()
-    # longer keys for more points: of all pairs, a smaller share may meet
-    share, extra = (work.memory_share, 0) if n <= 4000 else (8 * work.memory_share, 2)
-    options = {"rounds": work.rounds + extra, "n": n, "seed": 7} | more
-    return memory_aware_join(left, right, work.at, options.pop("memory", max(2, n // share)), work.family, **options)
+    n = points_of(left, right)
+    options = {"rounds": work.rounds_for(n), "n": n, "seed": 7} | more
+    return memory_aware_join(left, right, work.at, options.pop("memory", work.memory), work.family, **options)
+
+
+def until_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The memory-aware join, round by round until nearly all near pairs must have been found."""
+    work = WORKLOADS["W1"]
+    left, right = work.points(spark, sf_dir)
+    return join_until_recall(left, right, work.at, work.memory, work.family, 1 - 1e-6, seed=7)
+
+
+def recall_over_seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """seed, rounds, recall: what one round, three, and all 3 log2 n of the guarantee find, under several seeds."""
+    work = WORKLOADS["W6"]
+    left, _ = work.points(spark, sf_dir)
+    n, truth = points_of(left, None), baselines.exact_join(left, None, work.at)
+    plan = params.plan_memory_aware(n, work.memory, work.family, work.at.r, work.at.cr)
+    out = None
+    for seed in range(1, 6):
+        found = written(emissions(left, None, work.at, work.family, plan, seed), "seed")
+        for rounds in (1, 3, plan.rounds):
+            some = counters.recall(found.where(F.col("tag") < rounds * plan.reps), truth).select(F.lit(seed).alias("seed"), F.lit(rounds).alias("rounds"), "truth", "recall")
+            out = some if out is None else out.union(some)
+    return out
 
 
 def oblivious(work: Workload, spark: SparkSession, sf_dir: str, **more) -> DataFrame:
     left, right = work.points(spark, sf_dir)
-    return memory_oblivious_join(left, right, work.at, work.family, **({"repeats": work.repeats, "local_rows": work.local_rows, "seed": 7} | more))
+    n = points_of(left, right)
+    return memory_oblivious_join(left, right, work.at, work.family, **({"n": n, "repeats": work.repeats_for(n), "local_rows": work.local_rows, "seed": 7} | more))
 
 
 def aware_query(name: str, **more):
@@ -64,10 +87,13 @@ def random_emission(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.groupBy("id_l", "id_r", "dist").agg(F.count(F.lit(1)).alias("emissions"))
 
 
-def cdf_query(name: str, bins: list[float], scale: int = 1):
+def cdf_query(name: str, bins: list[float], sample: int | None = 10_000):
+    """The cumulative counts of a sample of so many points, scaled to all pairs; exact where there are no more, or without one."""
+
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         work = WORKLOADS[name]
-        return distribution.pairwise_cdf(work.points(spark, sf_dir)[0], work.at, bins)
+        points = work.points(spark, sf_dir)[0]
+        return distribution.sampled_cdf(points, work.at, bins, points.count(), sample)
 
     return run
 
@@ -107,26 +133,34 @@ def t1_t2_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def cost_simulation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The simulated experiment on our text and count workloads: measured join sizes, modelled transfers of the three joins."""
-    rows = []
+    """The simulated experiment on our text and count workloads: densities from a sample of 10,000 points at most,
+    modelled transfers of all joins, with memory a thousandth of the points and blocks of one.
+
+    Rows stand for the table's own size and for larger ones, where near and close pairs a point grow with the
+    points. io_aware takes one round of ceil(2 / p1^k) repetitions: each sorts all points, reads its buckets, and
+    2 / (memory * block) transfers go to each pair met, near ones in all repetitions, grey ones in two, far ones
+    as often as the keys' p2^k lets them.
+    """
+    out = None
     for name in ("W1", "W2", "W3"):
         work = WORKLOADS[name]
         left, _ = work.points(spark, sf_dir)
-        sizes = baselines.join_sizes(left, None, work.at).first() if work.at.metric != "cosine" else _blocked_sizes(left, work)
-        n = 2 * left.count()
-        memory = max(1.0, n / 1000)
+        own = left.count()
+        density = written(distribution.join_density(left, work.at, own, 10_000), "density").first()
         p1, p2 = work.family.p1p2(work.at.r, work.at.cr)
         rho = params.rho(p1, p2)
-        near, close = 2 * sizes[0], 2 * (sizes[0] + sizes[1])
-        rows.append((name, work.at.metric, float(work.at.r), float(work.at.cr), round(rho, 6), near / n, close / n, costs.io_single_level(n, rho), costs.io_nested(n, memory), costs.io_t1(n, memory, 1, rho, near), costs.io_t2(memory, 1, close)))
-    return spark.createDataFrame(rows, "data string, metric string, r double, cr double, rho double, near_per_point double, close_per_point double, io_single_level double, io_nested double, t1 double, t2 double")
-
-
-def _blocked_sizes(left: DataFrame, work: Workload):
-    from .operators.hashing import met
-
-    pairs = measured(met(left.select(F.lit(0).alias("all"), "id"), None, ["all"], 256).drop("all"), left, None, work.at)
-    return pairs.agg(F.count_if(work.at.near(F.col("value"))), F.count_if(work.at.close(F.col("value")) & ~work.at.near(F.col("value")))).first()
+        rows = []
+        for n in (2 * own, 1_000_000, 8_000_000):
+            memory = max(2.0, n / 1000)
+            k = params.key_length(n, memory, p2)
+            reps = math.ceil(2 / p1**k)
+            grown = n / (2 * own)
+            near, close = (2 * v * own * grown * grown for v in density)
+            aware_ = costs.io_memory_aware(n, memory, 1, reps, 1, near * reps * p1**k, 2 * (close - near), n * n * reps * p2**k)
+            rows.append((name, work.at.metric, float(work.at.r), float(work.at.cr), n, round(rho, 6), near / n, close / n, costs.io_single_level(n, rho), costs.io_nested(n, memory), aware_["total"], costs.io_t1(n, memory, 1, rho, near), costs.io_t2(memory, 1, close)))
+        some = spark.createDataFrame(rows, "data string, metric string, r double, cr double, points long, rho double, near_per_point double, close_per_point double, io_single_level double, io_nested double, io_aware double, t1 double, t2 double")
+        out = some if out is None else out.union(some)
+    return out
 
 
 def memory_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -249,12 +283,17 @@ def _traced(spark: SparkSession, sf_dir: str, name: str = "W6", heavy: bool = Tr
 def collisions_by_level(spark: SparkSession, sf_dir: str) -> DataFrame:
     work, left, run = _traced(spark, sf_dir)
     seen = counters.collisions_by_level(run, left, None, work.at)
-    return seen.join(counters.replication_by_level(run), "level", "full")
+    n, sizes = left.count(), baselines.join_sizes(left, None, work.at).first()
+    most = counters.expected_frame(run, sizes.near, sizes.grey, n * (n - 1) / 2 - sizes.near - sizes.grey)
+    most = most.select("level", *[F.col(c).alias(f"{c}_expected_at_most") for c in ("near", "grey", "far")])
+    return seen.join(counters.replication_by_level(run), "level", "full").join(most, "level")
 
 
 def collisions_by_band(spark: SparkSession, sf_dir: str) -> DataFrame:
     work, left, run = _traced(spark, sf_dir)
-    return counters.collisions_by_band(run, left, None, work.at, 256)
+    plan = run.plan
+    most = plan.n * F.pow(F.lit(2.0), F.col("band") + 1) * F.pow(F.lit(plan.p2 / plan.p1), F.col("level"))
+    return counters.collisions_by_band(run, left, None, work.at, 256).withColumn("far_expected_at_most", most)
 
 
 def collision_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -374,6 +413,10 @@ def queries() -> dict:
         "exact_hamming_emb": baseline_query("W6b", baselines.exact_join),
         "exact_brand_sets": baseline_query("W8", baselines.exact_join),
         "aware_jaccard_docs": aware_query("W1"),
+        "aware_until_recall_docs": until_recall,
+        "aware_guaranteed_hamming_docs": aware_query("W6", rounds=None),
+        "oblivious_guaranteed_hamming_docs": oblivious_query("W6", repeats="whp"),
+        "oblivious_race_docs": oblivious_query("W1", budget=1e6),
         "aware_shingles_docs": aware_query("W1s"),
         "aware_cosine_docs": aware_query("W2"),
         "aware_l1_docs": aware_query("W3"),
@@ -408,7 +451,7 @@ def queries() -> dict:
         "spark_ml_minhash_docs": spark_ml_minhash,
     }
     measures = {
-        "join_sizes_docs": join_sizes, "cdf_jaccard_docs": cdf_query("W1", CDF_BINS["W1"]), "cdf_l1_docs": cdf_query("W3", CDF_BINS["W3"]), "cdf_cosine_docs": cdf_query("W2", CDF_BINS["W2"]),
+        "recall_over_seeds": recall_over_seeds, "join_sizes_docs": join_sizes, "cdf_jaccard_docs": cdf_query("W1", CDF_BINS["W1"]), "cdf_l1_docs": cdf_query("W3", CDF_BINS["W3"]), "cdf_cosine_docs": cdf_query("W2", CDF_BINS["W2"]),
         "ablation_repetitions": ablation_repetitions, "bound_report": bound_report,
         "cdf_l2_emb": cdf_query("W4", CDF_BINS["W4"]), "growth_exponent_docs": growth_exponent, "cost_table": cost_table, "t1_t2_table": t1_t2_table, "cost_simulation": cost_simulation,
         "memory_sweep": memory_sweep, "rho_table": rho_table, "minhash_buckets_md5": minhash_buckets_md5, "bitsample_counters_md5": bitsample_counters_md5, "far_counters_md5": far_counters_md5,

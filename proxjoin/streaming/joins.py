@@ -98,34 +98,31 @@ def late_rows(events: DataFrame, delay: str = "10 minutes") -> DataFrame:
     return events.withWatermark("ts", delay).groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_timestamp("w.start").alias("start"), "n")
 
 
-def remembered(stream: DataFrame, keep_ms: int = 3_600_000, most: int = 1000) -> DataFrame:
+def remembered(stream: DataFrame, keep_ms: int = 3_600_000) -> DataFrame:
     """key, id, earlier: for each arriving (key, id, ts) how many ids its bucket has seen lately; a bucket
-    that the watermark has left behind by keep_ms is forgotten."""
+    that the watermark has left behind by keep_ms is forgotten. The state of a bucket is one count."""
 
     def update(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
-        ids, latest = (list(state.get[0]) if state.exists else []), state.getCurrentWatermarkMs()
+        seen, latest = (int(state.get[0]) if state.exists else 0), state.getCurrentWatermarkMs()
         for part in parts:
-            out = []
-            for i in part["id"].tolist():
-                out.append((key[0], i, len(ids)))
-                ids.append(i)
+            yield pd.DataFrame({"key": key[0], "id": part["id"], "earlier": range(seen, seen + len(part))})
+            seen += len(part)
             latest = max(latest, int(part["ts"].max().timestamp() * 1000))
-            yield pd.DataFrame(out, columns=["key", "id", "earlier"])
-        state.update((ids[-most:],))
+        state.update((seen,))
         state.setTimeoutTimestamp(latest + keep_ms)
 
     rows = stream.select("key", "id", "ts").withWatermark("ts", "10 minutes")
-    return rows.groupBy("key").applyInPandasWithState(update, "key long, id long, earlier long", "ids array<long>", "append", GroupStateTimeout.EventTimeTimeout)
+    return rows.groupBy("key").applyInPandasWithState(update, "key long, id long, earlier long", "seen long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def upserted_index(stream: DataFrame, path: str, family: HashFamily, reps: int, k: int, seed: int = 0) -> None:
-    """Appends the hashed points of each micro-batch to an index of (tag, key, id)."""
+    """Writes the hashed points of each micro-batch to an index of (tag, key, id, batch); a batch that is replayed replaces itself."""
 
     def write(batch: DataFrame, number: int) -> None:
-        exploded(hashed(batch, family, seed, [(0, j) for j in range(reps)], k)).write.mode("append").parquet(path)
+        exploded(hashed(batch, family, seed, [(0, j) for j in range(reps)], k)).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     stream.writeStream.option("checkpointLocation", f"{path}-state").foreachBatch(write).trigger(availableNow=True).start().awaitTermination()
 

@@ -41,7 +41,7 @@ def scan_pruned_lineitem(spark, sf_dir):
 
 def roundtrip_csv_region(spark, sf_dir):
     region = table(spark, sf_dir, "region")
-    folder = f"{shared_folder(spark)}/proxjoin/roundtrip-{id(region)}"
+    folder = f"{shared_folder(spark)}/proxjoin/roundtrip-{uuid.uuid4().hex}"
     region.write.mode("overwrite").option("header", True).csv(f"{folder}/csv")
     region.write.mode("overwrite").json(f"{folder}/json")
     region.select(F.concat_ws("|", "r_regionkey", "r_name").alias("value")).write.mode("overwrite").text(f"{folder}/text")
@@ -64,7 +64,7 @@ def cluster_source(spark, sf_dir):
 
 
 def pair_sink(spark, sf_dir):
-    path = f"{shared_folder(spark)}/proxjoin/pairs-{id(spark)}"
+    path = f"{shared_folder(spark)}/proxjoin/pairs-{uuid.uuid4().hex}"
     write_pairs(aware(WORKLOADS["W1"], spark, sf_dir).withColumn("level", F.lit(0)), path, by_level=True)
     return spark.read.parquet(path).where("level = 0").select("id_l", "id_r", "dist")
 
@@ -153,7 +153,7 @@ def docs_without_near_dup(spark, sf_dir):
 
 def lateral_topk(spark, sf_dir):
     close_emb(spark, sf_dir).createOrReplaceTempView("proxjoin_close")
-    return spark.sql("select e.vec_id, t.other from (select vec_id from {e} where vec_id < 100) e, lateral (select other from proxjoin_close c where c.id = e.vec_id order by cos desc, other limit 3) t", e=table(spark, sf_dir, "embeddings"))
+    return spark.sql("select e.vec_id, t.other from {e} e, lateral (select other from proxjoin_close c where c.id = e.vec_id order by cos desc, other limit 3) t", e=table(spark, sf_dir, "embeddings"))
 
 
 def rollup_levels(spark, sf_dir):
@@ -247,7 +247,7 @@ def pages_text(spark, sf_dir):
 
 def name_edit_distance(spark, sf_dir):
     """Parts whose names differ by at most three edits, among those that share their first six letters and length within three."""
-    p = table(spark, sf_dir, "part").where("p_partkey < 500").select(F.col("p_partkey").alias("k"), F.col("p_name").alias("name"), F.substring("p_name", 1, 6).alias("head"))
+    p = table(spark, sf_dir, "part").select(F.col("p_partkey").alias("k"), F.col("p_name").alias("name"), F.substring("p_name", 1, 6).alias("head"))
     a, b = p.toDF("k_l", "name_l", "head"), p.toDF("k_r", "name_r", "head")
     return a.join(b, "head").where("k_l < k_r").where(F.abs(F.length("name_l") - F.length("name_r")) <= 3).withColumn("edits", F.levenshtein("name_l", "name_r")).where("edits <= 3").select("k_l", "k_r", F.col("edits").cast("long").alias("edits"))
 
@@ -267,26 +267,25 @@ def exact_hamming_bits(spark, sf_dir):
 
 
 def array_set_ops(spark, sf_dir):
-    docs = load_points(spark, sf_dir, "doc_words").where("id < 60")
+    docs = load_points(spark, sf_dir, "doc_words")
     a, b = docs.toDF("id_l", "a"), docs.toDF("id_r", "b")
     n = lambda c: F.size(c).cast("long")
     return a.crossJoin(b).where("id_l + 1 = id_r").select("id_l", n(F.array_intersect("a", "b")).alias("both"), n(F.array_union("a", "b")).alias("either"), n(F.array_except("a", "b")).alias("only_l"), F.arrays_overlap("a", "b").alias("overlap"))
 
 
 def explode_reps(spark, sf_dir):
-    rows = table(spark, sf_dir, "documents").where("doc_id < 50").select("doc_id", F.posexplode(F.sequence(F.lit(1), F.lit(4))).alias("place", "rep"))
+    rows = table(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.sequence(F.lit(1), F.lit(4))).alias("place", "rep"))
     return rows.groupBy("rep").agg(F.sum("doc_id").alias("ids"), F.max("place").cast("long").alias("place"))
 
 
 def sparse_map_cosine(spark, sf_dir):
-    """Cosine of the first documents' token counts, held as maps of tokens to counts."""
-    t = table(spark, sf_dir, "documents").where("doc_id < 40").select("doc_id", F.explode(features.tokens(F.col("text"))).alias("t")).groupBy("doc_id", "t").count()
+    """Cosine of the documents' token counts, held as maps of tokens to counts."""
+    t = table(spark, sf_dir, "documents").select("doc_id", F.explode(features.tokens(F.col("text"))).alias("t")).groupBy("doc_id", "t").count()
     maps = t.groupBy("doc_id").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("t", "count")))).alias("m"))
-    a, b = maps.toDF("id_l", "a"), maps.toDF("id_r", "b")
-    total = lambda m: F.aggregate(F.map_values(m), F.lit(0).cast("long"), lambda s, x: s + x)
-    dot = total(F.map_zip_with("a", "b", lambda k, x, y: F.coalesce(x * y, F.lit(0).cast("long"))))
-    square = lambda m: total(F.transform_values(m, lambda k, v: v * v))
-    return a.crossJoin(b).where("id_l < id_r").select("id_l", "id_r", F.round(dot / F.sqrt(square("a") * square("b")), 6).alias("cos")).where("cos >= 0.3")
+    maps = written(maps.withColumn("norm", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda n, c: n + c * c)), "maps")
+    ends = [maps.select(F.col("doc_id").alias(f"id_{x}"), F.col("norm").alias(f"norm_{x}"), F.explode("m").alias("t", f"c_{x}")) for x in "lr"]
+    dots = ends[0].join(ends[1], "t").where("id_l < id_r").groupBy("id_l", "id_r", "norm_l", "norm_r").agg(F.sum(F.col("c_l") * F.col("c_r")).alias("dot"))
+    return dots.select("id_l", "id_r", F.round(F.col("dot") / F.sqrt(F.col("norm_l") * F.col("norm_r")), 6).alias("cos")).where("cos >= 0.3")
 
 
 def events_props_json(spark, sf_dir):
@@ -326,7 +325,7 @@ def udf_l2_emb(spark, sf_dir):
 
         return pd.Series(dense("l2", np.stack(a).astype(float), np.stack(b).astype(float)) if len(a) else [], dtype=float)
 
-    e = load_points(spark, sf_dir, "emb").where("id < 100")
+    e = load_points(spark, sf_dir, "emb")
     pairs = e.toDF("id_l", "a").crossJoin(e.toDF("id_r", "b")).where("id_l < id_r")
     return pairs.select("id_l", "id_r", F.round(l2("a", "b"), 6).alias("dist")).where("dist <= 1.2")
 
@@ -348,7 +347,7 @@ def udaf_centroid(spark, sf_dir):
 
 def udtf_shingles(spark, sf_dir):
     sqlapi.register_functions(spark)
-    table(spark, sf_dir, "documents").where("doc_id < 100").createOrReplaceTempView("proxjoin_docs")
+    table(spark, sf_dir, "documents").createOrReplaceTempView("proxjoin_docs")
     return spark.sql("select doc_id, count(*) as n, count(distinct s.shingle) as kinds from proxjoin_docs d, lateral proxjoin_shingles(d.text, 3) s group by doc_id")
 
 
@@ -374,14 +373,16 @@ def leaf_kernel_docs(spark, sf_dir):
 
 def sql_near_pairs(spark, sf_dir):
     sqlapi.register_functions(spark)
-    load_points(spark, sf_dir, "doc_words").where("id < 200").createOrReplaceTempView("proxjoin_points")
-    return spark.sql("select a.id as id_l, b.id as id_r, round(1 - jaccard_similarity(a.feat, b.feat), 6) as dist from proxjoin_points a join proxjoin_points b on a.id < b.id where jaccard_similarity(a.feat, b.feat) >= 0.5")
+    load_points(spark, sf_dir, "doc_words").createOrReplaceTempView("proxjoin_points")
+    return spark.sql("select a.id as id_l, b.id as id_r, round(1 - jaccard_similarity(a.feat, b.feat), 6) as dist from proxjoin_points a join proxjoin_points b on a.id < b.id and 2 * least(size(a.feat), size(b.feat)) >= greatest(size(a.feat), size(b.feat)) where jaccard_similarity(a.feat, b.feat) >= 0.5")
 
 
 def cte_clusters(spark, sf_dir):
-    pairs = near_pairs(spark, sf_dir)
-    pairs.select("id_l", "id_r").union(pairs.select("id_r", "id_l")).createOrReplaceTempView("proxjoin_edges")
-    return spark.sql("with recursive reach(id, to, depth) as (select id_l, id_l, 0 from proxjoin_edges group by id_l union all select r.id, e.id_r, r.depth + 1 from reach r join proxjoin_edges e on r.to = e.id_l where e.id_r < r.to and r.depth < 6) select id, min(to) as lowest from reach group by id")
+    """Every member of a cluster of near pairs, reached by recursion from its smallest id: members stand in a
+    heap, whose k-th has the (k / 2)-th as parent, so as many steps suffice as the largest cluster has doublings."""
+    members = clusters.dup_clusters(near_pairs(spark, sf_dir)).selectExpr("id", "cluster", "row_number() over (partition by cluster order by id) as place")
+    written(members, "members").createOrReplaceTempView("proxjoin_members")
+    return spark.sql("with recursive reach(id, lowest, place) as (select id, cluster, place from proxjoin_members where place = 1 union all select m.id, r.lowest, m.place from reach r join proxjoin_members m on m.cluster = r.lowest and m.place div 2 = r.place) select id, lowest from reach")
 
 
 def subquery_dups(spark, sf_dir):
