@@ -24,11 +24,11 @@ from ..functions.metrics import Thresholds
 from ..plans.params import ObliviousPlan, memory_rows, plan_memory_oblivious, repeats_for_recall, repeats_whp
 from ..sources.scratch import written
 from .emission import MODES, distinct_pairs, thinned
-from .hashing import coin, measured, met, near, result
+from .hashing import coin, dense, measured, met, near, result
 
 PROBLEM = ["repeat", "path", "sub"]
-#: Points hashed in one step of a task; bytes of a frontier row in memory.
-STEP, ROW_BYTES = 2048, 64
+#: Points hashed in one step of a task; bytes of a frontier row in memory; points compared with a sample in one group.
+STEP, ROW_BYTES, PART = 2048, 64, 4096
 
 
 @dataclass
@@ -67,15 +67,54 @@ def sample_larger(inner: DataFrame, size: int, seed: int) -> DataFrame:
 
 
 def heavy_points(inner: DataFrame, sample: DataFrame, left: DataFrame, right: DataFrame, at: Thresholds) -> DataFrame:
-    """PROBLEM, side, id: points of the smaller side within cr of at least half of the sample."""
-    small_left = F.col("n_l") <= F.col("n_r")
-    found: list[DataFrame] = []
-    for side, own, other in ((0, left, right), (1, right, left)):
-        mine = inner.where((F.col("side") == side) & (small_left if side == 0 else ~small_left)).select(*PROBLEM, F.col("id").alias("id_l"))
-        pairs = mine.join(sample.withColumnRenamed("id", "id_r"), PROBLEM)
-        close = measured(pairs, own, other, at).groupBy(*PROBLEM, "id_l").agg(F.count_if(at.close(F.col("value"))).alias("close"), F.count(F.lit(1)).alias("of"))
-        found.append(close.where("2 * close >= of").select(*PROBLEM, F.lit(side).alias("side"), F.col("id_l").alias("id")))
-    return found[0].union(found[1])
+    """PROBLEM, side, id: points of the smaller side within cr of at least half of the sample.
+
+    A feature travels once for each subproblem, not for each pair: parts of PART
+    points meet the whole sample of their subproblem in one group.
+    """
+    small = F.when(F.col("n_l") <= F.col("n_r"), 0).otherwise(1)
+    number = F.ceil(F.least("n_l", "n_r") / F.lit(PART)).cast("int")
+    feats = left.select(F.lit(0).alias("side"), "id", "feat").union(right.select(F.lit(1).alias("side"), "id", "feat"))
+    mine = inner.where(F.col("side") == small).select(*PROBLEM, F.pmod(F.xxhash64("id", F.lit(23)), number).alias("part"), "side", "id").join(feats, ["side", "id"])
+    parts = inner.select(*PROBLEM, (1 - small).alias("side"), F.explode(F.sequence(F.lit(0), number - 1)).alias("part")).distinct()
+    theirs = sample.join(parts, PROBLEM).join(feats, ["side", "id"])
+    kind = {"hamming": "bits", "jaccard": "sets"}.get(at.metric, "dense")
+
+    def close(points: pa.Table, sample: pa.Table) -> pa.Table:
+        if not (points.num_rows and sample.num_rows):
+            return points.select([*PROBLEM, "side", "id"]).slice(0, 0)
+        one, other = (Batch(t.column("feat").combine_chunks(), kind) for t in (points, sample))
+        near = close_counts(at, one, other)
+        return points.select([*PROBLEM, "side", "id"]).filter(pa.array(2 * near >= other.n))
+
+    keys = [*PROBLEM, "part"]
+    schema = ", ".join(f"{c} {t}" for c, t in inner.select(*PROBLEM).dtypes) + ", side int, id long"
+    mine, theirs = (f.select(*[F.col(c).alias(c) for c in (*keys, "side", "id", "feat")]) for f in (mine, theirs))  # both descend from inner
+    return mine.groupBy(*keys).cogroup(theirs.groupBy(*keys)).applyInArrow(close, schema)
+
+
+def close_counts(at: Thresholds, points: Batch, sample: Batch) -> np.ndarray:
+    """How many points of the sample are within cr of each point; both may be large, their product is never held."""
+    total = np.zeros(points.n, np.int64)
+    within = (lambda v: v >= at.cr) if at.similar else (lambda v: v <= at.cr)
+    if points.kind == "sets":
+        tokens, held = np.unique(sample.tokens, return_inverse=True)
+        order = np.argsort(held, kind="stable")
+        owner = np.repeat(np.arange(sample.n), np.diff(sample.starts))[order]
+        begin = np.searchsorted(held[order], np.arange(len(tokens) + 1))
+        sizes = np.diff(sample.starts)
+        for k in range(points.n):
+            own = points.tokens[points.starts[k] : points.starts[k + 1]]
+            place = np.searchsorted(tokens, own)
+            place = place[place < len(tokens)][tokens[place[place < len(tokens)]] == own[place < len(tokens)]]
+            both = np.bincount(np.concatenate([owner[begin[t] : begin[t + 1]] for t in place.tolist()]), minlength=sample.n) if len(place) else np.zeros(sample.n, np.int64)
+            either = len(own) + sizes - both
+            total[k] = within(np.where(either == 0, 1.0, both / np.maximum(either, 1))).sum()
+        return total
+    for k in range(sample.n):
+        value = np.bitwise_count(points.words ^ sample.words[k]) if points.kind == "bits" else dense(at.metric, points.matrix, sample.matrix[k : k + 1])
+        total += within(value)
+    return total
 
 
 def name_of(level: int, repeat: int, path: int, j: int) -> Name:
