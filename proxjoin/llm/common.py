@@ -6,9 +6,12 @@ import tempfile
 import uuid
 import weakref
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .blobs import SLOTS, slots_counted
+
 #: Fixed values of the word rule: ASCII white space separates words.
 SPACES = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
@@ -121,15 +124,22 @@ def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
     several = groups.groupBy("label").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
     rows = written(groups.join(several, "label").select("doc_id", "key", place.eqNullSafe(F.col("first")).alias("stays")), "several")
     keyed = docs.withColumn(key, text_key(F.col("text")))
-    same = lambda other: keyed["doc_id"].eqNullSafe(other[gone]) & (keyed[key] == other[text])
     named = lambda some: some.select(F.col("doc_id").alias(gone), F.col("key").alias(text))
     dropped = named(rows.where("not stays")).distinct()
     twins = named(rows.where("stays").groupBy("doc_id", "key").count().where("count > 1"))
-    kept = keyed.join(dropped, same(dropped), "left_anti").drop(key)
-    if twins.isEmpty():
+    whole = not twins.isEmpty()
+    dropped = dropped.union(twins) if whole else dropped
+    # most rows share no slot with a dropped one and stay where they are; the others are joined
+    slot = lambda doc_id, text: F.pmod(F.xxhash64(F.col(doc_id).cast("long"), text), F.lit(1 << SLOTS))
+    marked = slots_counted(dropped.select(slot(gone, text).alias("slot")), lambda batch: iter([batch.column(0).to_numpy()])) > 0
+    bits, place = F.lit(bytearray(np.packbits(marked, bitorder="little").tobytes())), slot("doc_id", key)
+    byte = F.conv(F.hex(F.substring(bits, (F.floor(place / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("long")
+    maybe = F.call_function("getbit", byte, (place % 8).cast("int")) == 1
+    some = keyed.where(maybe)
+    same = lambda other: some["doc_id"].eqNullSafe(other[gone]) & (some[key] == other[text])
+    kept = keyed.where(~maybe).union(some.join(dropped, same(dropped), "left_anti")).drop(key)
+    if not whole:
         return kept
-    dropped = dropped.union(twins)
-    kept = keyed.join(dropped, same(dropped), "left_anti").drop(key)
     fields = F.struct(*[F.col(c).alias(f"c{k}") for k, c in enumerate(docs.columns)])
-    least = keyed.join(twins, same(twins), "left_semi").groupBy("doc_id", key).agg(F.min(fields).alias(gone))
+    least = some.join(twins, same(twins), "left_semi").groupBy("doc_id", key).agg(F.min(fields).alias(gone))
     return kept.union(least.select(*[F.col(f"{gone}.c{k}").alias(c) for k, c in enumerate(docs.columns)]))
