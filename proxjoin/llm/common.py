@@ -5,17 +5,18 @@ from __future__ import annotations
 import tempfile
 import uuid
 import weakref
-from collections.abc import Iterator
 
-import pyarrow as pa
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .blobs import SLOTS, slots_counted
+from .blobs import slots_counted
 
 #: Fixed values of the word rule: ASCII white space separates words.
 SPACES = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
+#: Slots of dropped rows that a plan carries, as a power of two: 32 KB.
+MARKS = 18
 
 #: Deletes the shuffle files of a plan when it has ended.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
@@ -120,7 +121,7 @@ def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
     after all others, then the smallest key. Of rows that share both, the smallest
     by its columns stays, which must be of types that can be ordered.
     """
-    key, gone, text, at = fresh(docs, "key", "gone", "twin", "at")
+    key, gone, text = fresh(docs, "key", "gone", "twin")
     place = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "key")
     several = groups.groupBy("label").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
     rows = written(groups.join(several, "label").select("doc_id", "key", place.eqNullSafe(F.col("first")).alias("stays")), "several")
@@ -131,20 +132,14 @@ def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
     whole = not twins.isEmpty()
     dropped = dropped.union(twins) if whole else dropped
     # most rows share no slot with a dropped one and stay where they are; the others are joined
-    slot = lambda doc_id, text: F.pmod(F.xxhash64(F.col(doc_id).cast("long"), text), F.lit(1 << SLOTS))
-    marked = docs.sparkSession.sparkContext.broadcast(slots_counted(dropped.select(slot(gone, text).alias("slot")), lambda batch: iter([batch.column(0).to_numpy()])) > 0)
-    keyed = keyed.withColumn(at, slot("doc_id", key))
-
-    def told(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            maybe = pa.array(marked.value[batch.column(batch.num_columns - 1).to_numpy()].astype("i8"))
-            yield pa.record_batch([*batch.columns[:-1], maybe], schema=batch.schema)
-
-    keyed = keyed.mapInArrow(told, keyed.schema)
-    some = keyed.where(F.col(at) == 1).drop(at)
-    keyed = keyed.where(F.col(at) == 0).drop(at)
+    slot = lambda doc_id, text: F.pmod(F.xxhash64(F.col(doc_id).cast("long"), text), F.lit(1 << MARKS))
+    marked = slots_counted(dropped.select(slot(gone, text).alias("slot")), lambda batch: iter([batch.column(0).to_numpy()]))[: 1 << MARKS] > 0
+    bits, place = F.lit(bytearray(np.packbits(marked, bitorder="little").tobytes())), slot("doc_id", key)
+    byte = F.conv(F.hex(F.substring(bits, (F.floor(place / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("long")
+    maybe = F.call_function("getbit", byte, (place % 8).cast("int")) == 1
+    some = keyed.where(maybe)
     same = lambda other: some["doc_id"].eqNullSafe(other[gone]) & (some[key] == other[text])
-    kept = keyed.union(some.join(dropped, same(dropped), "left_anti")).drop(key)
+    kept = keyed.where(~maybe).union(some.join(dropped, same(dropped), "left_anti")).drop(key)
     if not whole:
         return kept
     fields = F.struct(*[F.col(c).alias(f"c{k}") for k, c in enumerate(docs.columns)])
