@@ -36,6 +36,24 @@ SELECT doc_id, min(doc_id) OVER w AS keep_id, CAST(count(*) OVER w AS BIGINT) AS
 FROM n WINDOW w AS (PARTITION BY content)
 """
 
+OP9 = """
+WITH d AS (
+  SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
+), s AS (
+  SELECT doc_id, unnest(range(1, len(w) - 18)) AS i, unnest(list_transform(range(1, len(w) - 18), lambda x: array_to_string(w[x : x + 19], ' '))) AS span FROM d
+), r AS (
+  SELECT doc_id, i, row_number() OVER (PARTITION BY span ORDER BY doc_id, i) AS place FROM s
+), gone AS (
+  SELECT DISTINCT doc_id, unnest(range(i, i + 20)) AS i FROM r WHERE place > 1
+), listed AS (
+  SELECT doc_id, unnest(w) AS word, unnest(range(1, len(w) + 1)) AS i FROM d
+), k AS (
+  SELECT doc_id, string_agg(word, ' ' ORDER BY i) AS kept, count(*) AS n FROM listed ANTI JOIN gone USING (doc_id, i) GROUP BY doc_id
+)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(len(w) - coalesce(n, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM d LEFT JOIN k USING (doc_id)
+"""
+
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_source_mixing": OP1, "op10_exact_dedup": OP10}
+    return {"op1_source_mixing": OP1, "op9_substring_dedup": OP9, "op10_exact_dedup": OP10}
