@@ -4,7 +4,8 @@ Values are found by pattern and kept only if valid: card numbers by their check
 digit, dates by the calendar, addresses by their octets, phone numbers by their
 length. A value becomes a list of small integers, each below its own
 modulus: digits below 10, letters below 26, octets below 256, a day as its place
-in a cycle of 400 years, 189 * 773 days. A Feistel network over the halves of
+in a cycle of 400 years, 189 * 773 days, a social security number as the places
+of its area, group and serial among the valid ones. A Feistel network over the halves of
 the list, whose rounds add keyed hashes modulo each modulus, permutes all values
 of a format, so different values stay different, equal ones stay linked in all
 documents, and the format (case, separators, check digits) stays. ``restore``
@@ -35,6 +36,8 @@ KINDS = {
 }
 ANY = "|".join(f"(?:{p})" for p in KINDS.values())
 FIRST_DAY, CYCLE = "1800-01-01", (189, 773)
+#: How many areas, groups and serials valid social security numbers have; no area is 0, 666 or above 899.
+SSN, NO_AREA = (898, 99, 9999), 666
 
 
 def digits(value: Column) -> Column:
@@ -119,14 +122,18 @@ def pseudonym(value: Column, key: str = KEY, back: bool = False) -> Column:
     octets = F.split(value, r"\.").cast("array<int>")
     day = F.datediff(F.try_to_date(value, "yyyy-MM-dd"), F.lit(FIRST_DAY).cast("date"))
     day = let(permuted(F.array(F.floor(day / CYCLE[1]).cast("int"), (day % CYCLE[1]).cast("int")), F.array(*map(F.lit, CYCLE)), key, "date", back), lambda p: p[0] * CYCLE[1] + p[1])
+    part = lambda a, n: F.substring(number, a, n).cast("int")
+    area = part(1, 3)
+    ssn = permuted(F.array(area - F.when(area > NO_AREA, 2).otherwise(1), part(4, 2) - 1, part(6, 4) - 1), F.array(*map(F.lit, SSN)), key, "ssn", back)
+    ssn = let(ssn, lambda p: F.concat(F.lpad((p[0] + F.when(p[0] >= NO_AREA - 1, 2).otherwise(1)).cast("string"), 3, "0"), F.lpad((p[1] + 1).cast("string"), 2, "0"), F.lpad((p[2] + 1).cast("string"), 4, "0")))
     last = lambda n: F.substring(number, -n, n)
     made = {
         "email": F.concat(of_text("email", name), F.substring(value, F.length(name) + 1, F.length(value))),
         "date": F.date_format(F.date_add(F.lit(FIRST_DAY).cast("date"), day), "yyyy-MM-dd"),
         "ip": F.array_join(permuted(octets, F.transform(octets, lambda o: F.lit(256)), key, "ip", back).cast("array<string>"), "."),
         "card": laid(F.concat(card, check), value),
-        # the digits that make a number valid stay: a leading 1 and area's first digit, a group that isn't zero
-        "ssn": laid(F.concat(F.substring(number, 1, 5), of_text("ssn", last(4))), value),
+        "ssn": laid(ssn, value),
+        # a leading 1 and the area's first digit stay
         "phone": laid(F.concat(F.substring(number, F.lit(1), F.length(number) - 9), of_text("phone", last(9))), value),
     }
 
