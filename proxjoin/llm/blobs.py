@@ -13,6 +13,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -29,6 +30,16 @@ CHUNK = 1 << 20
 _powers: dict[tuple[int, bool], np.ndarray] = {}
 
 
+def by_bytes(batch: pa.RecordBatch, step: int) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch, whose last column is the text, of about step bytes of text, or of one larger text."""
+    first, size = 0, 0
+    for k, n in enumerate(pa.compute.binary_length(batch.column(batch.num_columns - 1)).fill_null(0).to_pylist()):
+        size += n
+        if size >= step or k == batch.num_rows - 1:
+            yield batch.slice(first, k + 1 - first)
+            first, size = k + 1, 0
+
+
 def powers(base: int, n: int, back: bool = False) -> np.ndarray:
     """base**1 .. base**n modulo 2**64, or their inverses."""
     known = _powers.get((base, back))

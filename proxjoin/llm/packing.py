@@ -27,12 +27,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .blobs import by_bytes
 from .common import written
 from .encoding import encoder
 
 LIMIT, END_ID = 4096, 1
-#: Pieces in one packing task.
-DEALT = 50_000
+#: Pieces in one packing task, bytes of text encoded together.
+DEALT, STEP = 50_000, 4 << 20
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PLACED = f"{PIECES}, sequence_id long, offset long, full boolean"
 
@@ -43,13 +44,13 @@ def pieces(docs: DataFrame, path: str, limit: int = LIMIT, end_id: int = END_ID)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tail = np.array([end_id], np.uint32)
-        for batch in batches:
+        for part in (part for batch in batches for part in by_bytes(batch, STEP)):
             rows: list[tuple] = []
-            for doc_id, ids in zip(batch.column(0).to_pylist(), encoder(path).encode(batch.column(1).to_pylist()), strict=True):
+            for doc_id, ids in zip(part.column(0).to_pylist(), encoder(path).encode(part.column(1).to_pylist()), strict=True):
                 ids = np.concatenate([ids, tail])
                 for piece, at in enumerate(range(0, len(ids), limit)):
-                    part = ids[at : at + limit]
-                    rows.append((doc_id, piece, at, len(part), zlib.crc32(part.astype("<u4", copy=False))))
+                    own = ids[at : at + limit]
+                    rows.append((doc_id, piece, at, len(own), zlib.crc32(own.astype("<u4", copy=False))))
             yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)] if rows else [pa.array([], f.type) for f in schema], schema=schema)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text")).mapInArrow(cut, PIECES)
