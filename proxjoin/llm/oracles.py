@@ -36,6 +36,7 @@ SELECT doc_id, min(doc_id) OVER w AS keep_id, CAST(count(*) OVER w AS BIGINT) AS
 FROM n WINDOW w AS (PARTITION BY content)
 """
 
+#: For tables whose doc_ids are unique and not null, as the given ones; tests/llm has brute force for the others.
 OP9 = """
 WITH d AS (
   SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
