@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.families import HashFamily
 from ..functions.metrics import Thresholds
 from ..plans.params import key_length
+from .exact_sets import exact_set_join
 from .hashing import measured, met, near, result
 from .memory_aware import memory_aware_join
 
@@ -71,38 +72,14 @@ def single_level_lsh_join(left: DataFrame, right: DataFrame | None, at: Threshol
     return memory_aware_join(left, right, at, max(2, n), family, n=n, rounds=1, reps=reps, k=k, seed=seed)
 
 
-def ordered_sets(points: DataFrame) -> DataFrame:
-    """id, size, sorted tokens: the rarest first. Counts of tokens join back by token; a hot token is aggregated before it travels."""
-    rows = points.select("id", F.size("feat").alias("size"), F.explode("feat").alias("token"))
-    counts = rows.groupBy("token").agg(F.count(F.lit(1)).alias("df"))
-    return rows.join(counts, "token").groupBy("id", "size").agg(F.sort_array(F.collect_list(F.struct("df", "token"))).alias("ranked"))
-
-
-def prefixes(points: DataFrame, r: float) -> DataFrame:
-    """id, size, place, token: of each set as many of its rarest tokens as any set at least r similar must share one of."""
-    length = F.col("size") - F.ceil(r * F.col("size") - 1e-9) + 1
-    return ordered_sets(points).select("id", "size", F.posexplode(F.slice("ranked", F.lit(1), length.cast("int"))).alias("place", "x")).select("id", "size", "place", F.col("x.token").alias("token"))
-
-
-def _prefix_pairs(points: DataFrame, at: Thresholds) -> DataFrame:
-    rows = prefixes(points, at.r)
-    a = rows.select("token", F.col("id").alias("id_l"), F.col("size").alias("size_l"), F.col("place").alias("place_l"))
-    b = rows.select("token", F.col("id").alias("id_r"), F.col("size").alias("size_r"), F.col("place").alias("place_r"))
-    ratio = (F.col("size_l") * at.r <= F.col("size_r") + 1e-9) & (F.col("size_r") * at.r <= F.col("size_l") + 1e-9)
-    return a.join(b, "token").where("id_l < id_r").where(ratio)
-
-
 def prefix_filter_join(points: DataFrame, at: Thresholds) -> DataFrame:
-    pairs = _prefix_pairs(points, at).select("id_l", "id_r").distinct()
-    return result(near(measured(pairs, points, None, at), at))
+    """Pairs that share one of their rarest tokens, as many as any set at least r similar must share one of."""
+    return exact_set_join(points, at, "prefix")
 
 
 def positional_filter_join(points: DataFrame, at: Thresholds) -> DataFrame:
     """Prefix candidates whose first shared token leaves enough tokens after it on both sides."""
-    first = _prefix_pairs(points, at).groupBy("id_l", "id_r", "size_l", "size_r").agg(F.min("place_l").alias("i"), F.min("place_r").alias("j"))
-    rest = 1 + F.least(F.col("size_l") - F.col("i") - 1, F.col("size_r") - F.col("j") - 1)
-    pairs = first.where(rest >= F.ceil(at.r / (1 + at.r) * (F.col("size_l") + F.col("size_r")) - 1e-9)).select("id_l", "id_r")
-    return result(near(measured(pairs, points, None, at), at))
+    return exact_set_join(points, at, "positional")
 
 
 def shared_values(points: DataFrame) -> DataFrame:
