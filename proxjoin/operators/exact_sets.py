@@ -51,9 +51,9 @@ def commonness(points: DataFrame) -> np.ndarray:
     return out
 
 
-def classes_of(points: DataFrame) -> DataFrame:
-    """id, rep: the smallest id with the same set; empty sets have none."""
-    named = points.where(F.size("feat") > 0).select("id", F.xxhash64("feat", F.lit(1)).alias("one"), F.xxhash64("feat", F.lit(2)).alias("two"), F.size("feat").alias("size"))
+def classes_of(points: DataFrame, empty: bool = False) -> DataFrame:
+    """id, rep: the smallest id with the same set; empty sets have one on request only."""
+    named = points.where(F.size("feat") >= (0 if empty else 1)).select("id", F.xxhash64("feat", F.lit(1)).alias("one"), F.xxhash64("feat", F.lit(2)).alias("two"), F.size("feat").alias("size"))
     named = written(named, "names")
     reps = named.groupBy("one", "two", "size").agg(F.min("id").alias("rep"))
     return written(named.join(reps, ["one", "two", "size"]).select("id", "rep"), "classes")
@@ -239,13 +239,13 @@ def verified(pairs: DataFrame, sets: DataFrame, number: int) -> DataFrame:
     return ends[0].cogroup(ends[1]).applyInArrow(compare, "a long, b long, value double")
 
 
-def near_values(points: DataFrame, at: Thresholds, kind: str = "none") -> DataFrame:
-    """id_l, id_r, value: all pairs of sets at least r similar, which must be above 0, with copies; empty sets have none."""
+def near_values(points: DataFrame, at: Thresholds, kind: str = "none", empty: bool = False) -> DataFrame:
+    """id_l, id_r, value: all pairs of sets at least r similar, which must be above 0, with copies; empty sets, which are alike, on request only."""
     if kind not in FILTERS or at.metric != "jaccard" or not 0 < at.r <= 1:
         raise ValueError(f"wants a Jaccard threshold above 0 and a filter of {FILTERS}")
     spark = points.sparkSession
-    classes = classes_of(points)
-    sets = points.join(classes.where("id = rep").select("id"), "id").select("id", "feat")
+    classes = classes_of(points, empty)
+    sets = points.where(F.size("feat") > 0).join(classes.where("id = rep").select("id"), "id").select("id", "feat")
     counts = None if kind == "none" else spark.sparkContext.broadcast(commonness(sets))
     marked = written(marks(sets, at.r, counts), "marks")
     cells, number = spread(marked, at.r, kind != "none")

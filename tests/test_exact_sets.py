@@ -7,8 +7,10 @@ import random
 import pytest
 
 import __spark_entry__ as entry
+from proxjoin.functions.families import MinHash
 from proxjoin.functions.metrics import Thresholds
-from proxjoin.operators import exact_sets
+from proxjoin.operators import exact_sets, memory_aware
+from proxjoin.plans.params import plan_memory_aware
 
 AT = Thresholds("jaccard", 0.5, 0.1)
 
@@ -41,6 +43,19 @@ def test_all_pairs_are_found(spark, sets, kind, chunk, monkeypatch):
     assert found == pytest.approx(want) and len(want) > 100
 
 
-def test_exact_join_makes_no_row_for_a_shared_token(spark, sf):
-    df = entry.queries()["exact_jaccard_docs"](spark, sf)
+@pytest.mark.parametrize("name", ["exact_jaccard_docs", "prefix_filter_docs", "positional_filter_docs", "rank_neighbours"])
+def test_exact_join_makes_no_row_for_a_shared_token(spark, sf, name):
+    df = entry.queries()[name](spark, sf)
     assert "token" not in plan_of(df) and df.count() == 27
+
+
+def test_emissions_of_all_near_pairs_are_those_of_the_join(spark, sets):
+    points = spark.createDataFrame(list(sets.items()), "id long, feat array<long>")
+    plan = plan_memory_aware(len(sets), len(sets) // 8, MinHash(), 0.5, 0.1, 2)
+    rows = lambda df: sorted((r.tag, r.id_l, r.id_r, r.dist) for r in df.collect())
+    values = exact_sets.near_values(points, AT, empty=True)
+    want = rows(memory_aware.emissions(points, None, AT, MinHash(), plan, 7))
+    assert rows(memory_aware.emissions_among(values, points, AT, MinHash(), plan, 7)) == want and want
+    met = {r.tag: r.meetings for r in memory_aware.meetings_by_tag(points, MinHash(), plan, 7).collect()}
+    seen = memory_aware.candidates(points, None, MinHash(), plan, 7).groupBy("tag").count().collect()
+    assert {k: n for k, n in met.items() if n} == {r.tag: r["count"] for r in seen}
