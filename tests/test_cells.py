@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections import Counter
+
+import duckdb
 import numpy as np
 import pytest
 
 import __spark_entry__ as entry
+from proxjoin.functions.families import Batch, BitSampling, HashFamily, Hyperplane, MinHash
 from proxjoin.functions.metrics import Thresholds
-from proxjoin.operators import baselines, cells
+from proxjoin.operators import baselines, cells, counters
+from proxjoin.operators.memory_aware import candidates, memory_aware_join
+from proxjoin.plans.params import plan_memory_aware
 
 L2 = Thresholds("l2", 1.1, 1.2)
 
@@ -29,7 +35,7 @@ def vectors(spark, n=90):
 def test_closest_pairs(spark, monkeypatch, chunk, k):
     points = vectors(spark)
     want = baselines.exact_join(points, None, L2).orderBy("dist", "id_l", "id_r").limit(k)
-    monkeypatch.setattr(cells.in_cells, "__defaults__", (chunk,))
+    monkeypatch.setattr(cells.in_cells, "__defaults__", (chunk, None))
     assert [tuple(r) for r in cells.closest_pairs(points, L2, k).collect()] == [tuple(r) for r in want.collect()]
     assert cells.closest_pairs(points.limit(0), L2, k).count() == 0
 
@@ -39,3 +45,33 @@ def test_closest_pairs_makes_no_row_for_each_pair(spark, sf):
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in plan and "NestedLoopJoin" not in plan
     assert found.count() == 10
+
+
+def words(spark, n=120):
+    rng = np.random.default_rng(6)
+    w = rng.integers(-(1 << 63), (1 << 63) - 1, n)
+    for k in range(40, 80):
+        w[k] = w[k - 40] ^ sum(1 << int(b) for b in rng.choice(63, rng.integers(0, 9), replace=False))
+    return spark.createDataFrame([*[(5 * k, int(w[k])) for k in range(n)], (1, None), (None, 3)], "id long, feat long")
+
+
+@pytest.mark.parametrize("chunk", [16, 1000])
+def test_memory_aware_in_cells_is_the_join_by_buckets(spark, monkeypatch, chunk):
+    monkeypatch.setattr(cells, "CHUNK_BITS", chunk)
+    monkeypatch.setattr(cells.in_cells, "__defaults__", (chunk, None))
+    works = [(words(spark), Thresholds("hamming", 10, 20), BitSampling()), (vectors(spark), Thresholds("cosine", 0.4, 0.2), Hyperplane())]
+    for points, at, family in works:
+        for rounds in (1, 4):
+            got, want = (sorted(map(tuple, memory_aware_join(points.where("id is not null and feat is not null"), None, at, 30, family, rounds=rounds, reps=4, k=5, seed=2, cells=c).collect())) for c in (True, False))
+            assert got == want
+    assert memory_aware_join(words(spark).limit(0), None, works[0][1], 30, BitSampling(), cells=True).count() == 0
+
+
+@pytest.mark.parametrize("family", [BitSampling(), Hyperplane()])
+def test_keys_agree_where_all_functions_do(family):
+    rng = np.random.default_rng(7)
+    batch = Batch.__new__(Batch)
+    batch.n, batch.kind, batch.words, batch.matrix = 300, family.kind, rng.integers(0, 16, 300).astype(np.uint64), rng.standard_normal((300, 3)).round()
+    for k in (1, 5, 70):
+        got, want = family.keys(batch, 3, [(0, 1), (2, 5)], k), HashFamily.keys(family, batch, 3, [(0, 1), (2, 5)], k)
+        assert ((got[:, None] == got[None]) == (want[:, None] == want[None])).all()
