@@ -75,3 +75,33 @@ def test_keys_agree_where_all_functions_do(family):
     for k in (1, 5, 70):
         got, want = family.keys(batch, 3, [(0, 1), (2, 5)], k), HashFamily.keys(family, batch, 3, [(0, 1), (2, 5)], k)
         assert ((got[:, None] == got[None]) == (want[:, None] == want[None])).all()
+
+
+def groups(spark, n=60):
+    """Sets of few tokens, with copies, an empty set and a point without one."""
+    rng = np.random.default_rng(8)
+    rows = [(7 * k, sorted(set(rng.integers(0, 9, 8).tolist()))) for k in range(n)]
+    return spark.createDataFrame([*rows, (1, rows[0][1]), (2, rows[0][1]), (3, rows[1][1]), (4, []), (5, None)], "id long, feat array<long>")
+
+
+@pytest.mark.parametrize("chunk", [16, 1000])
+def test_links_are_those_of_the_join(spark, monkeypatch, chunk):
+    monkeypatch.setattr(cells.in_cells, "__defaults__", (chunk, None))
+    at, points = Thresholds("jaccard", 0.7, 0.5), groups(spark)
+    names, whole = [(0, j) for j in range(40)], points.where("feat is not null")
+    want = Counter()
+    for a, b, _ in baselines.exact_join(whole, None, at).collect():
+        want.update((a, b))
+    first = {}
+    for r in sorted(whole.collect()):
+        first.setdefault(tuple(r.feat), r.id)
+    assert sorted(map(tuple, cells.links_met(points, at, MinHash(), 7, names, 2).collect())) == sorted((r.id, first[tuple(r.feat)], want[r.id]) for r in whole.collect())
+
+
+def test_brand_sets_have_a_row_for_each_customer(spark, sf):
+    con = duckdb.connect()
+    for name in ("orders", "lineitem", "part"):
+        con.execute(f"CREATE VIEW {name} AS SELECT * FROM '{sf}/{name}.parquet'")
+    found = entry.queries()["aware_brand_sets"](spark, sf)
+    assert found.columns == ["id", "class_id", "links"]
+    assert sorted(map(tuple, found.collect())) == sorted(con.execute(entry.oracle_sql()["aware_brand_sets"]).fetchall())
