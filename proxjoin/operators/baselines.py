@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.families import HashFamily
 from ..functions.metrics import Thresholds
 from ..plans.params import key_length
+from .cells import l1_halved
 from .exact_sets import exact_set_join
 from .hashing import measured, met, near, result
 from .memory_aware import memory_aware_join
@@ -48,7 +49,12 @@ def block_nested_join(left: DataFrame, right: DataFrame | None, at: Thresholds,
 
 
 def recursive_nested_join(left: DataFrame, right: DataFrame | None, at: Thresholds, leaf: int) -> DataFrame:
-    """Exact, without knowing the memory: both sides are halved until a quadrant has a leaf's size."""
+    """Exact, without knowing the memory: both sides are halved until a quadrant has a leaf's size.
+
+    The last levels of a self-join by l1 run inside the tasks, where features are at hand once for all their pairs.
+    """
+    if right is None and at.metric == "l1":
+        return result(near(l1_halved(left, at, leaf), at))
     right_ = left if right is None else right
     depth = max(0, math.ceil(math.log2(max(1, max(left.count(), right_.count()) / leaf))))
     a, b = (p.select("id", F.xxhash64("id", F.lit(5)).alias("h")).withColumn("cell_l", F.lit(0).cast("long")).withColumn("cell_r", F.lit(0).cast("long")) for p in (left, right_))

@@ -105,3 +105,23 @@ def test_brand_sets_have_a_row_for_each_customer(spark, sf):
     found = entry.queries()["aware_brand_sets"](spark, sf)
     assert found.columns == ["id", "class_id", "links"]
     assert sorted(map(tuple, found.collect())) == sorted(con.execute(entry.oracle_sql()["aware_brand_sets"]).fetchall())
+
+
+@pytest.mark.parametrize("whole", [True, False])
+@pytest.mark.parametrize(("chunk", "leaf"), [(16, 4), (1000, 16)])
+def test_halved_l1(spark, monkeypatch, whole, chunk, leaf):
+    monkeypatch.setattr(cells.in_cells, "__defaults__", (chunk, None))
+    rng = np.random.default_rng(9)
+    v = rng.integers(0, 9, (70, 6)) * rng.integers(1, 6, (70, 1))
+    v = v if whole else v + rng.random((70, 6)).round(3)
+    v[40:50] = v[:10]
+    points = spark.createDataFrame([(int(3 * k), [float(x) for x in row]) for k, row in enumerate(v)], "id long, feat array<double>")
+    at = Thresholds("l1", 25, 40)
+    want = sorted(map(tuple, baselines.exact_join(points, None, at).collect()))
+    assert sorted(map(tuple, baselines.recursive_nested_join(points, None, at, leaf).collect())) == want and len(want) > 20
+    assert baselines.recursive_nested_join(points.limit(0), None, at, leaf).count() == 0
+
+
+def test_halved_l1_makes_no_row_for_each_pair(spark, sf):
+    plan = entry.queries()["recursive_nested_l1_docs"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in plan and "HashJoin" not in plan
