@@ -125,3 +125,15 @@ def test_halved_l1(spark, monkeypatch, whole, chunk, leaf):
 def test_halved_l1_makes_no_row_for_each_pair(spark, sf):
     plan = entry.queries()["recursive_nested_l1_docs"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" not in plan and "HashJoin" not in plan
+
+
+@pytest.mark.parametrize("chunk", [16, 1000])
+def test_collision_counts(spark, monkeypatch, chunk):
+    monkeypatch.setattr(cells, "CHUNK_BITS", chunk)
+    at, points = Thresholds("hamming", 10, 20), words(spark)
+    whole, names = points.where("id is not null and feat is not null"), [(r, j) for r in range(2) for j in range(4)]
+    plan = plan_memory_aware(240, 30, BitSampling(), at.r, at.cr, 2, 4, 3)
+    met = counters.collisions(candidates(whole, None, BitSampling(), plan, 7), whole, None, at).first()
+    size = baselines.join_sizes(whole, None, at).first()
+    assert tuple(cells.collision_counts(points, at, BitSampling(), 7, names, 3).first()) == (met.near, met.grey, met.far, size.near, size.grey)
+    assert tuple(cells.collision_counts(points.limit(0), at, BitSampling(), 7, names, 3).first()) == (0, 0, 0, 0, 0)
