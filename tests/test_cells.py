@@ -153,3 +153,13 @@ def test_lateral_topk_makes_no_row_for_each_pair(spark, sf, monkeypatch):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{sf}/embeddings.parquet'")
     assert sorted(map(tuple, found.collect())) == sorted(con.execute(entry.oracle_sql()["lateral_topk"]).fetchall())
+
+
+def test_meetings_come_in_pieces(monkeypatch):
+    """Points that all meet are looked at a few at a time, so a crowded bucket takes no more memory."""
+    monkeypatch.setattr(cells, "MEETINGS", 100)
+    keys = np.r_[np.zeros(40, np.int64), np.arange(20) << 48]
+    pieces = list(cells.met_at(keys, keys[::-1].copy()))
+    assert max(len(x) for x, _ in pieces) <= 160
+    found = [(a, b) for x, y in pieces for a, b in zip(x.tolist(), y.tolist(), strict=True)]
+    assert sorted(found) == [(a, b) for a in range(60) for b in range(60) if keys[a] == keys[59 - b]]
