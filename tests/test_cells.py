@@ -9,6 +9,7 @@ import numpy as np
 import pytest
 
 import __spark_entry__ as entry
+from proxjoin.functions import features
 from proxjoin.functions.families import Batch, BitSampling, HashFamily, Hyperplane, MinHash
 from proxjoin.functions.metrics import Thresholds
 from proxjoin.operators import baselines, cells, counters
@@ -163,3 +164,9 @@ def test_meetings_come_in_pieces(monkeypatch):
     assert max(len(x) for x, _ in pieces) <= 160
     found = [(a, b) for x, y in pieces for a, b in zip(x.tolist(), y.tolist(), strict=True)]
     assert sorted(found) == [(a, b) for a in range(60) for b in range(60) if keys[a] == keys[59 - b]]
+
+
+def test_fingerprints_in_pieces(spark):
+    texts = spark.createDataFrame([(1, "a b c d e"), (2, ""), (3, "f g a"), (4, None)], "id long, text string")
+    whole, pieces = (sorted(map(str, features.fingerprints64(texts, step).collect())) for step in (1 << 16, 2))
+    assert whole == pieces
