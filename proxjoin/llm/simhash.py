@@ -14,6 +14,13 @@ itself and its 64 one-bit neighbours, and all nodes under one such word, being
 within two bits of each other, are linked to the smallest of them. Two nodes
 within two bits always share a word, so no link is lost.
 
+Under a wider budget keys are short and many nodes share one. So cell_links looks
+for the pairs in cells of CELL x CELL fingerprints, within a task: eight segments
+of eight bits, the first two of a chain as the key, under which nodes meet that
+the chain's budgets allow there, then the whole chain and the Hamming check. It
+gives a forest of links, close ones first, so crowds make no rows for their pairs;
+the work on a cell is fixed, and cells grow in number with the square of the nodes.
+
 Defined cases: a null text is the empty text; a text without words has the
 fingerprint zero and is linked like any other; a null doc_id counts only where a
 component has no other; rows that repeat a doc_id have a row each; near_dedup decides by row (one_of_each); an empty
@@ -33,6 +40,8 @@ from pyspark.sql import functions as F
 from .common import one_of_each, text_key, written
 
 SHINGLE, BITS, SEED, CROWD = 3, 2, 42, 64
+#: Fingerprints of one part of a cell, and pairs looked at together there.
+CELL, STEP = 1 << 14, 1 << 18
 
 
 def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
@@ -44,11 +53,15 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
         return 0
     shingles = map(b" ".join, zip(*[w[k:] for k in range(shingle)], strict=False)) if len(w) >= shingle else iter([b" ".join(w)])
     count = max(len(w) - shingle + 1, 1)
-    hashes = np.fromiter(map(xxh64_intdigest, shingles, repeat(SEED)), np.uint64, count)
+    return majority(np.fromiter(map(xxh64_intdigest, shingles, repeat(SEED)), np.uint64, count))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits set in over half of the hashes, as a signed 64-bit integer."""
     ones = np.zeros(64, np.int64)
-    for k in range(0, count, 16_384):
+    for k in range(0, len(hashes), 16_384):
         ones += np.unpackbits(hashes[k : k + 16_384].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * ones > count, bitorder="little").view("<i8")[0])
+    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<i8")[0])
 
 
 def fingerprints(docs: DataFrame, shingle: int = SHINGLE, *more: Column) -> DataFrame:
@@ -98,6 +111,65 @@ def links(nodes: DataFrame, segments: int, crowd: int = CROWD) -> DataFrame:
     return close.union(stars).distinct()
 
 
+def chained(bits: np.ndarray, budget: int, part: np.ndarray, group: np.ndarray, step: int = STEP) -> list[tuple[int, int]]:
+    """Places of links within budget that join the groups of all such links; group is changed. Only links between two parts, if there are two."""
+    allowed = [n * budget // 8 for n in range(9)]
+    words = np.arange(1 << 16, dtype=np.uint64)
+    flips = np.flatnonzero((np.bitwise_count(words & np.uint64(255)) <= allowed[1]) & (np.bitwise_count(words) <= allowed[2]))
+    across, places, out = len(part) > 0 and part.min() < part.max(), np.arange(len(bits)), []
+    for at in range(0, 64, 8):
+        ring = bits >> np.uint64(at) | bits << np.uint64(64 - at) if at else bits
+        order = np.argsort(ring & np.uint64(0xFFFF), kind="stable")
+        ring = ring[order]
+        key = (ring & np.uint64(0xFFFF)).astype(np.int64)
+        begin = np.searchsorted(key, np.arange((1 << 16) + 1))
+        for flip in flips.tolist():
+            low = np.maximum(begin[key ^ flip], places + 1)  # each pair from its first place
+            n = np.maximum(begin[(key ^ flip) + 1] - low, 0)
+            some = np.flatnonzero(n)
+            share = np.cumsum(n[some]) // step
+            for first, last in zip(*(np.searchsorted(share, np.unique(share), side) for side in ("left", "right")), strict=True):
+                own = some[first:last]
+                a = np.repeat(own, n[own])
+                b = np.arange(len(a)) + np.repeat(low[own] - np.cumsum(n[own]) + n[own], n[own])
+                keep = group[order[a]] != group[order[b]]
+                if across:
+                    keep &= part[order[a]] != part[order[b]]
+                a, b = a[keep], b[keep]
+                for k in range(3, 9):
+                    near = np.bitwise_count((ring[a] ^ ring[b]) & np.uint64((1 << 8 * k) - 1)) <= allowed[k]
+                    a, b = a[near], b[near]
+                for x, y in zip(order[a].tolist(), order[b].tolist(), strict=True):
+                    if group[x] != group[y]:
+                        out.append((x, y))
+                        group[group == group[y]] = group[x]
+    return out
+
+
+def cell_links(nodes: DataFrame, budget: int, wide: float, cell: int = CELL) -> DataFrame:
+    """a, b with a < b: links of fingerprints within budget whose components are those of all such links of like sizes.
+
+    nodes has bits and size; sizes are alike if their logarithms differ by less than wide.
+    """
+    level = F.floor(F.log(F.col("size")) / F.lit(wide))
+    placed = nodes.select("bits", F.explode(F.array(level, level - 1)).alias("level")).distinct()
+    sizes = placed.groupBy("level").agg(F.ceil(F.count(F.lit(1)) / F.lit(cell)).cast("int").alias("cut"))
+    part = placed.join(F.broadcast(sizes), "level").withColumn("part", F.pmod(F.xxhash64("bits"), F.col("cut")).cast("int"))
+    packed = part.groupBy("level", "part", "cut").agg(F.collect_list("bits").alias("bits"))
+    spread = packed.select("level", "part", "bits", F.explode(F.sequence(F.lit(0), F.col("cut") - 1)).alias("other"))
+    cells = spread.select("level", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "part", "bits")
+
+    def search(table: pa.Table) -> pa.Table:
+        lists = [np.asarray(v.values).view(np.uint64) for c in table.column("bits").chunks for v in c]
+        bits, part = np.concatenate(lists), np.repeat(table.column("part").to_numpy(), [len(x) for x in lists])
+        group = np.arange(len(bits))
+        found = [link for some in sorted({budget // 4, budget // 2, budget}) for link in chained(bits, some, part, group)]
+        ends = bits.view(np.int64)[np.array(found, np.int64).reshape(-1, 2)]
+        return pa.table({"a": ends.min(axis=1), "b": ends.max(axis=1)})
+
+    return cells.groupBy("level", "low", "high").applyInArrow(search, "a long, b long").distinct()
+
+
 def components(edges: DataFrame) -> DataFrame:
     """node, label: the smallest node of its component for each node that has an edge.
 
