@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections import Counter
 
 import duckdb
@@ -15,6 +16,7 @@ from proxjoin.functions.metrics import Thresholds
 from proxjoin.operators import baselines, cells, counters
 from proxjoin.operators.memory_aware import candidates, memory_aware_join
 from proxjoin.plans.params import plan_memory_aware
+from proxjoin.workloads import WORKLOADS
 
 L2 = Thresholds("l2", 1.1, 1.2)
 
@@ -140,6 +142,18 @@ def test_collision_counts(spark, monkeypatch, chunk):
     assert tuple(cells.collision_counts(points.limit(0), at, BitSampling(), 7, names, 3).first()) == (0, 0, 0, 0, 0)
 
 
+def test_collision_bounds_count_all_rounds(spark, sf):
+    work = WORKLOADS["W6"]
+    points = work.points(spark, sf)[0]
+    n = 2 * points.count()
+    plan = plan_memory_aware(n, n // 16, work.family, work.at.r, work.at.cr)
+    assert plan.rounds == math.ceil(3 * math.log2(n))
+    met = counters.collisions(candidates(points, None, work.family, plan, 7), points, None, work.at).first()
+    got = entry.queries()["collision_bounds"](spark, sf).first()
+    assert (got.near, got.grey, got.far) == (met.near, met.grey, met.far)
+    assert got.near <= got.near_bound and got.grey <= got.grey_bound and got.far <= got.far_bound
+
+
 @pytest.mark.parametrize("chunk", [16, 1000])
 def test_close_pairs_are_those_of_all_values(spark, monkeypatch, chunk):
     monkeypatch.setattr(cells, "CHUNK", chunk)
