@@ -80,6 +80,28 @@ def test_keys_agree_where_all_functions_do(family):
         assert ((got[:, None] == got[None]) == (want[:, None] == want[None])).all()
 
 
+@pytest.mark.parametrize("own", [True, False])
+def test_points_that_have_met_are_not_hashed_again(own):
+    class Counting(Hyperplane):
+        def keys(self, batch, seed, names, k):
+            hashed.append(batch.n)
+            return super().keys(batch, seed, names, k)
+
+    rng, hashed, names = np.random.default_rng(11), [], [(0, j) for j in range(1000)]
+    a, b = (Batch.__new__(Batch) for _ in range(2))
+    for batch, n in ((a, 80), (b, 70)):
+        batch.n, batch.kind, batch.matrix = n, "dense", rng.standard_normal((n, 3))
+    b = a if own else b
+    keys_a, keys_b = (Hyperplane().keys(m, 3, names, 9) for m in (a, b))
+    x, y = np.nonzero(a.matrix @ b.matrix.T > 0)
+    want = (keys_a[x] == keys_b[y]).any(axis=1)
+    assert (cells.ever_met(x, y, a, b, own, Counting(), 3, names, 9) == want).all() and 0 < want.sum() < len(want)
+    close = (a.matrix @ b.matrix.T > 0.99 * np.outer(np.linalg.norm(a.matrix, axis=1), np.linalg.norm(b.matrix, axis=1))) & ~(np.eye(a.n, b.n, dtype=bool) & own)
+    hashed.clear()
+    cells.ever_met(*np.nonzero(close), a, b, own, Counting(), 3, names, 9)
+    assert sum(hashed) < 0.5 * len(names) / cells.TAGS * (a.n if own else a.n + b.n)
+
+
 def groups(spark, n=60):
     """Sets of few tokens, with copies, an empty set and a point without one."""
     rng = np.random.default_rng(8)
