@@ -9,6 +9,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from proxjoin.functions import families
 from proxjoin.functions.families import Batch, BitSampling, CauchyProjection, CustomFamily, GaussianProjection, Hyperplane, MinHash, normal_cdf
 from proxjoin.plans import costs, params
 
@@ -94,3 +95,17 @@ def test_branching_moments_match_a_simulation():
         sizes.append(n)
     want = costs.branching_moments(p, p1, level)
     assert np.mean(sizes) == pytest.approx(want["mean"], rel=0.1) and np.var(sizes) == pytest.approx(want["variance"], rel=0.2)
+
+
+def test_a_token_of_many_sets_is_hashed_once(monkeypatch):
+    rng, hashed = np.random.default_rng(12), []
+    batch = Batch.__new__(Batch)
+    sets = [np.sort(rng.choice(30, n, replace=False)) for n in (*rng.integers(0, 20, 200), 0, 30)]
+    batch.n, batch.kind, batch.starts, batch.tokens = len(sets), "sets", np.r_[0, np.cumsum([len(v) for v in sets])], np.concatenate(sets).astype(np.uint64)
+    names = [(0, j) for j in range(40)]
+    monkeypatch.setattr(families, "mixed", lambda x, y, f=families.mixed: hashed.append(len(x)) or f(x, y))
+    got = MinHash().primitive(batch, 5, names)
+    assert sum(hashed) == 30 * len(names)
+    for j, name in enumerate(names):
+        values = families.mix(np.arange(30, dtype=np.uint64) ^ families.drawn(5, name).integers(0, 1 << 64, dtype=np.uint64))
+        assert got[:, j].tolist() == [int(values[v].min()) if len(v) else (1 << 64) - 1 for v in sets]
